@@ -26,6 +26,7 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame, functions as F
 
+from rankfit.llm.rows import keep_rows, text_hash
 from rankfit.session import cut, ship
 
 SHINGLE_WORDS = 4
@@ -66,16 +67,16 @@ def _fingerprint_batches(words: int, seed: int):
         for batch in batches:
             prints = [text_fingerprint(x, words, seed) for x in batch.column("text").to_pylist()]
             signed = np.array(prints, np.uint64).view(np.int64)
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(signed, pa.int64())], ["doc_id", "fp"])
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("text_hash"), pa.array(signed, pa.int64())], ["doc_id", "text_hash", "fp"])
 
     return run
 
 
 def fingerprints(docs: DataFrame, words: int = SHINGLE_WORDS, seed: int = SEED) -> DataFrame:
-    """(doc_id, fp long: the unsigned fingerprint's bits) of every row."""
+    """(doc_id, text_hash, fp long: the unsigned fingerprint's bits) of every row."""
     ship(docs.sparkSession)
-    plain = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("binary").alias("text"))
-    return plain.mapInArrow(_fingerprint_batches(words, seed), "doc_id long, fp long")
+    plain = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_hash(), F.col("text").cast("binary").alias("text"))
+    return plain.mapInArrow(_fingerprint_batches(words, seed), "doc_id long, text_hash long, fp long")
 
 
 def _balls(radius: int) -> list[tuple[int, int, int, int]]:
@@ -201,9 +202,9 @@ def links(prints: DataFrame, radius: int = RADIUS, block: int = 4096) -> DataFra
     if hot.isEmpty():
         dealt = rows.withColumn("block", F.lit(0).cast("long"))
     else:
-        each = F.sequence(F.lit(0), F.coalesce("blocks", F.lit(1)) - 1)
+        each = F.sequence(F.lit(0).cast("long"), F.coalesce("blocks", F.lit(1)).cast("long") - 1)
         mine = F.pmod(F.xxhash64("fp"), F.coalesce("blocks", F.lit(1)).cast("long"))
-        pairs = rows.join(hot, "key", "left").select("key", "own", "fp", mine.alias("mine"), F.explode(each).cast("long").alias("other"))
+        pairs = rows.join(hot, "key", "left").select("key", "own", "fp", mine.alias("mine"), F.explode(each).alias("other"))
         grid = pairs.select("key", "own", "fp", F.when(F.col("own"), F.col("mine")).otherwise(F.col("other")).alias("i"), F.when(F.col("own"), F.col("other")).otherwise(F.col("mine")).alias("j"))
         # Stored fingerprints also visit: without this, two of them in different blocks would not meet.
         twice = grid.unionByName(pairs.where("own and other != mine").select("key", F.lit(False).alias("own"), "fp", F.col("other").alias("i"), F.col("mine").alias("j")))
@@ -234,15 +235,15 @@ def components(edges: DataFrame, rounds: int = 60) -> DataFrame:
 
 
 def near_duplicates(docs: DataFrame, radius: int = RADIUS, words: int = SHINGLE_WORDS, block: int = 4096) -> DataFrame:
-    """(doc_id, fp long, component_id) of every row of `docs`."""
+    """(doc_id, text_hash, fp long, root long: the component's smallest fp, component_id) of every row of `docs`."""
     prints = cut(fingerprints(docs, words))
     distinct = cut(prints.groupBy("fp").agg(F.min("doc_id").alias("least_id")))
     found = components(links(distinct, radius, block))
     named = found.join(distinct, found["node"] == distinct["fp"]).select("node", "root", "least_id")
     by_root = named.groupBy("root").agg(F.min("least_id").alias("component_id"))
-    linked = named.select("node", "root").join(by_root, "root").select(F.col("node").alias("fp"), "component_id")
-    every = cut(distinct.join(linked, "fp", "left").select("fp", F.coalesce("component_id", "least_id").alias("component_id")))
-    return prints.join(every, "fp").select("doc_id", "fp", "component_id")
+    linked = named.select("node", "root").join(by_root, "root").select(F.col("node").alias("fp"), "root", "component_id")
+    every = cut(distinct.join(linked, "fp", "left").select("fp", F.coalesce("root", "fp").alias("root"), F.when(F.col("root").isNull(), F.col("least_id")).otherwise(F.col("component_id")).alias("component_id")))
+    return prints.join(every, "fp").select("doc_id", "text_hash", "fp", "root", "component_id")
 
 
 def hex_fingerprint(fp) -> F.Column:
@@ -250,19 +251,12 @@ def hex_fingerprint(fp) -> F.Column:
 
 
 def keep_one_of_each(docs: DataFrame, **options) -> DataFrame:
-    """The rows of `docs` less all but one of each component: the one with the smallest id (repeats of it: one)."""
+    """The rows of `docs`, all columns, less all but one of each component: the one with the smallest id.
+
+    Of rows that share that id in a component one stays. A component of null ids only keeps one row.
+    """
     found = near_duplicates(docs, **options)
-    kept = cut(found.where(F.col("doc_id").eqNullSafe(F.col("component_id"))).groupBy("doc_id").agg(F.count("*").alias("copies")))
-    return keep_rows(docs, kept)
-
-
-def keep_rows(docs: DataFrame, kept: DataFrame) -> DataFrame:
-    """Rows of `docs` whose id is in `kept` (doc_id, copies: rows with it); of repeated ones, one."""
-    ids = kept.select(F.col("doc_id").alias("kept_id"))
-    rows = docs.join(ids, F.col("doc_id").eqNullSafe(F.col("kept_id")), "left_semi")
-    again = kept.where("copies > 1").select(F.col("doc_id").alias("kept_id"))
-    if again.isEmpty():
-        return rows
-    once = rows.join(F.broadcast(again) if again.count() < 100_000 else again, F.col("doc_id").eqNullSafe(F.col("kept_id")), "left_anti")
-    several = docs.join(again, F.col("doc_id").eqNullSafe(F.col("kept_id")), "left_semi").groupBy("doc_id").agg(F.min(F.struct(*docs.columns)).alias("r")).select("r.*")
-    return once.unionByName(several)
+    first = found.groupBy("root").agg(F.min(F.struct(F.col("doc_id").isNull().alias("absent"), "doc_id", "text_hash")).alias("f"))
+    named = first.select(F.col("f.doc_id").alias("doc_id"), F.col("f.text_hash").alias("text_hash"))
+    chosen = found.join(named, found["doc_id"].eqNullSafe(named["doc_id"]) & (found["text_hash"] == named["text_hash"]), "left_semi")
+    return keep_rows(docs, cut(chosen.groupBy("doc_id", "text_hash").agg((F.count("*") > 1).alias("single"))))
