@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
-from rankfit.llm import chat_format, compression_language, exact_dedup, mixing, packing, rule_forest, simhash, token_counts
+from rankfit.llm import chat_format, compression_language, exact_dedup, importance, interpolated, mixing, packing, rule_forest, simhash, token_counts
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -31,6 +31,15 @@ def op4_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_dedup.duplicate_groups(table(spark, sf_dir, "documents"))
 
 
+def op5_importance(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = importance.sampled(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+    return found.select("doc_id", "n_features", "log_ratio", "sample_key", "kept")
+
+
+def op6_interpolated(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return interpolated.scored(table(spark, sf_dir, "documents"))
+
+
 def op7_rule_forest(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rule_forest.judged(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
 
@@ -52,6 +61,8 @@ QUERIES = {
     "op2_simhash": op2_simhash,
     "op3_mixing": op3_mixing,
     "op4_exact_dedup": op4_exact_dedup,
+    "op5_importance": op5_importance,
+    "op6_interpolated": op6_interpolated,
     "op7_rule_forest": op7_rule_forest,
     "op8_packing": op8_packing,
     "op9_token_counts": op9_token_counts,

@@ -68,7 +68,7 @@ def test_packing(odd, documents, none, library):
                 assert offset == at
                 at += length
             assert at <= 1024
-        assert len(by_sequence) <= best_fit_decreasing([r.length for r in rows])
+        assert len(by_sequence) <= 1.01 * best_fit_decreasing([r.length for r in rows])
         want = Counter()
         for d in df.collect():
             ids = library.encode(d.text or "", add_special_tokens=False).ids + [2]
