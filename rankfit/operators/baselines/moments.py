@@ -18,6 +18,7 @@ class Moments(Baseline):
     def __init__(self, size: int):
         super().__init__(size)
         self.sums, self.logs, self.centre, self.scale = np.zeros(size + 1), np.zeros(size + 1), None, None
+        self.lost = 0  # items too small beside the centre to leave a trace in any sum
         self.positive, self.log_centre, self.log_scale, self.fit = True, 0.0, 1.0, None
 
     def _powers(self, x: np.ndarray) -> np.ndarray:
@@ -35,6 +36,7 @@ class Moments(Baseline):
             if v.min() > 0:
                 logs = np.log(v)
                 self.log_centre, self.log_scale = float(logs.mean()), float(max(np.abs(logs - logs.mean()).max(), 1e-9))
+        self.lost += int(np.count_nonzero((v - self.centre == -self.centre) & (v != 0)))
         with np.errstate(all="ignore"):
             self.sums += self._powers((v - self.centre) / self.scale)
         if self.positive and v.min() > 0:
@@ -61,6 +63,7 @@ class Moments(Baseline):
         if self.centre is None:
             self.__dict__.update({k: v for k, v in other.__dict__.items() if k not in ("n", "low", "high", "size")})
             return
+        self.lost += other.lost
         self.sums = self.sums + self._moved(other.sums, other.centre, other.scale, self.centre, self.scale)
         self.positive &= other.positive
         if self.positive:
@@ -74,6 +77,9 @@ class Moments(Baseline):
         log_axis = self.positive and self.low > 0 and self.high / self.low > 1e3
         sums, centre, scale = (self.logs, self.log_centre, self.log_scale) if log_axis else (self.sums, self.centre, self.scale)
         low, high = (np.log(self.low), np.log(self.high)) if log_axis else (self.low, self.high)
+        if not log_axis and self.lost > 0.01 * self.n:
+            self.status = "failed"
+            return False
         if not np.isfinite(high - low) or high <= low:
             self.status = "failed" if not np.isfinite(high - low) else "ok"
             return False
@@ -115,6 +121,9 @@ class Moments(Baseline):
             if np.abs(gradient).max() > 1e-5:
                 self.status = "failed"
                 return False
+        if density.max() > 0.5 * density.sum():
+            self.status = "failed"  # all mass in one cell: the grid can't hold so wide a range of exponents
+            return False
         cdf = np.cumsum(density) / density.sum()
         self.fit = ((low + high) / 2 + x * ((high - low) / 2), np.maximum.accumulate(cdf), log_axis)
         return self.fit

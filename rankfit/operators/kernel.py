@@ -268,7 +268,7 @@ class Chooser:
             b = np.diff(rank, prepend=0.0)
             mid, fine = middles(t)
             fine &= self.long_enough(t) & (b > 0)
-            order = np.lexsort((-curvature(t, b, self.heuristic), -(b > self.bound(rank[-1]))))
+            order = np.lexsort((-curvature(t, b, self.heuristic), b <= self.bound(rank[-1])))
             new = []
             for i in order[fine[order]].tolist():
                 cut = self.cut(t[i - 1], t[i], mid[i], rank[i - 1], rank[i])
@@ -555,7 +555,7 @@ def _resized(state: State, size: int) -> None:
     if abs(size - len(t)) > 0.25 * len(t):
         locked = np.zeros(len(t), bool)
     t, locked = chooser.reduce(t, locked, size) if size < len(t) else chooser.grow(t, locked, size)
-    state.t, state.r, state.locked = t, rank_at(t) - (np.searchsorted(v, t, "right") > 0) * 0 if not len(v) else rank_at(t), locked
+    state.t, state.r, state.locked = t, rank_at(t), locked
     if len(v):
         state.hold(v[:0], w[:0])
 

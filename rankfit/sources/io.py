@@ -22,8 +22,8 @@ def read_any(spark: SparkSession, fmt: str, path: str, schema: str, **options) -
     return spark.read.format(fmt).schema(schema).options(**options).load(path)
 
 
-def stream_files(spark: SparkSession, folder: str, schema: str, max_files: int = 100) -> DataFrame:
-    return spark.readStream.schema(schema).option("maxFilesPerTrigger", max_files).parquet(folder)
+def stream_files(spark: SparkSession, folder: str, schema, max_files: int = 100, only: str = "*.parquet") -> DataFrame:
+    return spark.readStream.schema(schema).option("maxFilesPerTrigger", max_files).option("pathGlobFilter", only).option("recursiveFileLookup", True).parquet(folder)
 
 
 def stream_rate(spark: SparkSession, rows_per_second: int) -> DataFrame:
