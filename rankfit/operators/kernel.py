@@ -157,7 +157,9 @@ def _sided(b, length, left_b, left_l, right_b, right_l, heuristic="curv2"):
             signed_left = (b - left_b * (length / left_l)) * (length / (length + left_l))
             signed_right = (right_b * (length / right_l) - b) * (length / (length + right_l))
             return np.nan_to_num(np.abs(signed_right - signed_left) * 2 * length / (length + (left_l + right_l) / 2))
-        return np.nan_to_num(np.maximum(left, right))
+        out = np.maximum(left, right)
+        out[np.isnan(out)] = 0
+        return out
 
 
 def bucket_lengths(t: np.ndarray) -> np.ndarray:
@@ -218,23 +220,24 @@ class Chooser:
             inside[1:] &= gaps(t[1:], t[:-1]) >= least
         return inside
 
-    def cut(self, low, high, mid, rank_low, rank_high):
-        """The cut of a bucket: its midpoint, or the buffered value nearest to it that leaves both halves a count."""
-        at = float(self.rank_at(np.array([mid], self.s.t.dtype))[0])
+    def cut(self, low, high, mid, rank_low, rank_high, at):
+        """The cut of a bucket and its rank: its midpoint's (`at`), or the buffered value's nearest to it that leaves both halves a count."""
         if rank_low < at < rank_high:
-            return mid
+            return mid, at
         own = self.raw[np.searchsorted(self.raw, low, "right") : np.searchsorted(self.raw, high, "left")]
         if len(own):
             ranks = self.rank_at(own)
             own = own[(ranks > rank_low) & (ranks < rank_high)]
         if not len(own):
             return None
-        return own[np.argmin(np.abs(gaps(own, np.full(len(own), mid, own.dtype))))]
+        best = own[np.argmin(np.abs(gaps(own, np.full(len(own), mid, own.dtype))))]
+        return best, float(self.rank_at(np.array([best]))[0])
 
     def reduce(self, t: np.ndarray, locked: np.ndarray, size: int) -> tuple[np.ndarray, np.ndarray]:
         """Join the best pairs until `size` thresholds are left, a quarter of the excess in each round."""
+        rank = self.rank_at(t) if len(t) > size else None
         while len(t) > size and len(t) > 2:
-            b = np.diff(self.rank_at(t), prepend=0.0)
+            b = np.diff(rank, prepend=0.0)
             score = pair_scores(t, b, self.heuristic)
             free = ~locked[1:-1]
             if not free.any():
@@ -254,7 +257,7 @@ class Chooser:
                     drop.append(i)
             keep = np.ones(len(t), bool)
             keep[drop] = False
-            t, locked = t[keep], locked[keep]
+            t, locked, rank = t[keep], locked[keep], rank[keep]
             self.s.meta["joins"] += len(drop)
         return t, locked
 
@@ -268,12 +271,13 @@ class Chooser:
             b = np.diff(rank, prepend=0.0)
             mid, fine = middles(t)
             fine &= self.long_enough(t) & (b > 0)
+            middle = self.rank_at(mid)
             order = np.lexsort((-curvature(t, b, self.heuristic), b <= self.bound(rank[-1])))
             new = []
             for i in order[fine[order]].tolist():
-                cut = self.cut(t[i - 1], t[i], mid[i], rank[i - 1], rank[i])
+                cut = self.cut(t[i - 1], t[i], mid[i], rank[i - 1], rank[i], middle[i])
                 if cut is not None:
-                    new.append(cut)
+                    new.append(cut[0])
                 if len(new) == min(lack, max(1, len(t) // 4)):
                     break
             if not new:
@@ -285,13 +289,14 @@ class Chooser:
     def rounds(self, t: np.ndarray, locked: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Splits paid by joins, in rounds of disjoint ones, until a round changes nothing."""
         doublings = 0
+        rank = self.rank_at(t)
         for _ in range(MOST_ROUNDS):
             self.s.meta["rounds"] += 1
-            rank = self.rank_at(t)
             b = np.diff(rank, prepend=0.0)
             bound, length = self.bound(rank[-1]), bucket_lengths(t)
             mid, fine = middles(t)
             fine &= self.long_enough(t)
+            middle = self.rank_at(mid)
             joinable = self.joinable(b, locked, bound)
             pair = np.where(joinable, pair_scores(t, b, self.heuristic, length), np.inf)
             order = np.argsort(pair, kind="stable")[: int(joinable.sum())].tolist()
@@ -299,7 +304,7 @@ class Chooser:
             used = np.zeros(len(t) + 1, bool)
             splits, drops, cuts = [], [], {}
             for i in sorted(forced, key=lambda i: -b[i]):
-                cut = self.cut(t[i - 1], t[i], mid[i], rank[i - 1], rank[i])
+                cut = self.cut(t[i - 1], t[i], mid[i], rank[i - 1], rank[i], middle[i])
                 if cut is not None:
                     cuts[i] = cut
             forced = list(cuts)
@@ -337,7 +342,7 @@ class Chooser:
                         ahead += 1
                     if ahead == len(order) or not score[i] > self.cfg.gamma * pair[order[ahead]]:
                         break
-                    cut = self.cut(t[i - 1], t[i], mid[i], rank[i - 1], rank[i])
+                    cut = self.cut(t[i - 1], t[i], mid[i], rank[i - 1], rank[i], middle[i])
                     if cut is None:
                         continue
                     j = order[ahead]
@@ -354,7 +359,12 @@ class Chooser:
             ends[[i - 1 for i in splits]] = True
             keep = np.ones(len(t), bool)
             keep[[d for d in drops]] = False
-            t, locked = _inserted(t[keep], (locked | ends)[keep], [cuts[i] for i in splits], None)
+            new = np.array([cuts[i][0] for i in splits], t.dtype)
+            every = np.concatenate((t[keep], new))
+            order = np.argsort(every, kind="stable")
+            rank = np.concatenate((rank[keep], [cuts[i][1] for i in splits]))[order]
+            locked = np.concatenate(((locked | ends)[keep], np.ones(len(new), bool)))[order]
+            t = every[order]
         return t, locked
 
     def heap(self, t: np.ndarray, locked: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -370,6 +380,7 @@ class Chooser:
             bound = self.bound(weight)
             mid, fine = middles(now)
             fine &= self.long_enough(now)
+            middle = self.rank_at(mid)
             score, pair = curvature(now, b, self.heuristic, length), pair_scores(now, b, self.heuristic, length)
             can = self.joinable(b, np.array([lock[x] for x in order]), bound)
             pairs = [(pair[i], i) for i in np.flatnonzero(can).tolist()]
@@ -382,10 +393,10 @@ class Chooser:
                 best = next((p for p in heapq.nsmallest(4, pairs) if i not in (p[1], p[1] + 1)), None)
                 if best is None or not forced and not score[i] > self.cfg.gamma * best[0]:
                     continue
-                cut = self.cut(now[i - 1], now[i], mid[i], rank[order[i - 1]], rank[order[i]])
+                cut = self.cut(now[i - 1], now[i], mid[i], rank[order[i - 1]], rank[order[i]], middle[i])
                 if cut is None:
                     continue
-                cut = cut.item()
+                cut = cut[0].item()
                 lock[order[i - 1]] = lock[order[i]] = True
                 gone = order[best[1]]
                 rank[cut], lock[cut] = float(self.rank_at(np.array([cut], self.s.t.dtype))[0]), True
