@@ -11,6 +11,7 @@ from __future__ import annotations
 
 import base64
 import re
+from array import array
 from functools import lru_cache
 
 import numpy as np
@@ -121,36 +122,58 @@ def _longest() -> int:
     return max(map(len, ranks()))
 
 
-@lru_cache(maxsize=1 << 18)
-def _stay_apart(left: bytes, right: bytes) -> bool:
-    """True if the vocabulary encodes the two tokens' bytes as these two tokens."""
-    known = ranks()
-    return plain_encoding()._core_bpe.encode_single_piece(left + right) == [known[left], known[right]]
+#: Whether neighbouring tokens (left, right as one number) stay as they are; a left of 0xFFFF stands for a piece's start.
+_apart: dict[int, bool] = {}
+_APART_BOUND = 1 << 20
+_stems: dict[bytes, tuple] = {}
+_STEM, _STEMS_BOUND = 6, 1 << 17
 
 
-@lru_cache(maxsize=1 << 16)
-def _whole(token: bytes) -> bool:
-    return plain_encoding()._core_bpe.encode_single_piece(token) == [ranks()[token]]
+def _stays(left: int, right: int, before: bytes, token: bytes) -> bool:
+    """True if the vocabulary encodes the two tokens' bytes as these two tokens (at the start: this one)."""
+    if len(_apart) >= _APART_BOUND:
+        _apart.clear()
+    found = plain_encoding()._core_bpe.encode_single_piece(before + token) == ([left, right] if before else [right])
+    _apart[left << 16 | right] = found
+    return found
 
 
 def piece_prefix_counts(piece: bytes) -> list[int]:
     """Token counts of every byte prefix of one pre-token, by dynamic programming over each prefix's last token.
 
     A prefix's encoding ends in a token; what stands before it is the encoding of a shorter prefix, and a sequence of
-    tokens is an encoding if each neighbouring pair is. So just one last token fits, found among the suffixes.
+    tokens is an encoding if each neighbouring pair is. So just one last token fits. It is looked for where it mostly
+    is, at the last token of the prefix one byte shorter or as one byte, and then among all suffixes.
     """
-    known, longest = ranks(), _longest()
-    last: list[bytes] = [b""]
-    count = [0]
-    for end in range(1, len(piece) + 1):
-        for start in range(max(0, end - longest), end):
+    known, longest, apart = ranks(), _longest(), _apart
+    # Pieces that begin alike share that part of their tables.
+    shared = piece[:_STEM] if len(piece) > _STEM else b""
+    found = _stems.get(shared)
+    last, begin, count = ([*x] for x in found) if found else ([0xFFFF], [0], [0])
+    for end in range(len(count), len(piece) + 1):
+        near = begin[-1]
+        start = near
+        rest = None
+        while True:
             token = piece[start:end]
-            if token in known and (_stay_apart(last[start], token) if start else _whole(token)):
-                last.append(token)
-                count.append(count[start] + 1)
-                break
-        else:
-            raise ValueError("a byte without a token")
+            rank = known.get(token)
+            if rank is not None:
+                left = last[start]
+                fits = apart.get(left << 16 | rank)
+                if fits is None:
+                    fits = _stays(left, rank, piece[begin[start] : start] if start else b"", token)
+                if fits:
+                    break
+            if rest is None:
+                rest = iter([end - 1, *(i for i in range(max(0, end - longest), end - 1) if i != near)])
+            start = next(rest)
+        last.append(rank)
+        begin.append(start)
+        count.append(count[start] + 1)
+        if end == _STEM and shared:
+            if len(_stems) >= _STEMS_BOUND:
+                _stems.clear()
+            _stems[shared] = (tuple(last), tuple(begin), tuple(count))
     return count
 
 
@@ -200,17 +223,60 @@ def chunk_prefix_counts(chunk: str) -> np.ndarray:
     return np.array(out, np.int64)
 
 
+_ONE = (1).to_bytes(4, "little")
+
+
+def _letters(piece: str) -> bytes:
+    """Steps of one pre-token of plain letters and the space before them."""
+    counts = piece_prefix_counts(piece.encode())
+    if not piece.isascii():
+        places, at = [0], 0
+        for c in piece:
+            at += 1 if c < "\x80" else 2
+            places.append(at)
+        counts = [counts[i] for i in places]
+    return array("i", map(int.__sub__, counts[1:], counts[:-1])).tobytes()
+
+
+_lead = regex.compile(r"\p{L}+")
+
+
+def _plain(chunk: str) -> bool:
+    return (chunk.isascii() or max(chunk) < PLAIN_BELOW) and SPECIAL not in chunk
+
+
 def _steps(chunk: str) -> bytes:
-    return np.diff(chunk_prefix_counts(chunk), prepend=0).astype("<i4").tobytes() if chunk else b""
+    """Steps of a chunk without a space before it. What follows a run of letters, or a lone line feed, stands alone."""
+    if not chunk:
+        return b""
+    if _plain(chunk):
+        alone = _step_caches()[0]
+        lead = _lead.match(chunk)
+        if lead and lead.end() == len(chunk):
+            return _letters(chunk)
+        if lead:
+            return alone[lead[0]] + alone[chunk[lead.end() :]]
+        if "\n" in chunk:
+            parts = chunk.split("\n")
+            if all(parts[1:-1]) and not any(p and (p[0].isspace() or p[-1].isspace()) for p in parts):
+                return _ONE.join([alone[p] if p else b"" for p in parts])
+    return np.diff(chunk_prefix_counts(chunk), prepend=0).astype("<i4").tobytes()
 
 
 def _spaced_steps(chunk: str) -> bytes:
-    return _steps(" " + chunk)
+    if chunk and _plain(chunk):
+        lead = _lead.match(chunk)
+        if lead and lead.end() == len(chunk):
+            return _letters(" " + chunk)
+        if lead:
+            alone, spaced = _step_caches()
+            return spaced[lead[0]] + alone[chunk[lead.end() :]]
+    return np.diff(chunk_prefix_counts(" " + chunk), prepend=0).astype("<i4").tobytes()
 
 
 @lru_cache(maxsize=1)
 def _step_caches() -> tuple[Cache, Cache]:
-    return Cache(_steps, 20_000), Cache(_spaced_steps, 250_000)
+    return Cache(_steps, 100_000), Cache(_spaced_steps, 200_000)
 
 
 def prefix_steps(text: str | None) -> bytes:
