@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import json
 import os
+import sys
 import time
 
 import numpy as np
@@ -96,6 +97,7 @@ def main() -> None:
     for name, run in HEADLINE.items():
         run(spark, FOLDER).collect()  # compiles code and starts workers
         found[name] = round(_seconds(lambda r=run: r(spark, FOLDER).collect()), 3)
+        print(name, found[name], file=sys.stderr, flush=True)
     spark.stop()
     print(json.dumps({"metric": "headline_total", "value": round(sum(found.values()), 3), "unit": "sec", "queries": found, "kernel_us": kernels(), "sf": os.path.basename(FOLDER.rstrip("/"))}))
 

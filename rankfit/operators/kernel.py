@@ -234,7 +234,7 @@ class Chooser:
         return best, float(self.rank_at(np.array([best]))[0])
 
     def reduce(self, t: np.ndarray, locked: np.ndarray, size: int) -> tuple[np.ndarray, np.ndarray]:
-        """Join the best pairs until `size` thresholds are left, a quarter of the excess in each round."""
+        """Join the best pairs until `size` thresholds are left: a quarter of the excess in each round, half while there are many."""
         rank = self.rank_at(t) if len(t) > size else None
         while len(t) > size and len(t) > 2:
             b = np.diff(rank, prepend=0.0)
@@ -247,7 +247,7 @@ class Chooser:
             empty = np.where((b[1:-1] <= 0) | (b[2:] <= 0), -1.0, score[1:-1])
             order = 1 + np.argsort(np.where(free, empty, np.inf), kind="stable")
             excess = len(t) - size
-            want = excess if excess < 8 else max(1, excess // 4)
+            want = excess if excess < 8 else excess // (2 if len(t) > 3 * size else 4)
             used, drop = np.zeros(len(t) + 1, bool), []
             for i in order.tolist():
                 if len(drop) == want or locked[i]:
@@ -646,6 +646,37 @@ def merge(a: State, b: State) -> State:
     return _settled(big, t, locked, rank_at)
 
 
+def merge_many(states: list[State]) -> State:
+    """As `merge` for many finished states at once: one union of thresholds, one reduction. Consumes its arguments."""
+    states = [s for s in states if s.n] or states[:1]
+    big = max(states, key=lambda s: s.n)
+    if len(states) == 1:
+        return big
+    parts = [s.buffer for s in states]
+    curves = [Curve(s.t, s.r, s.cfg.interp) for s in states if len(s.t)]
+    thresholds = [s.t for s in states if len(s.t)]
+    for s in states:
+        if s is not big:
+            big.n, big.n_null, big.n_nan, big.zeta = big.n + s.n, big.n_null + s.n_null, big.n_nan + s.n_nan, min(big.zeta, s.zeta)
+            big.meta.update(s.meta)
+            if big.cfg.filter == "mg":
+                parts.append(big.items.merge(s.items))
+    big.meta["merges"] += len(states) - 1
+    big.finished = False
+    big.epoch_end, big.c_bound = big.cfg.epoch * big.n, big.cfg.c_bound
+    v, w = compact(np.concatenate([p[0] for p in parts]), np.concatenate([p[1] for p in parts]).astype(np.int64))
+    if not curves:
+        big.hold(v, w)
+        return fold(big) if len(v) > big.room else big
+    ends = [v[:1], v[-1:]] if len(v) else []
+    t = np.unique(np.concatenate([*thresholds, *ends]))
+    rank_at = _rank_function(curves, v, w)
+    chooser = Chooser(big, rank_at, v)
+    t, locked = chooser.reduce(t, np.zeros(len(t), bool), big.k)
+    t, locked = chooser.rounds(t, locked)
+    return _settled(big, t, locked, rank_at)
+
+
 # Queries -----------------------------------------------------------------------------------------------------------
 
 

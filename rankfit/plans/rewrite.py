@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession, Window, functions as F
 from pyspark.sql.types import BinaryType
 
 from rankfit.operators import codec, kernel
-from rankfit.plans.build import balanced, finish_summaries, remerge
+from rankfit.plans.build import finish_summaries, remerge
 from rankfit.session import ship
 from rankfit.sources.io import load_summaries
 
@@ -29,7 +29,7 @@ def rollup_summaries(summaries: DataFrame, levels: Iterable[Sequence[str]], keys
 def _merged(blobs):
     import pandas as pd
 
-    return pd.Series([None if b is None or not len(b) else codec.encode(kernel.finish(balanced([codec.decode(x) for x in b]))) for b in blobs])
+    return pd.Series([None if b is None or not len(b) else codec.encode(kernel.finish(kernel.merge_many([codec.decode(x) for x in b]))) for b in blobs])
 
 
 def rolling_summaries(summaries: DataFrame, time: str, before: int, keys: Sequence[str] = ()) -> DataFrame:

@@ -101,6 +101,14 @@ def test_merge_conserves(values, parts):
     assert np.isclose(kernel.rank(done, [max(values)])[0], len(values))
 
 
+def test_many_at_once():
+    x = np.random.default_rng(6).normal(size=40_000)
+    for parts, k in ((24, 50), (4000, 50)):
+        whole = kernel.finish(kernel.merge_many([kernel.summarize(p, AcsConfig(k=k)) for p in np.array_split(x, parts)]))
+        assert whole.n == len(x) and kernel.invariants(whole)["mass"] and float(whole.vmax) == x.max()
+        assert errors(lambda v, s=whole: kernel.rank(s, v), x)[1] < 0.02
+
+
 def test_heap_and_rounds_agree_in_error():
     x = np.random.default_rng(3).normal(size=20_000)
     found = [errors(lambda v, s=kernel.summarize(x, AcsConfig(k=50, fold=f, buffer_mult=20)): kernel.rank(s, v), x)[0] for f in ("rounds", "heap")]
