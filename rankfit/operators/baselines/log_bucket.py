@@ -25,7 +25,7 @@ class LogBuckets(Baseline):
         with np.errstate(divide="ignore"):
             place = np.ceil(np.log(np.abs(v)) / self.log_base - 1e-12).astype(float)
         shift = np.ceil(745 / self.log_base) + 2
-        return np.where(v == 0, 0, np.sign(v) * (place + shift)).astype(np.int64)
+        return np.where(v == 0, 0, np.sign(v) * (np.where(v == 0, 0, place) + shift)).astype(np.int64)
 
     def _edge(self, key: np.ndarray) -> np.ndarray:
         """Largest magnitude of a bucket."""
