@@ -4,7 +4,7 @@ Two generative models over hashed n-grams, one of target text (labelled good and
 give each document the log of its likelihood ratio. The n-grams are words, pairs of words and pairs of word shapes (a
 shape keeps case, digits and marks, and says whether a word repeats the one before), each family with hash buckets of
 its own; a document draws a bucket or doesn't, so a text that repeats one n-gram a thousand times tells no more of it
-than another. Raw counts cover every document; target counts come from at most `labelled_rows` labelled documents.
+than another. Raw counts cover every document; target counts come from about `labelled_rows` labelled documents.
 With the raw counts scaled to the target's size, both models add the same pseudo-count. A bucket whose two rates differ by
 less than `least_effect` or `least_errors` standard errors has ratio one: what both models say alike must not add up
 over a long text and hide what they don't.
@@ -30,7 +30,7 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame, functions as F
 
-from rankfit.llm.rows import keep_rows, text_hash
+from rankfit.llm.rows import hashed_sample, keep_rows, text_hash
 from rankfit.session import cut, ship
 
 WORD_BITS, PAIR_BITS, SHAPE_BITS, BLOCK_BITS = 20, 18, 16, 16
@@ -141,10 +141,10 @@ def _sum_batches(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def _chosen(labels: DataFrame, bound: int, seed: int) -> DataFrame:
-    """At most `bound` labelled ids by hash: (label_id, good), good if every label of the id says so."""
+    """About `bound` labelled ids by hash: (label_id, good), good if every label of the id says so."""
     good = (F.col("quality") == 1) & (F.coalesce(F.col("toxic"), F.lit(0)) == 0)
     each = labels.where("doc_id is not null and quality is not null").groupBy(F.col("doc_id").cast("long").alias("label_id")).agg(F.min(good.cast("int")).alias("good"))
-    return cut(each.orderBy(F.xxhash64(F.lit(seed), "label_id"), "label_id").limit(bound))
+    return cut(hashed_sample(cut(each), bound, seed))
 
 
 def learn(docs: DataFrame, chosen: DataFrame, pseudo: float = PSEUDO, least_effect: float = LEAST_EFFECT, least_errors: float = LEAST_ERRORS) -> np.ndarray:

@@ -28,3 +28,16 @@ def keep_rows(docs: DataFrame, kept: DataFrame) -> DataFrame:
     several = F.broadcast(several) if few <= FEW else several
     again = rows.join(several, same, "left_semi").groupBy("id", "text_hash").agg(F.min("r").alias("r"))
     return rows.join(several, same, "left_anti").select("r.*").unionByName(again.select("r.*"))
+
+
+def hashed_sample(rows: DataFrame, bound: int, seed: int) -> DataFrame:
+    """About `bound` rows of a stored table, all if it has fewer: those whose own hash lies in the lowest share.
+
+    Each task filters its rows alone, so nothing is sorted and no more than the sample leaves the tasks; the hash is
+    the row's, not an id's, so that an id of many rows is no more likely to fill the sample than others.
+    """
+    n = rows.count()
+    if n <= bound:
+        return rows
+    place = F.xxhash64(F.lit(seed), F.monotonically_increasing_id()).cast("double") / 2.0**64 + 0.5
+    return rows.where(place <= bound / n)
