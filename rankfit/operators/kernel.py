@@ -234,7 +234,7 @@ class Chooser:
         return best, float(self.rank_at(np.array([best]))[0])
 
     def reduce(self, t: np.ndarray, locked: np.ndarray, size: int) -> tuple[np.ndarray, np.ndarray]:
-        """Join the best pairs until `size` thresholds are left: a quarter of the excess in each round, half while there are many."""
+        """Join the best pairs until `size` thresholds are left: half of the excess in each round."""
         rank = self.rank_at(t) if len(t) > size else None
         while len(t) > size and len(t) > 2:
             b = np.diff(rank, prepend=0.0)
@@ -247,7 +247,7 @@ class Chooser:
             empty = np.where((b[1:-1] <= 0) | (b[2:] <= 0), -1.0, score[1:-1])
             order = 1 + np.argsort(np.where(free, empty, np.inf), kind="stable")
             excess = len(t) - size
-            want = excess if excess < 8 else excess // (2 if len(t) > 3 * size else 4)
+            want = excess if excess < 8 else excess // 2
             used, drop = np.zeros(len(t) + 1, bool), []
             for i in order.tolist():
                 if len(drop) == want or locked[i]:

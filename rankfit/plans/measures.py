@@ -44,7 +44,7 @@ def method(name: str, size: int):
 
 def sized(name: str, n_bytes: int) -> int:
     """The size parameter that gives about `n_bytes`."""
-    per = {"compactor": 24, "rank_bounds": 24, "moments": 16, "centroids": 9}.get(name, 16)
+    per = {"compactor": 12, "rank_bounds": 24, "moments": 16, "centroids": 9}.get(name, 16)
     return max({"moments": 3, "compactor": 8}.get(name, 6), n_bytes // per - (1 if name == "moments" else 0))
 
 
