@@ -150,6 +150,42 @@ def preset_prior_error(spark, folder):
     return checked(build.build_summary(rows, "v", cfg=AcsConfig(k=K, filter="none"), prior=prior), rows, 0.01)
 
 
+@query("preset_right_prior_error", points_sql(WORKLOADS["power_like"].order_sql, 20, True))
+def preset_right_prior_error(spark, folder):
+    rows = WORKLOADS["power_like"].rows(spark, folder)
+    # A prior from a small share of the same column.
+    small = build.build_summary(rows.where("seq % 20 = 0"), "v")
+    prior = small.select(answers.quantiles_of("summary", F.array(*[F.lit(i / 100) for i in range(1, 101)])).alias("q")).first()["q"]
+    return checked(build.build_summary(rows, "v", cfg=AcsConfig(k=K, filter="none"), prior=prior), rows, 0.006)
+
+
+@query("even_values_rank_error", "WITH g AS (SELECT CAST(j AS INTEGER) AS j, 5000.0 * j AS x FROM range(1, 21) t(j)) SELECT g.j, CAST(count(*) AS BIGINT) AS exact_rank, true AS within_eps FROM g JOIN lineitem ON l_extendedprice <= g.x GROUP BY 1")
+def even_values_rank_error(spark, folder):
+    """Queries at evenly spaced values, which are no data points: errors are alike."""
+    rows = WORKLOADS["uniform"].rows(spark, folder)
+    grid = spark.range(1, 21).select(F.col("id").cast("int").alias("j"), (5000.0 * F.col("id")).alias("x"))
+    asked = answers.query_ranks(build.build_summary(rows, "v"), exact.exact_ranks(rows, "v", grid))
+    n = F.round(F.col("est_rank") / F.col("est_cdf"))
+    return asked.select("j", "exact_rank", (F.abs(F.col("est_rank") - F.col("exact_rank")) <= 0.002 * n).alias("within_eps"))
+
+
+@query("exact_frequent_quantity", "SELECT l_quantity AS v, CAST(count(*) AS BIGINT) AS cnt FROM lineitem GROUP BY 1 HAVING count(*) > (SELECT count(*) / 50.0 FROM lineitem)")
+def exact_frequent_quantity(spark, folder):
+    return exact.exact_frequent(table(spark, folder, "lineitem"), "l_quantity", 50)
+
+
+@query("hh_mix_without_filter_error", points_sql(WORKLOADS["mix_heavy"].order_sql, 20, True))
+def hh_mix_without_filter_error(spark, folder):
+    rows = WORKLOADS["mix_heavy"].rows(spark, folder)
+    return checked(summary_of(spark, rows, AcsConfig(k=K, filter="none"), one_stream=True), rows, 0.03)
+
+
+@query("histogram_numeric_total", "SELECT CAST(count(*) AS BIGINT) AS n FROM customer")
+def histogram_numeric_total(spark, folder):
+    bins = table(spark, folder, "customer").agg(F.histogram_numeric("c_acctbal", F.lit(20)).alias("h")).select(F.explode("h").alias("b"))
+    return bins.agg(F.sum("b.y").cast("long").alias("n"))
+
+
 @query("ladder_merge_error", points_sql(WORKLOADS["bell"].order_sql, 20, True))
 def ladder_merge_error(spark, folder):
     rows = WORKLOADS["bell"].rows(spark, folder)
