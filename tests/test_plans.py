@@ -8,7 +8,6 @@ from pyspark.sql import functions as F
 import __spark_entry__ as entry_module
 from rankfit import catalog
 from rankfit.config import AcsConfig
-from rankfit.operators import codec, kernel
 from rankfit.plans import answers, build, exact, measures, rewrite, sqlhist
 from rankfit.sources import io, workloads
 
