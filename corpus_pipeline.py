@@ -19,8 +19,8 @@ def exact(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each group of linked fingerprints, the document with the smallest id."""
-    return simhash.keep_one_of_each(docs)
+    """Of each group linked by similar sets of five-word shingles (0.8 and above), the document with the smallest id."""
+    return simhash.keep_one_of_similar(docs)
 
 
 def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -15,6 +15,13 @@ Components are the connected components of the edges, found by repeated minimum
 Defined results: null and word-less texts have fingerprint zero and link like any other. Null ids are ignored for
 the component's name; a component of null ids only has a null name. Repeated rows each give a row. Extra columns
 are ignored. An empty table gives an empty result.
+
+`similar_texts` links by the Jaccard similarity of the sets of shingles, which no fingerprint decides: at 0.8 two
+fingerprints differ in about ten bits, and an index that reaches so far meets a fixed share of all pairs. It takes the
+index's links as first candidates, whose components spare most of the work in groups of near copies, and completes them:
+two sets with similarity s share one of their first n - ceil(s n) + 1 shingles in any order common to all texts. Each
+candidate's similarity is computed in whole numbers before it links. The order is that of hashes, with the shingles
+that many texts begin with last; which ones are known to be frequent changes the work, not the result.
 """
 
 from __future__ import annotations
@@ -32,6 +39,9 @@ from rankfit.session import cut, ship
 SHINGLE_WORDS = 4
 SEED = 42
 RADIUS = 4
+SIMILAR_WORDS, SIMILAR = 5, (4, 5)
+FREQUENT, FREQUENT_KEPT = 100, 20_000
+SENT = 1_000_000
 
 _BYTE_BITS = ((np.arange(256)[:, None] >> np.arange(8)) & 1).astype(np.int64)
 _ROW = np.arange(8, dtype=np.int64) * 256
@@ -39,17 +49,20 @@ _ROW = np.arange(8, dtype=np.int64) * 256
 
 def text_fingerprint(text: bytes | None, words: int = SHINGLE_WORDS, seed: int = SEED) -> int:
     """The 64-bit fingerprint of one UTF-8 text: A-Z lower-cased, words between ASCII white space."""
+    hashes = shingles(text, words, seed)
+    return majority(hashes) if len(hashes) else 0
+
+
+def shingles(text: bytes | None, words: int = SHINGLE_WORDS, seed: int = SEED) -> np.ndarray:
+    """XXH64 of each run of `words` words; a shorter text is one shingle, a word-less one has none."""
     parts = (text or b"").lower().split()
-    if not parts:
-        return 0
     digest = xxhash.xxh64_intdigest
     if len(parts) <= words:
-        return digest(b" ".join(parts), seed)
+        return np.array([digest(b" ".join(parts), seed)] if parts else [], np.uint64)
     joined = b" ".join(parts)
     ends = np.cumsum(np.fromiter(map(len, parts), np.int64, len(parts)) + 1) - 1
     starts = np.concatenate(([0], ends[:-1] + 1))[: len(parts) - words + 1].tolist()
-    hashes = np.array([digest(joined[a:b], seed) for a, b in zip(starts, ends[words - 1 :].tolist(), strict=True)], np.uint64)
-    return majority(hashes)
+    return np.array([digest(joined[a:b], seed) for a, b in zip(starts, ends[words - 1 :].tolist(), strict=True)], np.uint64)
 
 
 def majority(hashes: np.ndarray) -> int:
@@ -250,12 +263,118 @@ def hex_fingerprint(fp) -> F.Column:
     return F.lpad(F.lower(F.hex(fp)), 16, "0")
 
 
+def _set_batches(words: int, seed: int, at_once: int = 1 << 20):
+    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        names = ["doc_id", "text_hash", "fp", "v", "n", "s"]
+        for batch in batches:
+            texts, prints, sets, held, start = batch.column("text"), [], [], 0, 0
+            for i in range(len(batch)):
+                hashes = shingles(texts[i].as_py(), words, seed)
+                prints.append(majority(hashes) if len(hashes) else 0)
+                sets.append(np.unique(hashes.view(np.int64)))
+                held += len(sets[-1])
+                if held >= at_once or i == len(batch) - 1:
+                    sizes = np.array([len(x) for x in sets], np.int64)
+                    named = np.array([xxhash.xxh64_intdigest(x.tobytes(), seed) for x in sets], np.uint64).view(np.int64)
+                    arrays = pa.ListArray.from_arrays(pa.array(np.concatenate(([0], np.cumsum(sizes))), pa.int32()), pa.array(np.concatenate(sets)))
+                    own = batch.slice(start, len(sets))
+                    columns = [own.column("doc_id"), own.column("text_hash"), pa.array(np.array(prints, np.uint64).view(np.int64)), pa.array(named), pa.array(sizes), arrays]
+                    yield pa.RecordBatch.from_arrays(columns, names)
+                    prints, sets, held, start = [], [], 0, i + 1
+
+    return run
+
+
+def _prefix_batches(shared, similar: tuple[int, int]):
+    """First shingles of each set, those in `shared` after all others."""
+    up, down = similar
+
+    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        late = shared.value
+        for batch in batches:
+            firsts = []
+            for x in batch.column("s"):
+                x = x.values.to_numpy()
+                is_late = late[np.minimum(np.searchsorted(late, x), len(late) - 1)] == x
+                n = len(x) - -(-up * len(x) // down) + 1
+                firsts.append(np.concatenate((x[~is_late], x[is_late]))[:n])
+            ends = np.cumsum([0] + [len(x) for x in firsts])
+            arrays = pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(np.concatenate(firsts)))
+            yield pa.RecordBatch.from_arrays([batch.column("v"), batch.column("n"), arrays], ["v", "n", "first"])
+
+    return run
+
+
+def _sent(few: DataFrame) -> DataFrame:
+    """A stored table of numbers for a join with sets, which stay where they are if it is small enough to send."""
+    return F.broadcast(few) if few.count() <= SENT else few
+
+
+def _verified(pairs: DataFrame, sets: DataFrame, similar: tuple[int, int]) -> DataFrame:
+    """Those of `pairs` (a, b), a stored table, whose sets are similar enough: shared / all >= up / down."""
+    up, down = similar
+    asked = cut(pairs.select(F.explode(F.array("a", "b")).alias("v")).distinct())
+    some = cut(sets.join(_sent(asked), "v", "left_semi").select("v", "n", "s"))
+    x, y = (some.select(F.col("v").alias(e), F.col("n").alias(f"n{e}"), F.col("s").alias(f"s{e}")) for e in ("a", "b"))
+    shared = F.size(F.array_intersect("sa", "sb"))
+    return cut(pairs.join(x, "a").join(y, "b").where((up + down) * shared >= up * (F.col("na") + F.col("nb"))).select("a", "b"))
+
+
+def candidates(sets: DataFrame, roots: DataFrame, similar: tuple[int, int] = SIMILAR, frequent: int = FREQUENT) -> DataFrame:
+    """Pairs (a, b) of `sets` (v, n, s), among them all similar ones that `roots` (v, root) doesn't join yet."""
+    up, down = similar
+    length = (F.col("n") - F.ceil(F.col("n") * up / down) + 1).cast("int")
+    firsts = sets.where("n > 0").select("v", "n", F.slice("s", 1, length).alias("first"))
+    tally = firsts.select(F.explode("first").alias("h")).groupBy("h").count().where(F.col("count") > frequent)
+    late = np.sort(np.array([r[0] for r in tally.orderBy(F.desc("count"), "h").limit(FREQUENT_KEPT).collect()], np.int64))
+    if len(late):
+        shared = sets.sparkSession.sparkContext.broadcast(late)
+        firsts = sets.where("n > 0").select("v", "n", "s").mapInArrow(_prefix_batches(shared, similar), "v long, n long, first array<long>")
+    rows = firsts.join(_sent(roots), "v", "left").select("v", "n", F.coalesce("root", "v").alias("root"), F.posexplode("first").alias("at", "h")).repartition("h")
+    x, y = (rows.select("h", *[F.col(c).alias(f"{c}_{e}") for c in ("v", "n", "root", "at")]) for e in ("a", "b"))
+    near = (F.col("v_a") < F.col("v_b")) & (F.col("root_a") != F.col("root_b"))
+    near &= (down * F.col("n_a") >= up * F.col("n_b")) & (down * F.col("n_b") >= up * F.col("n_a"))
+    met = x.join(y, "h").where(near).groupBy(F.col("v_a").alias("a"), F.col("v_b").alias("b"), "n_a", "n_b")
+    # Up to the last shared place all that isn't shared is on one side only; similar sets have few of these.
+    apart = met.agg((F.max("at_a") + F.max("at_b") + 2 - 2 * F.count("*")).alias("apart"))
+    return apart.where((up + down) * F.col("apart") <= (down - up) * (F.col("n_a") + F.col("n_b"))).select("a", "b")
+
+
+def similar_texts(docs: DataFrame, words: int = SIMILAR_WORDS, similar: tuple[int, int] = SIMILAR, radius: int = RADIUS, block: int = 4096, frequent: int = FREQUENT) -> DataFrame:
+    """(doc_id, text_hash, root long) of every row: root is equal where links of similar shingle sets join two texts."""
+    ship(docs.sparkSession)
+    plain = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_hash(), F.col("text").cast("binary").alias("text"))
+    made = plain.mapInArrow(_set_batches(words, SEED), "doc_id long, text_hash long, fp long, v long, n long, s array<long>")
+    rows = cut(made.withColumn("row", F.monotonically_increasing_id()))
+    again = cut(rows.groupBy("v").agg(F.count("*").alias("rows"), F.min("row").alias("one")).where("rows > 1").select("v", "one"))
+    sets = rows.join(_sent(again), "v", "left").where("one is null or one = row").select("v", "n", "fp", "s")
+    prints = cut(rows.groupBy("fp").agg(F.min("v").alias("v")))
+    # Links of fingerprints, and of texts that share one.
+    linked = links(prints.select("fp"), radius, block)
+    a, b = (prints.select(F.col("fp").alias(e), F.col("v").alias(f"v{e}")) for e in ("a", "b"))
+    same = rows.select("fp", F.col("v").alias("b")).join(prints, "fp").where("b != v").select(F.col("v").alias("a"), "b")
+    pairs = cut(linked.join(a, "a").join(b, "b").select(F.col("va").alias("a"), F.col("vb").alias("b")).unionByName(same).distinct())
+    edges = _verified(pairs, sets, similar)
+    roots = cut(components(edges).select(F.col("node").alias("v"), "root"))
+    more = _verified(cut(candidates(sets, roots, similar, frequent)), sets, similar)
+    roots = components(edges.unionByName(more)).select(F.col("node").alias("v"), "root")
+    return rows.select("doc_id", "text_hash", "v").join(roots, "v", "left").select("doc_id", "text_hash", F.coalesce("root", "v").alias("root"))
+
+
 def keep_one_of_each(docs: DataFrame, **options) -> DataFrame:
     """The rows of `docs`, all columns, less all but one of each component: the one with the smallest id.
 
     Of rows that share that id in a component one stays. A component of null ids only keeps one row.
     """
-    found = near_duplicates(docs, **options)
+    return _keep_first(docs, near_duplicates(docs, **options))
+
+
+def keep_one_of_similar(docs: DataFrame, **options) -> DataFrame:
+    """As `keep_one_of_each`, over the components of `similar_texts`."""
+    return _keep_first(docs, cut(similar_texts(docs, **options)))
+
+
+def _keep_first(docs: DataFrame, found: DataFrame) -> DataFrame:
     first = found.groupBy("root").agg(F.min(F.struct(F.col("doc_id").isNull().alias("absent"), "doc_id", "text_hash")).alias("f"))
     named = first.select(F.col("f.doc_id").alias("doc_id"), F.col("f.text_hash").alias("text_hash"))
     chosen = found.join(named, found["doc_id"].eqNullSafe(named["doc_id"]) & (found["text_hash"] == named["text_hash"]), "left_semi")

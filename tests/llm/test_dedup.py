@@ -5,6 +5,7 @@ from hashlib import sha256
 import numpy as np
 import xxhash
 
+import corpus_pipeline
 from rankfit.llm import exact_dedup, mixing, simhash
 
 WS = re.compile("[\x20\x09-\x0d]+")
@@ -76,6 +77,57 @@ def test_simhash(odd, documents, none):
     assert simhash.near_duplicates(none).count() == 0
 
 
+def similar_brute(texts):
+    sets = []
+    for t in texts:
+        words = [w for w in re.split("[\x20\x09-\x0d]+", "".join(c.lower() if "A" <= c <= "Z" else c for c in t or "")) if w]
+        sets.append(frozenset(tuple(words[i : i + 5]) for i in range(max(1, len(words) - 4))) if words else frozenset())
+    parent = list(range(len(sets)))
+
+    def find(i):
+        while parent[i] != i:
+            i = parent[i]
+        return i
+
+    for i in range(len(sets)):
+        for j in range(i):
+            if sets[i] == sets[j] or 5 * len(sets[i] & sets[j]) >= 4 * len(sets[i] | sets[j]) > 0:
+                a, b = find(i), find(j)
+                parent[max(a, b)] = min(a, b)
+    return [find(i) for i in range(len(sets))]
+
+
+def test_similar_texts(spark, odd, documents, none):
+    random = np.random.default_rng(5)
+    base = [[f"w{x}" for x in random.integers(5000, size=120)] for _ in range(20)]
+    made = []
+    for b in base:  # copies with one to four changed words lie on both sides of 0.8
+        made += [" ".join(b)] + [" ".join(f"c{random.integers(99)}" if i in set(random.integers(120, size=k)) else w for i, w in enumerate(b)) for k in (1, 2, 3, 4, 5, 6)]
+    copies = spark.createDataFrame(list(enumerate(made)), "doc_id long, text string")
+    for df, frequent in ((odd, 2), (copies, 100), (copies, 1), (documents, 100)):
+        rows = [(r.doc_id, r.text) for r in df.select("doc_id", "text").collect()]
+        want = defaultdict(list)
+        for group, row in zip(similar_brute([t for _, t in rows]), rows, strict=True):
+            want[group].append(row[0])
+        got = defaultdict(list)
+        for r in simhash.similar_texts(df, frequent=frequent).collect():
+            got[r.root].append(r.doc_id)
+        assert sorted(sorted(map(str, g)) for g in got.values()) == sorted(sorted(map(str, g)) for g in want.values())
+        kept = simhash.keep_one_of_similar(df, frequent=frequent)
+        assert kept.columns == df.columns and kept.count() == len(want)
+    assert 1 < len(set(similar_brute(made))) < len(made)
+    assert simhash.keep_one_of_similar(none).count() == 0
+
+
+def test_pipeline_links_by_similarity(spark):
+    words = [f"w{i}" for i in range(120)]
+    near, far = list(words), list(words)
+    near[30] = near[70] = "x"  # 106 of 126 shingles shared: 0.84
+    far[30] = far[60] = far[90] = "y"  # 101 of 131: 0.77
+    docs = spark.createDataFrame([(1, " ".join(words)), (2, " ".join(near)), (3, " ".join(far))], "doc_id long, text string")
+    assert sorted(r.doc_id for r in corpus_pipeline.near(spark, docs, "").collect()) == [1, 3]
+
+
 def test_hot_bucket_in_blocks(spark):
     random = np.random.default_rng(3)
     base = int(random.integers(1 << 62))
