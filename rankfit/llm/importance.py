@@ -4,14 +4,16 @@ Two generative models over hashed n-grams, one of target text (labelled good and
 give each document the log of its likelihood ratio. The n-grams are words, pairs of words and pairs of word shapes (a
 shape keeps case, digits and marks, and says whether a word repeats the one before), each family with hash buckets of
 its own; a document draws a bucket or doesn't, so a text that repeats one n-gram a thousand times tells no more of it
-than another. Raw counts cover every document; target counts come from about `labelled_rows` labelled documents.
+than another. Raw counts cover every document; target counts come from about `labelled_rows` labelled documents, kept
+apart in `FOLDS` folds by the text's hash. A labelled document is scored by a model of the other folds, never by one
+that counted its text, so that its log ratio is what it would be without the label; all others by the model of all folds.
 With the raw counts scaled to the target's size, both models add the same pseudo-count. A bucket whose two rates differ by
 less than `least_effect` or `least_errors` standard errors has ratio one: what both models say alike must not add up
 over a long text and hide what they don't.
 
 Documents are then sampled without replacement by Gumbel top-k: log ratio over `temperature` plus a Gumbel draw that
 hangs on the id alone; the k largest stay. k is the number of documents whose log ratio reaches the threshold that
-best parts labelled good rows from bad ones while it loses at most `lose` of the good. The k-th largest key is found
+best parts labelled good rows from bad ones, by these held-out ratios, while it loses at most `lose` of the good. The k-th largest key is found
 by repeated histograms, so no sort of all documents is needed.
 
 Defined results: null and word-less texts have log ratio zero and stay. Null ids draw one number. Rows with equal keys
@@ -28,13 +30,14 @@ from collections.abc import Iterable, Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame, functions as F
+from pyspark.sql import Column, DataFrame, functions as F
 
 from rankfit.llm.rows import hashed_sample, keep_rows, text_hash
 from rankfit.session import cut, ship
 
 WORD_BITS, PAIR_BITS, SHAPE_BITS, BLOCK_BITS = 20, 18, 16, 16
 LABELLED_ROWS, PSEUDO, LEAST_EFFECT, LEAST_ERRORS, TEMPERATURE, LOSE, DEFAULT_THRESHOLD, SEED = 20_000, 3.0, 0.7, 5.0, 0.02, 0.005, -3.0, 17
+FOLDS = 5
 
 FAMILIES = (0, 1 << WORD_BITS, (1 << WORD_BITS) + (1 << PAIR_BITS))
 BUCKETS = FAMILIES[2] + (1 << SHAPE_BITS)
@@ -105,25 +108,21 @@ def _blobs(raw: np.ndarray, target: np.ndarray, part: int) -> Iterator[pa.Record
     pack = lambda x: zlib.compress(x.astype("<i8").tobytes(), 1)
     for block in range(-(-(BUCKETS + 1) // step)):
         own = slice(block * step, (block + 1) * step)
-        if raw[own].any() or target[own].any():
-            columns = [pa.array([block], pa.int32()), pa.array([part], pa.int32()), pa.array([pack(raw[own])]), pa.array([pack(target[own])])]
+        if raw[own].any() or target[:, own].any():
+            columns = [pa.array([block], pa.int32()), pa.array([part], pa.int32()), pa.array([pack(raw[own])]), pa.array([pack(target[:, own])])]
             yield pa.RecordBatch.from_arrays(columns, ["block", "part", "raw", "target"])
 
 
 def _count_batches(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     from pyspark import TaskContext
 
-    raw, target, features = np.zeros(BUCKETS + 1, np.int64), np.zeros(BUCKETS + 1, np.int64), Features()
-    documents = [0, 0]
+    raw, target, features = np.zeros(BUCKETS + 1, np.int32), np.zeros((FOLDS, BUCKETS + 1), np.int32), Features()
     for batch in batches:
-        for text, good in zip(batch.column("text").to_pylist(), batch.column("good").to_pylist(), strict=True):
-            found = features(text)
+        for text, fold in zip(batch.column("text").to_pylist(), batch.column("fold").to_pylist(), strict=True):
+            found = np.append(features(text), BUCKETS)
             raw[found] += 1
-            documents[0] += 1
-            if good:
-                target[found] += 1
-                documents[1] += 1
-    raw[BUCKETS], target[BUCKETS] = documents
+            if fold is not None:
+                target[fold, found] += 1
     yield from _blobs(raw, target, TaskContext.get().partitionId())
 
 
@@ -147,20 +146,26 @@ def _chosen(labels: DataFrame, bound: int, seed: int) -> DataFrame:
     return cut(hashed_sample(cut(each), bound, seed))
 
 
+def _fold() -> Column:
+    """The fold of a text; equal texts share it."""
+    return F.pmod(F.xxhash64(F.lit(SEED + 2), "text"), F.lit(FOLDS)).cast("int").alias("fold")
+
+
 def learn(docs: DataFrame, chosen: DataFrame, pseudo: float = PSEUDO, least_effect: float = LEAST_EFFECT, least_errors: float = LEAST_ERRORS) -> np.ndarray:
-    """Log ratio of target to raw of every hash bucket; a table of fixed size."""
+    """Log ratios of target to raw of every hash bucket, a row for all folds but each and a last one for all of them."""
     good = F.broadcast(chosen.where("good = 1").select("label_id"))
-    rows = docs.select(F.col("doc_id").cast("long").alias("id"), F.col("text").cast("binary").alias("text"))
-    marked = rows.join(good, F.col("id") == F.col("label_id"), "left").select("text", F.col("label_id").isNotNull().alias("good"))
+    rows = docs.select(F.col("doc_id").cast("long").alias("id"), F.col("text").cast("binary").alias("text"), _fold())
+    marked = rows.join(good, F.col("id") == F.col("label_id"), "left").select("text", F.when(F.col("label_id").isNotNull(), F.col("fold")).alias("fold"))
     counted = marked.mapInArrow(_count_batches, _BLOB)
     # Two rounds: sums of some tasks' tables, then of all; a task holds one sum for each block it meets.
     some = counted.repartition("block", F.pmod("part", F.lit(16))).mapInArrow(_sum_batches, _BLOB)
-    raw, target = np.zeros(BUCKETS + 1, np.int64), np.zeros(BUCKETS + 1, np.int64)
+    raw, target = np.zeros(BUCKETS + 1, np.int64), np.zeros((FOLDS, BUCKETS + 1), np.int64)
     for row in some.repartition("block").mapInArrow(_sum_batches, _BLOB).collect():  # one row for each block
         own = slice(row["block"] << BLOCK_BITS, (row["block"] + 1) << BLOCK_BITS)
         raw[own] += np.frombuffer(zlib.decompress(row["raw"]), "<i8")
-        target[own] += np.frombuffer(zlib.decompress(row["target"]), "<i8")
-    return log_ratio(raw, target, pseudo, least_effect, least_errors)
+        target[:, own] += np.frombuffer(zlib.decompress(row["target"]), "<i8").reshape(FOLDS, -1)
+    whole = target.sum(0)
+    return np.array([log_ratio(raw, whole - part, pseudo, least_effect, least_errors) for part in (*target, np.zeros_like(whole))])
 
 
 def log_ratio(raw: np.ndarray, target: np.ndarray, pseudo: float = PSEUDO, least_effect: float = LEAST_EFFECT, least_errors: float = LEAST_ERRORS) -> np.ndarray:
@@ -171,23 +176,25 @@ def log_ratio(raw: np.ndarray, target: np.ndarray, pseudo: float = PSEUDO, least
     return np.where(clear, ratio, 0).astype(np.float32) if target[-1] else np.zeros(len(ratio), np.float32)
 
 
-def log_weights(docs: DataFrame, ratio: np.ndarray) -> DataFrame:
-    """(doc_id, text_hash, n_features, log_ratio) of every row, as a stored table."""
-    shared = docs.sparkSession.sparkContext.broadcast(ratio)
+def log_weights(docs: DataFrame, ratios: np.ndarray, chosen: DataFrame) -> DataFrame:
+    """(doc_id, text_hash, n_features, log_ratio) of every row, those of `chosen` held out, as a stored table."""
+    shared = docs.sparkSession.sparkContext.broadcast(ratios)
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        table, features = shared.value, Features()
+        tables, features = shared.value, Features()
         for batch in batches:
             found = [features(t) for t in batch.column("text").to_pylist()]
-            columns = [pa.array([len(f) for f in found], pa.int64()), pa.array([float(table[f].sum(dtype=np.float64)) for f in found], pa.float64())]
+            columns = [pa.array([len(f) for f in found], pa.int64()), pa.array([float(tables[k, f].sum(dtype=np.float64)) for k, f in zip(batch.column("fold").to_pylist(), found, strict=True)], pa.float64())]
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("text_hash"), *columns], ["doc_id", "text_hash", "n_features", "log_ratio"])
 
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_hash(), F.col("text").cast("binary").alias("text"))
-    return cut(rows.mapInArrow(run, "doc_id long, text_hash long, n_features long, log_ratio double"))
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_hash(), F.col("text").cast("binary").alias("text"), _fold())
+    labelled = F.broadcast(chosen.select("label_id"))
+    rows = rows.join(labelled, F.col("doc_id") == F.col("label_id"), "left").withColumn("fold", F.when(F.col("label_id").isNotNull(), F.col("fold")).otherwise(FOLDS))
+    return cut(rows.select("doc_id", "text_hash", "text", "fold").mapInArrow(run, "doc_id long, text_hash long, n_features long, log_ratio double"))
 
 
 def threshold(weights: DataFrame, chosen: DataFrame, lose: float = LOSE) -> float:
-    """Where log ratios of labelled good rows part best from those of bad ones."""
+    """Where held-out log ratios of labelled good rows part best from those of bad ones."""
     found = weights.join(F.broadcast(chosen), F.col("doc_id") == F.col("label_id")).select("log_ratio", "good").toPandas()
     good, bad = np.sort(found["log_ratio"][found["good"] == 1].to_numpy()), np.sort(found["log_ratio"][found["good"] == 0].to_numpy())
     if len(good) < 5 or len(bad) < 5:
@@ -225,7 +232,7 @@ def sampled(docs: DataFrame, labels: DataFrame, labelled_rows: int = LABELLED_RO
     """(doc_id, text_hash, n_features, log_ratio, sample_key, kept) of every row of `docs`."""
     ship(docs.sparkSession)
     chosen = _chosen(labels, labelled_rows, seed)
-    weights = log_weights(docs, learn(docs, chosen))
+    weights = log_weights(docs, learn(docs, chosen), chosen)
     least = threshold(weights, chosen, lose)
     uniform = (F.shiftrightunsigned(F.xxhash64(F.lit(seed + 1), "doc_id"), 11).cast("double") + 0.5) / float(1 << 53)
     keyed = cut(weights.withColumn("sample_key", F.col("log_ratio") / temperature - F.log(-F.log(uniform))))

@@ -102,6 +102,16 @@ def test_importance(spark, odd, none):
     assert importance.accepted(none, labels).count() == 0
 
 
+def test_importance_keeps_good_rows_it_did_not_learn_from(spark):
+    df = spark.read.parquet("/root/testdata/sf0.1/documents.parquet")
+    labels = spark.read.parquet("/root/testdata/sf0.1/labels.parquet").cache()
+    kept = {r.doc_id: r.kept for r in importance.sampled(df, labels.where("doc_id % 5 != 0")).select("doc_id", "kept").collect()}
+    rows = [(r.quality == 1 and r.toxic == 0, kept[r.doc_id]) for r in labels.where("doc_id % 5 = 0").collect() if r.doc_id in kept]
+    good, bad = [k for ok, k in rows if ok], [k for ok, k in rows if not ok]
+    assert len(good) > 300 and sum(good) >= 0.98 * len(good)
+    assert sum(bad) <= 0.4 * len(bad)
+
+
 def test_kth_largest(spark):
     values = [float(v) for v in np.random.default_rng(2).normal(size=3000).round(2)]
     df = spark.createDataFrame([(v,) for v in values], "v double").cache()
