@@ -4,13 +4,15 @@ A text's fingerprint has a bit for each of 64 places, one where over half of its
 one. Two fingerprints link at a Hamming distance of at most `radius`. The index cuts fingerprints into three
 segments of 21, 21 and 22 bits and stores every fingerprint under each segment. A pair within distance 4 differs
 by at most 1, 1 or 0 bits in one of them (if all exceeded that, the sum would be 5), so a probe enumerates the
-Hamming balls of those radii, fetches the fingerprints stored under each value and verifies whole distances.
+Hamming balls of those radii, fetches the fingerprints stored under each value and verifies whole distances. Beyond
+`MANY` fingerprints there are two segments of 32 bits with radii 2 and 1, whose buckets stay small for longer.
 
 Equal fingerprints are one vertex, however many rows share them. Inside one (segment, value) bucket the verified
 links are reduced to a spanning forest, so the number of edges that leave a task is below its number of rows even
 where thousands of near copies are all linked with each other; buckets above `block` stored fingerprints are cut
 into blocks, each of which meets every probe, so that no link is lost and no task holds a whole large group.
-Components are the connected components of the edges, found by repeated minimum labelling with pointer jumps.
+Components are the connected components of the edges, found by repeated minimum labelling until nothing changes; the
+neighbours of a hub learn its label from a table sent to all tasks, so that no task meets all of them.
 
 Defined results: null and word-less texts have fingerprint zero and link like any other. Null ids are ignored for
 the component's name; a component of null ids only has a null name. Repeated rows each give a row. Extra columns
@@ -21,7 +23,8 @@ fingerprints differ in about ten bits, and an index that reaches so far meets a
 index's links as first candidates, whose components spare most of the work in groups of near copies, and completes them:
 two sets with similarity s share one of their first n - ceil(s n) + 1 shingles in any order common to all texts. Each
 candidate's similarity is computed in whole numbers before it links. The order is that of hashes, with the shingles
-that many texts begin with last; which ones are known to be frequent changes the work, not the result.
+that many texts begin with last; which ones are known to be frequent changes the work, not the result. Only the first
+shingles are stored; whole sets are made anew from the texts where a candidate has to be verified.
 """
 
 from __future__ import annotations
@@ -34,7 +37,7 @@ import xxhash
 from pyspark.sql import DataFrame, functions as F
 
 from rankfit.llm.rows import keep_rows, text_hash
-from rankfit.session import cut, ship
+from rankfit.session import Scratch, cut, ship
 
 SHINGLE_WORDS = 4
 SEED = 42
@@ -42,6 +45,7 @@ RADIUS = 4
 SIMILAR_WORDS, SIMILAR = 5, (4, 5)
 FREQUENT, FREQUENT_KEPT = 100, 20_000
 SENT = 1_000_000
+MANY, HUB = 1 << 25, 256
 
 _BYTE_BITS = ((np.arange(256)[:, None] >> np.arange(8)) & 1).astype(np.int64)
 _ROW = np.arange(8, dtype=np.int64) * 256
@@ -92,18 +96,17 @@ def fingerprints(docs: DataFrame, words: int = SHINGLE_WORDS, seed: int = SEED)
     return plain.mapInArrow(_fingerprint_batches(words, seed), "doc_id long, text_hash long, fp long")
 
 
-def _balls(radius: int) -> list[tuple[int, int, int, int]]:
+def _balls(radius: int, widths: tuple[int, ...]) -> list[tuple[int, int, int, int]]:
     """(segment, shift, mask of its width, flip) of every probe; flip 0 is also what the index stores."""
-    widths = (21, 21, 22)
     # The radii of the segments and one more each must exceed the radius in all.
-    radii = [(radius + 1 - len(widths) + i) // len(widths) if radius >= 2 else 0 for i in range(len(widths))][::-1]
+    radii = [max(0, (radius + 1 - len(widths) + i) // len(widths)) for i in range(len(widths))][::-1]
     out, shift = [], 0
     for segment, (width, r) in enumerate(zip(widths, radii, strict=True)):
+        if r > 2:
+            raise ValueError(f"radius {radius} needs more segments than {len(widths)}")
         flips = [0] + [1 << i for i in range(width)] * (r >= 1)
-        if r >= 2:
+        if r == 2:
             flips += [1 << i | 1 << j for i in range(width) for j in range(i)]
-        if r > 2:
-            raise ValueError("radius above 8 needs another cut into segments")
         out += [(segment, shift, (1 << width) - 1, f) for f in flips]
         shift += width
     return out
@@ -204,12 +207,13 @@ def _linked_batches(radius: int, pairs_at_once: int = 1 << 20):
     return run
 
 
-def links(prints: DataFrame, radius: int = RADIUS, block: int = 4096) -> DataFrame:
-    """Edges (a, b) over the distinct `fp` of `prints` whose components are those of all links within `radius`."""
-    probe = F.explode(F.array(*[F.struct(F.lit(s).cast("long").alias("s"), F.lit(h).alias("h"), F.lit(m).cast("long").alias("m"), F.lit(f << h if f << h < 1 << 63 else (f << h) - (1 << 64)).cast("long").alias("f")) for s, h, m, f in _balls(radius)]))
+def links(prints: DataFrame, radius: int = RADIUS, block: int = 4096, many: int = MANY) -> DataFrame:
+    """Edges (a, b) over the distinct `fp` of `prints`, a stored table, whose components are those of all links within `radius`."""
+    widths = (32, 32) if prints.count() > many and radius <= 5 else (21, 21, 22)
+    probe = F.explode(F.array(*[F.struct(F.lit(s).cast("long").alias("s"), F.lit(h).alias("h"), F.lit(m).cast("long").alias("m"), F.lit(f << h if f << h < 1 << 63 else (f << h) - (1 << 64)).cast("long").alias("f")) for s, h, m, f in _balls(radius, widths)]))
     flipped = F.col("fp").bitwiseXOR(F.col("p.f"))
     value = F.expr("shiftrightunsigned(fp ^ p.f, p.h) & p.m")
-    rows = prints.select("fp", probe.alias("p")).select("fp", (F.col("p.s") * (1 << 22) + value).alias("key"), (flipped == F.col("fp")).alias("own"))
+    rows = prints.select("fp", probe.alias("p")).select("fp", (F.col("p.s") * (1 << 33) + value).alias("key"), (flipped == F.col("fp")).alias("own"))
     # Hot buckets: every stored and every visiting fingerprint has a block of its own and meets all blocks of the other kind.
     hot = cut(rows.where("own").groupBy("key").count().where(F.col("count") > block).select("key", F.ceil(F.col("count") / block).cast("int").alias("blocks")))
     if hot.isEmpty():
@@ -226,25 +230,47 @@ def links(prints: DataFrame, radius: int = RADIUS, block: int = 4096) -> DataFra
     return sorted_rows.mapInArrow(_linked_batches(radius), "a long, b long").distinct()
 
 
-def components(edges: DataFrame, rounds: int = 60) -> DataFrame:
+def _labelled(edges: DataFrame, least: DataFrame, hubs: DataFrame) -> DataFrame:
+    """`edges` (u, v) with the label m of u from `least` (u, m); those of `hubs` (u), a small stored table, are sent."""
+    sent = F.broadcast(cut(least.join(F.broadcast(hubs), "u", "left_semi")).withColumnRenamed("m", "hub_m"))
+    both = edges.join(sent, "u", "left")
+    rest = both.where("hub_m is null").drop("hub_m").join(least, "u")
+    return both.where("hub_m is not null").withColumnRenamed("hub_m", "m").unionByName(rest)
+
+
+def _hubs(edges: DataFrame, hub: int = HUB) -> DataFrame:
+    """The nodes u of `edges` (u, v) with more than `hub` edges, as a stored table; of too many, those with most."""
+    degrees = cut(edges.groupBy("u").count().where(F.col("count") > hub))
+    while degrees.count() > SENT:
+        hub *= 8
+        degrees = degrees.where(F.col("count") > hub)
+    return degrees.select("u")
+
+
+def components(edges: DataFrame, hub: int = HUB) -> DataFrame:
     """(node, root) of every node of `edges` (a, b): root is the smallest node of its component.
 
     Alternates two steps until nothing changes: every node's larger neighbours are tied to the smallest node it
-    knows, then so are its smaller ones. Both are an aggregate and a join, which a hub's many edges can't overload.
+    knows, then so are its smaller ones. Both are an aggregate, which combines before rows move, and a join, in which
+    a hub's label goes to its edges.
     """
+
+    def told(rows: DataFrame) -> tuple:
+        return tuple(rows.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first())
+
     now = cut(edges.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u != v").distinct())
-    size = now.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
-    for _ in range(rounds):
-        both = now.unionByName(now.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        least = both.groupBy("u").agg(F.least(F.min("v"), F.first("u")).alias("m"))
-        large = both.where("v > u").join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u != v").distinct()
+    size, then = told(now), None
+    while size != then:
+        turned = now.select(F.col("v").alias("u"), F.col("u").alias("v"))
+        least = now.unionByName(turned).groupBy("u").agg(F.least(F.min("v"), F.first("u")).alias("m"))
+        hubs = _hubs(turned, hub)
+        met = turned.join(least, "u") if hubs.isEmpty() else _labelled(turned, least, hubs)
+        large = met.select(F.col("v").alias("u"), F.col("m").alias("v")).where("u != v").distinct()
         least = large.groupBy("u").agg(F.min("v").alias("m"))
         small = large.join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).unionByName(least.select("u", F.col("m").alias("v")))
         now = cut(small.where("u != v").distinct())
-        then, size = size, now.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
-        if tuple(then) == tuple(size):
-            return now.select(F.col("u").alias("node"), F.col("v").alias("root")).unionByName(now.select(F.col("v").alias("node"), F.col("v").alias("root")).distinct())
-    raise RuntimeError(f"components did not settle in {rounds} rounds")
+        size, then = told(now), size
+    return now.select(F.col("u").alias("node"), F.col("v").alias("root")).unionByName(now.select(F.col("v").alias("node"), F.col("v").alias("root")).distinct())
 
 
 def near_duplicates(docs: DataFrame, radius: int = RADIUS, words: int = SHINGLE_WORDS, block: int = 4096) -> DataFrame:
@@ -263,102 +289,255 @@ def hex_fingerprint(fp) -> F.Column:
     return F.lpad(F.lower(F.hex(fp)), 16, "0")
 
 
-def _set_batches(words: int, seed: int, at_once: int = 1 << 20):
+def _lists(found: list[np.ndarray]) -> pa.Array:
+    return pa.ListArray.from_arrays(pa.array(np.cumsum([0] + [len(x) for x in found]), pa.int32()), pa.array(np.concatenate(found) if found else np.zeros(0, np.int64)))
+
+
+def _named(distinct: np.ndarray, seed: int = SEED) -> int:
+    """A set's name: the hash of its sorted shingles."""
+    return int(np.uint64(xxhash.xxh64_intdigest(distinct.tobytes(), seed)).astype(np.int64))
+
+
+def _firsts(distinct: np.ndarray, similar: tuple[int, int], late: np.ndarray | None = None) -> np.ndarray:
+    """The shingles of which similar sets share one: the first by hash, those in `late` after all others."""
+    up, down = similar
+    n = len(distinct) - -(-up * len(distinct) // down) + 1 if len(distinct) else 0
+    if late is not None and len(late):
+        is_late = late[np.minimum(np.searchsorted(late, distinct), len(late) - 1)] == distinct
+        distinct = np.concatenate((distinct[~is_late], distinct[is_late]))
+    return distinct[:n]
+
+
+_SETS = {"v": "v long", "fp": "fp long", "n": "n int", "first": "first array<long>", "s": "s array<long>"}
+
+
+def _set_batches(words: int, similar: tuple[int, int], wanted: tuple[str, ...], late=None, at_once: int = 1 << 20):
+    """Of each text, besides the columns that come with it, those of `_SETS` that are `wanted`."""
+
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        names = ["doc_id", "text_hash", "fp", "v", "n", "s"]
+        last = late.value if late is not None else None
         for batch in batches:
-            texts, prints, sets, held, start = batch.column("text"), [], [], 0, 0
+            texts, held, start = batch.column("text"), 0, 0
+            out = {c: [] for c in wanted}
             for i in range(len(batch)):
-                hashes = shingles(texts[i].as_py(), words, seed)
-                prints.append(majority(hashes) if len(hashes) else 0)
-                sets.append(np.unique(hashes.view(np.int64)))
-                held += len(sets[-1])
+                hashes = shingles(texts[i].as_py(), words)
+                distinct = np.unique(hashes.view(np.int64))
+                values = {"v": lambda d=distinct: _named(d), "fp": lambda h=hashes: majority(h) if len(h) else 0, "n": lambda d=distinct: len(d), "first": lambda d=distinct: _firsts(d, similar, last), "s": lambda d=distinct: d}
+                for c in wanted:
+                    out[c].append(values[c]())
+                held += len(distinct)
                 if held >= at_once or i == len(batch) - 1:
-                    sizes = np.array([len(x) for x in sets], np.int64)
-                    named = np.array([xxhash.xxh64_intdigest(x.tobytes(), seed) for x in sets], np.uint64).view(np.int64)
-                    arrays = pa.ListArray.from_arrays(pa.array(np.concatenate(([0], np.cumsum(sizes))), pa.int32()), pa.array(np.concatenate(sets)))
-                    own = batch.slice(start, len(sets))
-                    columns = [own.column("doc_id"), own.column("text_hash"), pa.array(np.array(prints, np.uint64).view(np.int64)), pa.array(named), pa.array(sizes), arrays]
-                    yield pa.RecordBatch.from_arrays(columns, names)
-                    prints, sets, held, start = [], [], 0, i + 1
+                    own = batch.slice(start, i + 1 - start)
+                    made = [_lists(x) if c in ("first", "s") else pa.array(np.array(x, np.uint64).view(np.int64)) if c == "fp" else pa.array(x, pa.int32() if c == "n" else pa.int64()) for c, x in out.items()]
+                    names = [c for c in own.schema.names if c != "text"]
+                    yield pa.RecordBatch.from_arrays([*(own.column(c) for c in names), *made], [*names, *wanted])
+                    out, held, start = {c: [] for c in wanted}, 0, i + 1
 
     return run
 
 
-def _prefix_batches(shared, similar: tuple[int, int]):
-    """First shingles of each set, those in `shared` after all others."""
-    up, down = similar
+def _late_batches(shared):
+    """Whether any of a set's first shingles is known to be frequent."""
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         late = shared.value
         for batch in batches:
-            firsts = []
-            for x in batch.column("s"):
-                x = x.values.to_numpy()
-                is_late = late[np.minimum(np.searchsorted(late, x), len(late) - 1)] == x
-                n = len(x) - -(-up * len(x) // down) + 1
-                firsts.append(np.concatenate((x[~is_late], x[is_late]))[:n])
-            ends = np.cumsum([0] + [len(x) for x in firsts])
-            arrays = pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(np.concatenate(firsts)))
-            yield pa.RecordBatch.from_arrays([batch.column("v"), batch.column("n"), arrays], ["v", "n", "first"])
+            lists = batch.column("first")
+            values, sizes = lists.flatten().to_numpy(zero_copy_only=False), lists.value_lengths().to_numpy(zero_copy_only=False)
+            hit = late[np.minimum(np.searchsorted(late, values), len(late) - 1)] == values
+            found = np.bincount(np.repeat(np.arange(len(sizes)), sizes)[hit], minlength=len(sizes)) > 0
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(found)], [*batch.schema.names, "late"])
 
     return run
 
 
 def _sent(few: DataFrame) -> DataFrame:
-    """A stored table of numbers for a join with sets, which stay where they are if it is small enough to send."""
+    """A stored table of numbers for a join with larger rows, which stay where they are if it is small enough to send."""
     return F.broadcast(few) if few.count() <= SENT else few
 
 
-def _verified(pairs: DataFrame, sets: DataFrame, similar: tuple[int, int]) -> DataFrame:
-    """Those of `pairs` (a, b), a stored table, whose sets are similar enough: shared / all >= up / down."""
+def _salted(pairs: DataFrame, sets: DataFrame, side: str, hub: int = HUB) -> DataFrame:
+    """`pairs` with the set of their `side`; a set that many pairs ask for is copied for each `hub` of them."""
+    asked = cut(pairs.groupBy(side).count().where(F.col("count") > hub).select(F.col(side).alias("v"), F.ceil(F.col("count") / hub).cast("int").alias("copies")))
+    own = sets.select(F.col("v").alias(side), F.col("s").alias(f"s_{side}"))
+    if asked.isEmpty():
+        return pairs.join(own, side)
+    few = _sent(asked).withColumnRenamed("v", side)
+    copies = F.coalesce("copies", F.lit(1))
+    own = own.join(few, side, "left").select(side, f"s_{side}", F.explode(F.sequence(F.lit(0), copies - 1)).alias("salt"))
+    dealt = pairs.join(few, side, "left").withColumn("salt", F.pmod(F.xxhash64("a", "b"), copies).cast("int")).drop("copies")
+    return dealt.join(own, [side, "salt"]).drop("salt")
+
+
+class SimilarTexts:
+    """The steps of `similar_texts` over one table, and the tables they store."""
+
+    def __init__(self, docs: DataFrame, words: int, similar: tuple[int, int], radius: int, block: int, frequent: int):
+        ship(docs.sparkSession)
+        self.spark, self.store = docs.sparkSession, Scratch(docs.sparkSession)
+        self.words, self.similar, self.radius, self.block, self.frequent = words, similar, radius, block, frequent
+        self.texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_hash(), F.col("text").cast("binary").alias("text"))
+        made = self.texts.mapInArrow(_set_batches(words, similar, ("v", "fp", "n", "first")), f"doc_id long, text_hash long, {self._schema('v', 'fp', 'n', 'first')}")
+        self.rows = self.store.table(made.withColumn("row", F.monotonically_increasing_id()))
+        again = self.store.table(self.rows.groupBy("v").agg(F.count("*").alias("rows"), F.min("row").alias("one")).where("rows > 1").select("v", "one"))
+        self.sets = self.rows.join(_sent(again), "v", "left").where("one is null or one = row").select("v", "n", "fp", "text_hash", "first")
+
+    @staticmethod
+    def _schema(*columns: str) -> str:
+        return ", ".join(_SETS[c] for c in columns)
+
+    def made_again(self, asked: DataFrame, *wanted: str, late=None) -> DataFrame:
+        """`wanted` of the sets `asked` (v), a stored table, from their texts; a row for each."""
+        hashes = self.store.table(self.sets.join(_sent(asked), "v", "left_semi").select("text_hash").distinct())
+        texts = self.texts.join(_sent(hashes), "text_hash", "left_semi").select("text")
+        made = texts.mapInArrow(_set_batches(self.words, self.similar, ("v", *wanted), late), self._schema("v", *wanted))
+        return made.join(_sent(asked), "v", "left_semi").dropDuplicates(["v"])
+
+    def first_pairs(self) -> DataFrame:
+        """Candidates (a, b): links of fingerprints, and sets that share one."""
+        prints = self.store.table(self.rows.groupBy("fp").agg(F.min("v").alias("v")))
+        linked = links(prints.select("fp"), self.radius, self.block)
+        a, b = (prints.select(F.col("fp").alias(e), F.col("v").alias(f"v{e}")) for e in ("a", "b"))
+        same = self.sets.select("fp", F.col("v").alias("b")).join(prints, "fp").where("b != v").select(F.col("v").alias("a"), "b")
+        return linked.join(a, "a").join(b, "b").select(F.col("va").alias("a"), F.col("vb").alias("b")).unionByName(same)
+
+    def verified(self, pairs: DataFrame) -> DataFrame:
+        """Those of `pairs` whose sets are similar enough: shared / all >= up / down."""
+        up, down = self.similar
+        pairs = self.store.table(pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct())
+        asked = self.store.table(pairs.select(F.explode(F.array("a", "b")).alias("v")).distinct())
+        whole = self.store.table(self.made_again(asked, "s"))
+        both = _salted(_salted(pairs, whole, "a"), whole, "b")
+        enough = (up + down) * F.size(F.array_intersect("s_a", "s_b")) >= up * (F.size("s_a") + F.size("s_b"))
+        return self.store.table(both.where(enough).select("a", "b"))
+
+    def ordered(self) -> tuple[DataFrame, DataFrame]:
+        """(v, n, first) of every set with words, frequent shingles last, and the shingles (h, blocks) many still begin with."""
+        begun = self.sets.where("n > 0").select("v", "n", "first")
+        tally = self.store.table(begun.select(F.explode("first").alias("h")).groupBy("h").count().where(F.col("count") > self.frequent))
+        late = np.sort(np.array([r[0] for r in tally.orderBy(F.desc("count"), "h").limit(FREQUENT_KEPT).collect()], np.int64))
+        counts = tally
+        if len(late):
+            shared = self.spark.sparkContext.broadcast(late)
+            marked = begun.mapInArrow(_late_batches(shared), "v long, n int, first array<long>, late boolean")
+            asked = self.store.table(marked.where("late").select("v"))
+            again = self.store.table(self.made_again(asked, "n", "first", late=shared))
+            begun = marked.where("not late").drop("late").unionByName(again)
+            # A shingle that isn't late was counted above or begins at most `frequent` of the sets that stay as they were.
+            known = tally.join(F.broadcast(tally.sparkSession.createDataFrame([(int(h),) for h in late], "h long")), "h", "left_anti")
+            counts = known.unionByName(again.select(F.explode("first").alias("h")).groupBy("h").count())
+        hot = counts.groupBy("h").agg((F.sum("count") + self.frequent).alias("count")).where(F.col("count") > self.block)
+        return begun, self.store.table(hot.select("h", F.ceil(F.col("count") / self.block).cast("long").alias("blocks")))
+
+    def more_pairs(self, roots: DataFrame) -> DataFrame:
+        """Pairs (a, b) of sets, among them all similar ones that `roots` (v, root), a stored table, doesn't join yet."""
+        up, down = self.similar
+        begun, hot = self.ordered()
+        rows = begun.join(_sent(roots), "v", "left").select("v", "n", "root", F.posexplode("first").alias("at", "h"))
+        if hot.isEmpty():
+            dealt = rows.withColumns({"cell": F.lit(0).cast("long"), "mine": F.lit(0)})
+        else:
+            # Blocks of a hot shingle's sets meet in cells, each pair of blocks in one.
+            blocks = F.coalesce("blocks", F.lit(1).cast("long"))
+            each = rows.join(_sent(hot), "h", "left").withColumn("mine", F.pmod(F.xxhash64("v"), blocks).cast("int"))
+            each = each.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), blocks - 1)))
+            dealt = each.withColumn("cell", F.least("mine", "other") * (1 << 31) + F.greatest("mine", "other"))
+        whole = dealt.select("h", "cell", "root", "v", "n", "at", "mine").repartition("h", "cell").sortWithinPartitions("h", "cell")
+        met = whole.mapInArrow(_met_batches(self.similar), "a long, b long, n int, ends int").groupBy("a", "b")
+        # Up to the last shared place all that isn't shared is on one side only; similar sets have few of these.
+        apart = met.agg((F.max("ends") - 2 * F.count("*")).alias("apart"), F.first("n").alias("n"))
+        return apart.where((up + down) * F.col("apart") <= (down - up) * F.col("n")).select("a", "b")
+
+    def roots(self) -> DataFrame:
+        """(doc_id, text_hash, root) of every row."""
+        edges = self.verified(self.first_pairs())
+        roots = self.store.table(components(edges).select(F.col("node").alias("v"), "root"))
+        more = self.verified(self.more_pairs(roots))
+        roots = self.store.table(components(edges.unionByName(more)).select(F.col("node").alias("v"), "root"))
+        return self.rows.select("doc_id", "text_hash", "v").join(_sent(roots), "v", "left").select("doc_id", "text_hash", F.coalesce("root", "v").alias("root"))
+
+
+def _met_batches(similar: tuple[int, int], pairs_at_once: int = 1 << 20):
+    """Over rows sorted by (h, cell): the pairs of sets of each cell that have different roots and similar sizes."""
     up, down = similar
-    asked = cut(pairs.select(F.explode(F.array("a", "b")).alias("v")).distinct())
-    some = cut(sets.join(_sent(asked), "v", "left_semi").select("v", "n", "s"))
-    x, y = (some.select(F.col("v").alias(e), F.col("n").alias(f"n{e}"), F.col("s").alias(f"s{e}")) for e in ("a", "b"))
-    shared = F.size(F.array_intersect("sa", "sb"))
-    return cut(pairs.join(x, "a").join(y, "b").where((up + down) * shared >= up * (F.col("na") + F.col("nb"))).select("a", "b"))
 
+    def kept(x: np.ndarray, y: np.ndarray, c: dict[str, np.ndarray]) -> tuple[np.ndarray, ...]:
+        nx, ny = c["n"][x], c["n"][y]
+        fine = (c["root"][x] != c["root"][y]) & (down * nx >= up * ny) & (down * ny >= up * nx)
+        # In a cell of two blocks only pairs across them meet.
+        fine &= (c["one_block"][x]) | (c["mine"][x] != c["mine"][y])
+        return x[fine], y[fine]
+
+    def pairs(c: dict[str, np.ndarray]) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+        change = (c["h"][1:] != c["h"][:-1]) | (c["cell"][1:] != c["cell"][:-1])
+        starts = np.flatnonzero(np.concatenate(([True], change)))
+        sizes = np.diff(np.append(starts, len(c["h"])))
+        several = (sizes > 1) & (np.minimum.reduceat(c["root"], starts) != np.maximum.reduceat(c["root"], starts))
+        s, m = starts[several], sizes[several]
+        bounds = np.concatenate(([0], np.cumsum(m * m)))
+        at = 0
+        while at < len(s):
+            to = max(at + 1, int(np.searchsorted(bounds, bounds[at] + pairs_at_once, "right")) - 1)
+            if m[at] ** 2 > pairs_at_once:
+                step = max(1, pairs_at_once // int(m[at]))
+                for i in range(0, int(m[at]), step):
+                    own = np.arange(i, min(i + step, m[at]))
+                    x, y = np.repeat(own, m[at]), np.tile(np.arange(m[at]), len(own))
+                    yield kept(s[at] + x[x < y], s[at] + y[x < y], c)
+                at += 1
+                continue
+            n = m[at:to] ** 2
+            inner = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
+            wide, first = np.repeat(m[at:to], n), np.repeat(s[at:to], n)
+            x, y = inner // wide, inner % wide
+            first, x, y = first[x < y], x[x < y], y[x < y]
+            yield kept(first + x, first + y, c)
+            at = to
 
-def candidates(sets: DataFrame, roots: DataFrame, similar: tuple[int, int] = SIMILAR, frequent: int = FREQUENT) -> DataFrame:
-    """Pairs (a, b) of `sets` (v, n, s), among them all similar ones that `roots` (v, root) doesn't join yet."""
-    up, down = similar
-    length = (F.col("n") - F.ceil(F.col("n") * up / down) + 1).cast("int")
-    firsts = sets.where("n > 0").select("v", "n", F.slice("s", 1, length).alias("first"))
-    tally = firsts.select(F.explode("first").alias("h")).groupBy("h").count().where(F.col("count") > frequent)
-    late = np.sort(np.array([r[0] for r in tally.orderBy(F.desc("count"), "h").limit(FREQUENT_KEPT).collect()], np.int64))
-    if len(late):
-        shared = sets.sparkSession.sparkContext.broadcast(late)
-        firsts = sets.where("n > 0").select("v", "n", "s").mapInArrow(_prefix_batches(shared, similar), "v long, n long, first array<long>")
-    rows = firsts.join(_sent(roots), "v", "left").select("v", "n", F.coalesce("root", "v").alias("root"), F.posexplode("first").alias("at", "h")).repartition("h")
-    x, y = (rows.select("h", *[F.col(c).alias(f"{c}_{e}") for c in ("v", "n", "root", "at")]) for e in ("a", "b"))
-    near = (F.col("v_a") < F.col("v_b")) & (F.col("root_a") != F.col("root_b"))
-    near &= (down * F.col("n_a") >= up * F.col("n_b")) & (down * F.col("n_b") >= up * F.col("n_a"))
-    met = x.join(y, "h").where(near).groupBy(F.col("v_a").alias("a"), F.col("v_b").alias("b"), "n_a", "n_b")
-    # Up to the last shared place all that isn't shared is on one side only; similar sets have few of these.
-    apart = met.agg((F.max("at_a") + F.max("at_b") + 2 - 2 * F.count("*")).alias("apart"))
-    return apart.where((up + down) * F.col("apart") <= (down - up) * (F.col("n_a") + F.col("n_b"))).select("a", "b")
+    def out(c: dict[str, np.ndarray]) -> Iterator[pa.RecordBatch]:
+        if len(c["h"]):
+            c["one_block"] = (c["cell"] >> 31) == (c["cell"] & ((1 << 31) - 1))
+            for x, y in pairs(c):
+                if len(x):
+                    a, b = np.minimum(c["v"][x], c["v"][y]), np.maximum(c["v"][x], c["v"][y])
+                    yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b), pa.array((c["n"][x] + c["n"][y]).astype(np.int32)), pa.array((c["at"][x] + c["at"][y] + 2).astype(np.int32))], ["a", "b", "n", "ends"])
+
+    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        names = ("h", "cell", "root", "v", "n", "at", "mine")
+        held: list[pa.RecordBatch] = []
+        for batch in batches:
+            if not len(batch):
+                continue
+            held.append(batch)
+            h, cell = (batch.column(x).to_numpy(zero_copy_only=False) for x in ("h", "cell"))
+            # The last cell may go on in the next batch.
+            same = (h == h[-1]) & (cell == cell[-1])
+            if same.all():
+                continue
+            end = len(batch) - int(np.argmin(same[::-1]))
+            yield from out(arrays([*held[:-1], batch.slice(0, end)], names))
+            held = [batch.slice(end)]
+        if held:
+            yield from out(arrays(held, names))
+
+    def arrays(parts: list[pa.RecordBatch], names: tuple[str, ...]) -> dict[str, np.ndarray]:
+        whole = pa.Table.from_batches(parts)
+        v = whole.column("v").to_numpy()
+        c = {x: whole.column(x).to_numpy().astype(np.int64, copy=False) for x in names if x != "root"}
+        root = whole.column("root").combine_chunks()
+        c["root"] = np.where(root.is_null().to_numpy(zero_copy_only=False), v, root.fill_null(0).to_numpy(zero_copy_only=False))
+        return c
+
+    return run
 
 
 def similar_texts(docs: DataFrame, words: int = SIMILAR_WORDS, similar: tuple[int, int] = SIMILAR, radius: int = RADIUS, block: int = 4096, frequent: int = FREQUENT) -> DataFrame:
-    """(doc_id, text_hash, root long) of every row: root is equal where links of similar shingle sets join two texts."""
-    ship(docs.sparkSession)
-    plain = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_hash(), F.col("text").cast("binary").alias("text"))
-    made = plain.mapInArrow(_set_batches(words, SEED), "doc_id long, text_hash long, fp long, v long, n long, s array<long>")
-    rows = cut(made.withColumn("row", F.monotonically_increasing_id()))
-    again = cut(rows.groupBy("v").agg(F.count("*").alias("rows"), F.min("row").alias("one")).where("rows > 1").select("v", "one"))
-    sets = rows.join(_sent(again), "v", "left").where("one is null or one = row").select("v", "n", "fp", "s")
-    prints = cut(rows.groupBy("fp").agg(F.min("v").alias("v")))
-    # Links of fingerprints, and of texts that share one.
-    linked = links(prints.select("fp"), radius, block)
-    a, b = (prints.select(F.col("fp").alias(e), F.col("v").alias(f"v{e}")) for e in ("a", "b"))
-    same = rows.select("fp", F.col("v").alias("b")).join(prints, "fp").where("b != v").select(F.col("v").alias("a"), "b")
-    pairs = cut(linked.join(a, "a").join(b, "b").select(F.col("va").alias("a"), F.col("vb").alias("b")).unionByName(same).distinct())
-    edges = _verified(pairs, sets, similar)
-    roots = cut(components(edges).select(F.col("node").alias("v"), "root"))
-    more = _verified(cut(candidates(sets, roots, similar, frequent)), sets, similar)
-    roots = components(edges.unionByName(more)).select(F.col("node").alias("v"), "root")
-    return rows.select("doc_id", "text_hash", "v").join(roots, "v", "left").select("doc_id", "text_hash", F.coalesce("root", "v").alias("root"))
+    """(doc_id, text_hash, root long) of every row, a stored table: root is equal where links of similar shingle sets join two texts."""
+    steps = SimilarTexts(docs, words, similar, radius, block, frequent)
+    try:
+        return cut(steps.roots())
+    finally:
+        steps.store.close()
 
 
 def keep_one_of_each(docs: DataFrame, **options) -> DataFrame:
@@ -371,7 +550,7 @@ def keep_one_of_each(docs: DataFrame, **options) -> DataFrame:
 
 def keep_one_of_similar(docs: DataFrame, **options) -> DataFrame:
     """As `keep_one_of_each`, over the components of `similar_texts`."""
-    return _keep_first(docs, cut(similar_texts(docs, **options)))
+    return _keep_first(docs, similar_texts(docs, **options))
 
 
 def _keep_first(docs: DataFrame, found: DataFrame) -> DataFrame:

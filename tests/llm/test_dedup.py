@@ -104,13 +104,13 @@ def test_similar_texts(spark, odd, documents, none):
     for b in base:  # copies with one to four changed words lie on both sides of 0.8
         made += [" ".join(b)] + [" ".join(f"c{random.integers(99)}" if i in set(random.integers(120, size=k)) else w for i, w in enumerate(b)) for k in (1, 2, 3, 4, 5, 6)]
     copies = spark.createDataFrame(list(enumerate(made)), "doc_id long, text string")
-    for df, frequent in ((odd, 2), (copies, 100), (copies, 1), (documents, 100)):
+    for df, frequent, block in ((odd, 2, 4096), (copies, 100, 4096), (copies, 1, 3), (documents, 100, 4096)):
         rows = [(r.doc_id, r.text) for r in df.select("doc_id", "text").collect()]
         want = defaultdict(list)
         for group, row in zip(similar_brute([t for _, t in rows]), rows, strict=True):
             want[group].append(row[0])
         got = defaultdict(list)
-        for r in simhash.similar_texts(df, frequent=frequent).collect():
+        for r in simhash.similar_texts(df, frequent=frequent, block=block).collect():
             got[r.root].append(r.doc_id)
         assert sorted(sorted(map(str, g)) for g in got.values()) == sorted(sorted(map(str, g)) for g in want.values())
         kept = simhash.keep_one_of_similar(df, frequent=frequent)
@@ -139,12 +139,20 @@ def test_hot_bucket_in_blocks(spark):
     signed = [int(np.uint64(p).astype(np.int64)) if p < 1 << 63 else p - (1 << 64) for p in prints]
     df = spark.createDataFrame([(s, i) for i, s in enumerate(signed)], "fp long, least_id long")
     want = components_brute(prints, list(range(len(prints))))
-    for block in (4096, 7):
-        root = {r.node: r.root for r in simhash.components(simhash.links(df, block=block)).collect()}
+    for block, many, hub in ((4096, 1 << 25, 256), (7, 1 << 25, 2), (4096, 0, 256)):
+        root = {r.node: r.root for r in simhash.components(simhash.links(df, block=block, many=many), hub=hub).collect()}
         got = [root.get(s, s) for s in signed]
         assert [got.index(x) for x in got] == [want.index(x) for x in want]
 
 
+def test_chains_and_stars_settle(spark):
+    edges = [(i, i + 1) for i in range(300)] + [(1000, 1001 + i) for i in range(400)] + [(5000 + i, 6000) for i in range(50)]
+    df = spark.createDataFrame([e[::-1] if i % 2 else e for i, e in enumerate(edges)], "a long, b long")
+    for hub in (3, 256):
+        root = {r.node: r.root for r in simhash.components(df, hub=hub).collect()}
+        assert root == {n: 0 if n < 1000 else 1000 if n < 5000 else 5000 for e in edges for n in e}
+
+
 def mix_targets_brute(sizes):
     order = sorted(sizes, key=lambda s: (s is None, (s or "").encode()))
     weight = {s: 1 + i % 3 for i, s in enumerate(order)}
