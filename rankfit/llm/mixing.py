@@ -10,9 +10,12 @@ Targets: sources in code point order, null last, weigh 1, 2, 3, repeating, and s
 `most_epochs` times its words and the excess goes to the others by weight. Sorted by cap over weight, the common
 level is the largest of the levels that each source's position would give, so one pass finds it.
 
-Defined results: a null or word-less text has size 0 and takes nothing. Null ids hash like one more id. Rows with
-the same id follow each other by size and are told apart only by position. Extra columns are ignored by `mixture`
-and carried by `mixed`. An empty table gives an empty result.
+The order hangs on id and text: rows that share both are one entry with a number of copies, which follow each other.
+The running totals over the sources themselves are taken in ranges too, so that any number of sources is dealt.
+
+Defined results: a null or word-less text has size 0 and takes nothing. Null ids hash like one more id. Of copies of one
+entry at a cut, it isn't said which is cut. Extra columns are ignored by `mixture` and carried by `mixed`. An empty table
+gives an empty result.
 """
 
 from __future__ import annotations
@@ -39,25 +42,38 @@ def source_key(source: Column) -> Column:
     return F.when(source.isNull(), F.lit("n")).otherwise(F.concat(F.lit("s"), source))
 
 
-def sized(docs: DataFrame, seed: int = SEED) -> DataFrame:
-    """(doc_id, s: the source's key, size, key) of every row, as a stored table."""
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), source_key(F.col("source")).alias("s"), words_in(F.col("text")).alias("size"))
-    return cut(rows.withColumn("key", F.xxhash64(F.lit(seed), "doc_id")))
+def entries(docs: DataFrame, seed: int = SEED) -> DataFrame:
+    """(s: the source's key, key, doc_id, text_hash, size, copies) of every row, equal ones together, as a stored table."""
+    rows = docs.select(source_key(F.col("source")).alias("s"), F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("text_hash"), words_in(F.col("text")).alias("size"))
+    keyed = rows.withColumn("key", F.xxhash64(F.lit(seed), "doc_id", "text_hash"))
+    return cut(keyed.groupBy("s", "key", "doc_id", "text_hash", "size").agg(F.count("*").alias("copies")))
+
+
+def _running(rows: DataFrame, order: list[str], sums: dict[str, str]) -> DataFrame:
+    """`rows` with the sum of each column (`sums`: name to column) over the rows up to and with this one, in `order`."""
+    parted = cut(rows.repartitionByRange(*order).withColumn("part", F.spark_partition_id()))
+    totals = parted.groupBy("part").agg(*[F.sum(c).alias(f"{n}_part") for n, c in sums.items()])
+    # One row for each task.
+    earlier = Window.partitionBy(F.lit(0)).orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
+    bases = totals.select("part", *[F.coalesce(F.sum(f"{n}_part").over(earlier), F.lit(0)).alias(f"{n}_base") for n in sums])
+    upto = Window.partitionBy("part").orderBy(*order).rowsBetween(Window.unboundedPreceding, 0)
+    inside = parted.select("*", *[F.sum(c).over(upto).alias(n) for n, c in sums.items()])
+    whole = inside.join(F.broadcast(bases), "part")
+    return whole.withColumns({n: F.col(n) + F.col(f"{n}_base") for n in sums}).select(*rows.columns, *sums)
 
 
 def targets(rows: DataFrame, most_epochs: int = MOST_EPOCHS) -> DataFrame:
-    """(s, source_size long, docs long, target double) of every source, as a stored table of one row for each."""
-    sums = cut(rows.groupBy("s").agg(F.sum("size").alias("source_size"), F.count("*").alias("docs")))
-    in_order = Window.orderBy(F.when(F.col("s") == "n", 1).otherwise(0), "s")
-    weighed = sums.withColumn("weight", (1 + (F.row_number().over(in_order) - 1) % 3).cast("double"))
-    weighed = weighed.withColumn("cap", (most_epochs * F.col("source_size")).cast("double")).withColumn("ratio", F.col("cap") / F.col("weight"))
-    by_ratio = Window.orderBy("ratio", "s")
-    before = by_ratio.rowsBetween(Window.unboundedPreceding, -1)
-    everything = Window.partitionBy()
-    left = F.sum(F.col("source_size").cast("double")).over(everything) - F.coalesce(F.sum("cap").over(before), F.lit(0.0))
-    share = F.sum("weight").over(everything) - F.coalesce(F.sum("weight").over(before), F.lit(0.0))
-    levelled = weighed.withColumn("own_level", left / share).withColumn("level", F.max("own_level").over(everything))
-    return cut(levelled.select("s", "source_size", "docs", F.least(F.col("cap"), F.col("weight") * F.col("level")).alias("target")))
+    """(s, source_size long, docs long: entries, target double) of every source, as a stored table of one row for each."""
+    sums = rows.groupBy("s").agg(F.sum(F.col("size") * F.col("copies")).alias("source_size"), F.count("*").alias("docs"))
+    named = sums.select("*", (F.col("s") == "n").alias("last"), F.lit(1).cast("long").alias("one"))
+    weighed = _running(named, ["last", "s"], {"place": "one"}).withColumn("weight", 1 + (F.col("place") - 1) % 3)
+    weighed = weighed.withColumn("cap", most_epochs * F.col("source_size")).withColumn("ratio", F.col("cap") / F.col("weight"))
+    levelled = cut(_running(weighed.select("s", "source_size", "docs", "weight", "cap", "ratio"), ["ratio", "s"], {"caps": "cap", "weights": "weight"}))
+    words, weight = levelled.agg(F.sum("source_size"), F.sum("weight")).first()
+    # What is left for this source and all with a higher ratio, for each unit of their weight.
+    left, share = F.lit(words) - (F.col("caps") - F.col("cap")), F.lit(weight) - (F.col("weights") - F.col("weight"))
+    level = levelled.agg(F.max(left / share)).first()[0]
+    return levelled.select("s", "source_size", "docs", F.least(F.col("cap").cast("double"), F.col("weight") * F.lit(level).cast("double")).alias("target"))
 
 
 def _beside(rows: DataFrame, per_source: DataFrame) -> DataFrame:
@@ -73,67 +89,64 @@ def _before(column: str, *by: str, order: list) -> Column:
 
 
 def ordered(rows: DataFrame, per_source: DataFrame, rows_in_range: int = 256) -> DataFrame:
-    """`rows` with source_size, target, epochs, rest (words after whole epochs) and before (words that precede it)."""
+    """`rows` with source_size, target, epochs, rest (words after whole epochs) and before (words that precede them)."""
     total = per_source.agg(F.sum("docs")).first()[0] or 0
     bits = max(1, ceil(log2(max(2, total / rows_in_range))))
     half = bits // 2
-    ranged = rows.withColumn("range", F.shiftrightunsigned("key", 64 - bits))
-    sums = cut(ranged.groupBy("s", "range").agg(F.sum("size").alias("size")))
-    blocks = sums.groupBy("s", F.shiftright("range", half).alias("block")).agg(F.sum("size").alias("size"))
-    blocks = blocks.select("s", "block", _before("size", "s", order=["block"]).alias("before_block"))
+    ranged = rows.withColumn("range", F.shiftrightunsigned("key", 64 - bits)).withColumn("words", F.col("size") * F.col("copies"))
+    sums = cut(ranged.groupBy("s", "range").agg(F.sum("words").alias("words")))
+    blocks = sums.groupBy("s", F.shiftright("range", half).alias("block")).agg(F.sum("words").alias("words"))
+    blocks = blocks.select("s", "block", _before("words", "s", order=["block"]).alias("before_block"))
     sums = sums.withColumn("block", F.shiftright("range", half))
-    sums = sums.withColumn("before_range", _before("size", "s", "block", order=["range"])).drop("size").join(blocks, ["s", "block"])
+    sums = sums.withColumn("before_range", _before("words", "s", "block", order=["range"])).drop("words").join(blocks, ["s", "block"])
     epochs = F.when(F.col("source_size") > 0, F.floor(F.col("target") / F.col("source_size"))).otherwise(0).cast("long")
     sums = _beside(sums, per_source).withColumn("epochs", epochs)
     rest = (F.floor(F.col("target") + 0.5) - F.col("epochs") * F.col("source_size")).cast("long")
     sums = sums.select("s", "range", (F.col("before_block") + F.col("before_range")).alias("base"), "source_size", "target", "epochs", rest.alias("rest"))
-    inside = ranged.withColumn("inside", _before("size", "s", "range", order=["key", "doc_id", "size"]))
+    inside = ranged.withColumn("inside", _before("words", "s", "range", order=["key", "doc_id", "text_hash"]))
     return inside.join(sums, ["s", "range"]).withColumn("before", F.col("base") + F.col("inside"))
 
 
-def _cut_words() -> Column:
+def _cut_words(before: Column) -> Column:
     """Words of the last, partial epoch that a row gives."""
-    return F.least(F.greatest(F.col("rest") - F.col("before"), F.lit(0)), F.col("size")).cast("long")
+    return F.least(F.greatest(F.col("rest") - before, F.lit(0)), F.col("size")).cast("long")
 
 
 def mixture(docs: DataFrame, seed: int = SEED, most_epochs: int = MOST_EPOCHS) -> DataFrame:
     """(doc_id, size, source_size, target, taken) of every row of `docs`."""
-    rows = sized(docs, seed)
+    rows = entries(docs, seed)
     found = ordered(rows, targets(rows, most_epochs))
-    taken = F.col("epochs") * F.col("size") + _cut_words()
-    return found.select("doc_id", "size", "source_size", "target", taken.cast("long").alias("taken"))
+    each = found.select("*", F.explode(F.sequence(F.lit(0).cast("long"), F.col("copies") - 1)).alias("copy"))
+    taken = F.col("epochs") * F.col("size") + _cut_words(F.col("before") + F.col("copy") * F.col("size"))
+    return each.select("doc_id", "size", "source_size", "target", taken.cast("long").alias("taken"))
 
 
 def mixed(docs: DataFrame, seed: int = SEED, most_epochs: int = MOST_EPOCHS) -> DataFrame:
     """The mix itself, with the columns of `docs`: a row for each epoch of each document that is taken.
 
     The document at a source's cut also gives the first words of its text that the budget still holds (its `text`
-    and, if there is one, `n_chars` say so). Texts don't move: a source's cut is one row, and every document
-    compares its own key with it. Rows that share an id share the cut.
+    and, if there is one, `n_chars` say so). Texts don't move: a source's cut is one entry, and every document
+    compares its own key with it. Copies of the entry at the cut give one row for each epoch; the copies that the rest
+    still holds whole, and the cut one, are made from one of them.
     """
-    rows = sized(docs, seed)
-    per_source = targets(rows, most_epochs)
-    found = cut(ordered(rows, per_source).withColumn("part", _cut_words()))
-    at_cut = found.where("part > 0 and part < size").groupBy("s").agg(F.max(F.struct("before", "key", "doc_id", "part")).alias("c"))
-    # Without a partial row the cut is the first row that isn't taken at all.
-    beyond = found.where("before >= rest and size > 0").groupBy("s").agg(F.min(F.struct("before", "key", "doc_id")).alias("b"))
+    rows = entries(docs, seed)
+    found = cut(ordered(rows, targets(rows, most_epochs)))
+    order = F.struct((F.col("key") < 0).alias("high"), "key", F.col("doc_id").isNotNull().alias("named"), "doc_id", "text_hash")
+    # The first entry that the rest doesn't hold whole; none where it holds all.
+    beyond = found.where("size > 0 and before + size * copies > rest")
+    first = beyond.groupBy("s").agg(F.min(F.struct("before", order.alias("at"), "size")).alias("c"))
     sources = found.groupBy("s").agg(F.first("epochs").alias("epochs"), F.first("rest").alias("rest"))
-    unsigned = lambda k: F.struct((F.col(k) < 0).alias("high"), F.col(k).alias("key"))
-    cuts = cut(
-        sources.join(at_cut, "s", "left").join(beyond, "s", "left").select(
-            "s", "epochs", "rest", F.coalesce("c.key", "b.key").alias("cut_key"), F.coalesce("c.doc_id", "b.doc_id").alias("cut_id"),
-            F.coalesce("c.part", F.lit(0)).alias("cut_words"), (F.col("c").isNotNull() | F.col("b").isNotNull()).alias("is_cut"),
-        )
-    )
-    wide = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("r"), source_key(F.col("source")).alias("s"), F.col("doc_id").cast("long").alias("id"))
-    wide = _beside(wide.withColumn("key", F.xxhash64(F.lit(seed), "id")), cuts)
-    here, there = F.struct(unsigned("key"), F.col("id").isNotNull(), F.col("id")), F.struct(unsigned("cut_key"), F.col("cut_id").isNotNull(), F.col("cut_id"))
-    whole = F.when(~F.col("is_cut"), (F.col("rest") > 0).cast("long")).when(here < there, 1).otherwise(0)
-    part = F.when(F.col("is_cut") & F.col("key").eqNullSafe(F.col("cut_key")) & F.col("id").eqNullSafe(F.col("cut_id")), F.col("cut_words")).otherwise(0)
-    copies = wide.withColumn("whole", F.col("epochs") + whole).withColumn("part", part).where(F.col("r.text").rlike(r"[^\x20\x09-\x0D]"))
-    plain = copies.where("whole > 0").select(F.explode(F.array_repeat("r", F.col("whole").cast("int"))).alias("r")).select("r.*")
+    held = F.greatest(F.col("rest") - F.col("c.before"), F.lit(0))
+    cuts = cut(sources.join(first, "s", "left").select("s", "epochs", "rest", F.col("c.at").alias("cut_at"), F.floor(held / F.col("c.size")).alias("more"), (held % F.col("c.size")).alias("part")))
+    wide = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("r"), source_key(F.col("source")).alias("s"), F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("text_hash"))
+    wide = _beside(wide.withColumn("key", F.xxhash64(F.lit(seed), "doc_id", "text_hash")), cuts).withColumn("at", order)
+    wide = wide.where(F.col("r.text").rlike(r"[^\x20\x09-\x0D]"))
+    whole = F.col("epochs") + F.when(F.col("cut_at").isNull(), (F.col("rest") > 0).cast("long")).when(F.col("at") < F.col("cut_at"), 1).otherwise(0)
+    plain = wide.where(whole > 0).select(F.explode(F.array_repeat("r", whole.cast("int"))).alias("r")).select("r.*")
+    once = wide.where("at = cut_at and (more > 0 or part > 0)").groupBy("s").agg(F.min("r").alias("r"), F.first("more").alias("more"), F.first("part").alias("part"))
+    copies = once.where("more > 0").select("r", F.explode(F.sequence(F.lit(1).cast("long"), F.col("more")))).select("r.*")
     first_words = F.array_join(F.slice(F.regexp_extract_all("r.text", F.lit(r"[\x20\x09-\x0D]*[^\x20\x09-\x0D]+"), F.lit(0)), 1, F.col("part").cast("int")), "")
-    partial = copies.where("part > 0").withColumn("r", F.col("r").withField("text", first_words))
+    partial = once.where("part > 0").withColumn("r", F.col("r").withField("text", first_words))
     if "n_chars" in docs.columns:
         partial = partial.withColumn("r", F.col("r").withField("n_chars", F.length("r.text").cast(docs.schema["n_chars"].dataType)))
-    return plain.unionByName(partial.select("r.*"))
+    return plain.unionByName(copies).unionByName(partial.select("r.*"))

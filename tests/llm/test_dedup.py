@@ -168,7 +168,8 @@ def mix_targets_brute(sizes):
 
 
 def test_mixing(odd, documents, none):
-    for df in (odd, documents):
+    repeated = documents.withColumn("doc_id", documents["doc_id"] % 2)
+    for df in (odd, documents, repeated, repeated.unionAll(repeated)):
         sizes = defaultdict(int)
         for r in df.collect():
             sizes[r.source] += len(re.findall("[^\x20\x09-\x0d]+", r.text or ""))
@@ -191,6 +192,5 @@ def test_mixing(odd, documents, none):
         words = defaultdict(int)
         for r in mix.collect():
             words[r.source] += len(re.findall("[^\x20\x09-\x0d]+", r.text))
-        if df is documents:
-            assert all(abs(words[s] - want[s]) <= 1 for s in sizes)
+        assert all(abs(words[s] - want[s]) <= 1 for s in sizes)
     assert mixing.mixture(none).count() == 0 and mixing.mixed(none).count() == 0
