@@ -7,8 +7,10 @@ languages' further dictionaries, from other texts, add to the totals. A margin t
 block marks the answer as rejected (`narrow_margin`); the best guess stays in `lang_pred`.
 
 Learns only from rows with a language and a text whose crc32 of the id, as text, leaves another remainder than 2 when
-divided by 4; of these, about `texts` for each language by hash (the first `text_chars` characters of each), a
-documented bound. The language, the source and the id play no part in a prediction.
+divided by 4; of these, the `texts` different ones of each language that come first by hash of id and text, a documented
+bound. Each gives a dictionary an equal share of its bytes, cut from a place in the text that hangs on the hash (out of
+at most `text_chars` characters from there on). The language, the source and the id play no part in a prediction, which
+reads whole texts.
 
 Defined results: a null text or one without letters is `und` with score 0, as is every text if nothing could be
 learned. Rows with a null id are held in (their remainder isn't 2). Ties go to the language with more rows.
@@ -23,7 +25,7 @@ from math import exp
 import pyarrow as pa
 import regex
 import zstandard
-from pyspark.sql import Column, DataFrame, functions as F
+from pyspark.sql import Column, DataFrame, Window, functions as F
 
 from rankfit.session import cut, ship
 
@@ -45,26 +47,36 @@ def held_out(doc_id: Column) -> Column:
 
 def learn(docs: DataFrame, texts: int = TEXTS, dictionaries: int = DICTIONARIES, size: int = DICTIONARY_BYTES, text_chars: int = TEXT_CHARS, seed: int = 11) -> dict[str, list[bytes]]:
     """Dictionaries of each language."""
-    rows = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull() & ~held_out(F.col("doc_id")))
-    rows = rows.withColumn("h", F.xxhash64(F.lit(seed), F.col("doc_id").cast("long")))
-    counts = cut(rows.groupBy("lang").agg(F.count("*").alias("n")))
-    # A language's rows with a hash in the lowest share of all hashes: about `texts` of them, all if there are fewer.
-    share = F.least(F.lit(1.0), F.lit(texts) / F.col("n"))
-    chosen = rows.join(F.broadcast(counts) if counts.count() < 10_000 else counts, "lang").where(F.col("h").cast("double") / 2.0**64 + 0.5 <= share)
-    picked = chosen.select("lang", "h", F.substring("text", 1, text_chars).alias("t")).collect()
+    own = docs.select(F.col("lang").cast("string").alias("lang"), F.col("text").cast("string").alias("text"), F.col("doc_id").cast("long").alias("id"))
+    rows = own.where(F.col("lang").isNotNull() & F.col("text").isNotNull() & ~held_out(F.col("id"))).withColumn("h", F.xxhash64(F.lit(seed), "text", "id"))
+    counts = cut(rows.groupBy("lang").agg(F.count("*").alias("rows"), F.approx_count_distinct("h").alias("kinds")))
+    # The lowest share of all hashes holds about twice the texts wanted; of these the first by hash are taken.
+    share = F.least(F.lit(1.0), F.lit(2.0 * texts) / F.col("kinds"))
+    near = rows.join(F.broadcast(counts) if counts.count() < 10_000 else counts, "lang").where(F.col("h").cast("double") / 2.0**64 + 0.5 <= share)
+    start = F.pmod(F.col("h"), F.greatest(F.length("text") - text_chars + 1, F.lit(1))).cast("int") + 1
+    near = near.select("lang", "h", F.substring(F.col("text"), start, F.lit(text_chars)).alias("t")).dropDuplicates(["lang", "h"])
+    first = near.withColumn("place", F.row_number().over(Window.partitionBy("lang").orderBy("h"))).where(F.col("place") <= texts)
     by_language: dict[str, list[bytes]] = {}
-    for row in sorted(picked, key=lambda r: (r["lang"], r["h"], r["t"])):
+    for row in sorted(first.select("lang", "h", "t").collect(), key=lambda r: (r["lang"], r["h"])):
         by_language.setdefault(row["lang"], []).append(letters(row["t"]))
+    rows_of = {r["lang"]: r["rows"] for r in counts.collect()}
     out = {}
-    rows_of = {r["lang"]: r["n"] for r in counts.collect()}
     for language, found in sorted(by_language.items(), key=lambda x: (-rows_of[x[0]], x[0])):
-        parts = [b" ".join(found[i::dictionaries])[:size] for i in range(dictionaries)]
-        usable = [p for p in parts if len(p) >= 8]
+        usable = [p for p in (filled(found[i::dictionaries], size) for i in range(dictionaries)) if len(p) >= 8]
         if usable:
             out[language] = (usable * dictionaries)[:dictionaries]
     return out
 
 
+def filled(parts: list[bytes], size: int) -> bytes:
+    """At most `size` bytes with an equal share of each part; what short ones leave goes to the others."""
+    left, taken = size, {}
+    for n, i in enumerate(sorted(range(len(parts)), key=lambda i: (len(parts[i]), i))):
+        taken[i] = min(len(parts[i]), max(0, left // (len(parts) - n) - 1))
+        left -= taken[i] + 1
+    return b" ".join(parts[i][: taken[i]] for i in range(len(parts)) if taken[i])
+
+
 class Classifier:
     """Compressors of every language, and their verdict on a text."""
 
