@@ -7,18 +7,21 @@ its own; a document draws a bucket or doesn't, so a text that repeats one n-gram
 than another. Raw counts cover every document; target counts come from about `labelled_rows` labelled documents, kept
 apart in `FOLDS` folds by the text's hash. A labelled document is scored by a model of the other folds, never by one
 that counted its text, so that its log ratio is what it would be without the label; all others by the model of all folds.
-With the raw counts scaled to the target's size, both models add the same pseudo-count. A bucket whose two rates differ by
-less than `least_effect` or `least_errors` standard errors has ratio one: what both models say alike must not add up
-over a long text and hide what they don't.
-
-Documents are then sampled without replacement by Gumbel top-k: log ratio over `temperature` plus a Gumbel draw that
-hangs on the id alone; the k largest stay. k is the number of documents whose log ratio reaches the threshold that
-best parts labelled good rows from bad ones, by these held-out ratios, while it loses at most `lose` of the good. The k-th largest key is found
-by repeated histograms, so no sort of all documents is needed.
-
-Defined results: null and word-less texts have log ratio zero and stay. Null ids draw one number. Rows with equal keys
-stay or go together. Without labels of both kinds the threshold is `default_threshold`; without good ones every
-document stays. Extra columns are ignored by `sampled` and carried by `accepted`. An empty table gives an empty result.
+Raw counts are scaled to the target's number of n-grams and both models add the same pseudo-count. A bucket whose two
+rates differ by less than `least_effect` or `least_errors` standard errors isn't evidence: the target model gives all
+such buckets the raw model's rates, times what makes its own rates sum to one. So both are normalised, and what they say
+alike doesn't add up over a long text.
+
+Documents are then sampled without replacement by Gumbel top-k: log ratio over `temperature` (1: in proportion to the
+ratio of the models) plus a Gumbel draw that hangs on id and text alone; the k largest stay. k can be given, as a number
+(`k`) or share (`share`) of the rows. By default it is the number of keys at or above the place that best parts labelled
+good rows from bad ones while the sample loses at most `lose` of the good: by their held-out ratios, and with each
+row's chance to be lost under the draw, not its one draw. The k-th largest key is found by repeated histograms, so no
+sort of all documents is needed.
+
+Defined results: null and word-less texts have log ratio zero and are drawn like any other. Rows with equal keys (same
+id, if any, and text) stay or go together. Without labels of both kinds the place is `DEFAULT_THRESHOLD`, which without
+good ones, where all log ratios are zero, no draw in 10^8 misses. Extra columns are ignored by `sampled` and carried by `accepted`. An empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -36,8 +39,8 @@ from rankfit.llm.rows import hashed_sample, keep_rows, text_hash
 from rankfit.session import cut, ship
 
 WORD_BITS, PAIR_BITS, SHAPE_BITS, BLOCK_BITS = 20, 18, 16, 16
-LABELLED_ROWS, PSEUDO, LEAST_EFFECT, LEAST_ERRORS, TEMPERATURE, LOSE, DEFAULT_THRESHOLD, SEED = 20_000, 3.0, 0.7, 5.0, 0.02, 0.005, -3.0, 17
-FOLDS = 5
+LABELLED_ROWS, PSEUDO, LEAST_EFFECT, LEAST_ERRORS, TEMPERATURE, LOSE, DEFAULT_THRESHOLD, SEED = 20_000, 3.0, 0.7, 5.0, 1.0, 0.005, -3.0, 17
+FOLDS, FAN_IN = 5, 64
 
 FAMILIES = (0, 1 << WORD_BITS, (1 << WORD_BITS) + (1 << PAIR_BITS))
 BUCKETS = FAMILIES[2] + (1 << SHAPE_BITS)
@@ -143,7 +146,7 @@ def _chosen(labels: DataFrame, bound: int, seed: int) -> DataFrame:
     """About `bound` labelled ids by hash: (label_id, good), good if every label of the id says so."""
     good = (F.col("quality") == 1) & (F.coalesce(F.col("toxic"), F.lit(0)) == 0)
     each = labels.where("doc_id is not null and quality is not null").groupBy(F.col("doc_id").cast("long").alias("label_id")).agg(F.min(good.cast("int")).alias("good"))
-    return cut(hashed_sample(cut(each), bound, seed))
+    return cut(hashed_sample(cut(each), bound, seed, "label_id"))
 
 
 def _fold() -> Column:
@@ -157,8 +160,13 @@ def learn(docs: DataFrame, chosen: DataFrame, pseudo: float = PSEUDO, least_effe
     rows = docs.select(F.col("doc_id").cast("long").alias("id"), F.col("text").cast("binary").alias("text"), _fold())
     marked = rows.join(good, F.col("id") == F.col("label_id"), "left").select("text", F.when(F.col("label_id").isNotNull(), F.col("fold")).alias("fold"))
     counted = marked.mapInArrow(_count_batches, _BLOB)
-    # Two rounds: sums of some tasks' tables, then of all; a task holds one sum for each block it meets.
-    some = counted.repartition("block", F.pmod("part", F.lit(16))).mapInArrow(_sum_batches, _BLOB)
+    # A tree: each round sums the tables of `FAN_IN` tasks; a task holds one sum for each block it meets.
+    parts, some = rows.rdd.getNumPartitions(), counted
+    while True:
+        parts = -(-parts // FAN_IN)
+        some = some.withColumn("part", F.floor(F.col("part") / FAN_IN).cast("int")).repartition("block", "part").mapInArrow(_sum_batches, _BLOB)
+        if parts <= FAN_IN:
+            break
     raw, target = np.zeros(BUCKETS + 1, np.int64), np.zeros((FOLDS, BUCKETS + 1), np.int64)
     for row in some.repartition("block").mapInArrow(_sum_batches, _BLOB).collect():  # one row for each block
         own = slice(row["block"] << BLOCK_BITS, (row["block"] + 1) << BLOCK_BITS)
@@ -169,11 +177,16 @@ def learn(docs: DataFrame, chosen: DataFrame, pseudo: float = PSEUDO, least_effe
 
 
 def log_ratio(raw: np.ndarray, target: np.ndarray, pseudo: float = PSEUDO, least_effect: float = LEAST_EFFECT, least_errors: float = LEAST_ERRORS) -> np.ndarray:
-    """From documents with each bucket's n-grams, and in the last place all documents."""
-    expected = raw[:-1] * (target[-1] / max(raw[-1], 1))
-    ratio = np.log((target[:-1] + pseudo) / (expected + pseudo))
-    clear = (np.abs(ratio) >= least_effect) & (np.abs(target[:-1] - expected) >= least_errors * np.sqrt(np.minimum(target[:-1], expected) + pseudo / 4))
-    return np.where(clear, ratio, 0).astype(np.float32) if target[-1] else np.zeros(len(ratio), np.float32)
+    """Log of the target's rate over the raw one of every bucket, from numbers of documents with each (last: of all)."""
+    raw, own = raw[:-1].astype(float), target[:-1].astype(float)
+    if not own.sum() or not raw.sum():
+        return np.zeros(len(raw), np.float32)
+    expected = raw * (own.sum() / raw.sum())
+    ratio = np.log((own + pseudo) / (expected + pseudo))
+    clear = (np.abs(ratio) >= least_effect) & (np.abs(own - expected) >= least_errors * np.sqrt(np.minimum(own, expected) + pseudo / 4))
+    every = own.sum() + pseudo * len(own)
+    rest = np.log((every - (own[clear] + pseudo).sum()) / (every - (expected[clear] + pseudo).sum())) if not clear.all() else 0.0
+    return np.where(clear, ratio, rest).astype(np.float32)
 
 
 def log_weights(docs: DataFrame, ratios: np.ndarray, chosen: DataFrame) -> DataFrame:
@@ -193,17 +206,25 @@ def log_weights(docs: DataFrame, ratios: np.ndarray, chosen: DataFrame) -> DataF
     return cut(rows.select("doc_id", "text_hash", "text", "fold").mapInArrow(run, "doc_id long, text_hash long, n_features long, log_ratio double"))
 
 
-def threshold(weights: DataFrame, chosen: DataFrame, lose: float = LOSE) -> float:
-    """Where held-out log ratios of labelled good rows part best from those of bad ones."""
-    found = weights.join(F.broadcast(chosen), F.col("doc_id") == F.col("label_id")).select("log_ratio", "good").toPandas()
-    good, bad = np.sort(found["log_ratio"][found["good"] == 1].to_numpy()), np.sort(found["log_ratio"][found["good"] == 0].to_numpy())
+def threshold(weights: DataFrame, chosen: DataFrame, lose: float = LOSE, temperature: float = TEMPERATURE, bound: int = LABELLED_ROWS, seed: int = SEED) -> float:
+    """The key at which a sample parts labelled good rows best from bad ones, from their held-out log ratios."""
+    labelled = cut(weights.join(F.broadcast(chosen), F.col("doc_id") == F.col("label_id")).select("label_id", "text_hash", "log_ratio", "good"))
+    found = hashed_sample(labelled, 2 * bound, seed + 3, "label_id", "text_hash").select("log_ratio", "good").toPandas()
+    good, bad = (np.sort(found["log_ratio"][found["good"] == g].to_numpy()) / temperature for g in (1, 0))
     if len(good) < 5 or len(bad) < 5:
-        return DEFAULT_THRESHOLD
-    places = np.unique(np.concatenate([good, bad]))
-    places = np.concatenate([(places[1:] + places[:-1]) / 2, [places[0] - 1]])
-    lost, caught = np.searchsorted(good, places) / len(good), np.searchsorted(bad, places) / len(bad)
-    allowed = lost <= lose
-    return float(places[allowed][np.argmax((caught - lost)[allowed])])
+        return DEFAULT_THRESHOLD / temperature
+    places = np.unique(np.concatenate([good, bad, [good[0] - 8]]))
+    if len(places) > 2000:
+        places = np.quantile(places, np.linspace(0, 1, 2000))
+
+    def lost(rows: np.ndarray) -> np.ndarray:
+        """The mean chance that ratio and draw together stay below each place."""
+        with np.errstate(over="ignore", under="ignore"):
+            return np.array([np.exp(-np.exp(rows - p)).mean() for p in places])
+
+    of_good, of_bad = lost(good), lost(bad)
+    allowed = of_good <= max(lose, of_good[0])
+    return float(places[allowed][np.argmax((of_bad - of_good)[allowed])])
 
 
 def kth_largest(rows: DataFrame, column: str, k: int, at_once: int = 4096) -> float:
@@ -228,16 +249,18 @@ def kth_largest(rows: DataFrame, column: str, k: int, at_once: int = 4096) -> fl
             k -= b["n"]
 
 
-def sampled(docs: DataFrame, labels: DataFrame, labelled_rows: int = LABELLED_ROWS, temperature: float = TEMPERATURE, lose: float = LOSE, seed: int = SEED) -> DataFrame:
+def sampled(docs: DataFrame, labels: DataFrame, labelled_rows: int = LABELLED_ROWS, temperature: float = TEMPERATURE, lose: float = LOSE, k: int | None = None, share: float | None = None, seed: int = SEED) -> DataFrame:
     """(doc_id, text_hash, n_features, log_ratio, sample_key, kept) of every row of `docs`."""
     ship(docs.sparkSession)
     chosen = _chosen(labels, labelled_rows, seed)
     weights = log_weights(docs, learn(docs, chosen), chosen)
-    least = threshold(weights, chosen, lose)
-    uniform = (F.shiftrightunsigned(F.xxhash64(F.lit(seed + 1), "doc_id"), 11).cast("double") + 0.5) / float(1 << 53)
+    uniform = (F.shiftrightunsigned(F.xxhash64(F.lit(seed + 1), "doc_id", "text_hash"), 11).cast("double") + 0.5) / float(1 << 53)
     keyed = cut(weights.withColumn("sample_key", F.col("log_ratio") / temperature - F.log(-F.log(uniform))))
-    k = keyed.where(F.col("log_ratio") >= least).count()
-    cut_at = kth_largest(keyed, "sample_key", k) if k else float("inf")
+    if share is not None:
+        k = round(share * keyed.count())
+    elif k is None:
+        k = keyed.where(F.col("sample_key") >= threshold(weights, chosen, lose, temperature, labelled_rows, seed)).count()
+    cut_at = kth_largest(keyed, "sample_key", min(k, keyed.count())) if k else float("inf")
     return keyed.withColumn("kept", F.col("sample_key") >= cut_at)
 
 
@@ -245,5 +268,3 @@ def accepted(docs: DataFrame, labels: DataFrame, **options) -> DataFrame:
     """The rows of `docs`, all columns, that the sample keeps."""
     kept = sampled(docs, labels, **options).where("kept").select("doc_id", "text_hash", F.lit(False).alias("single"))
     return keep_rows(docs, cut(kept.distinct()))
-
-

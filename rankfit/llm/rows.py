@@ -30,14 +30,12 @@ def keep_rows(docs: DataFrame, kept: DataFrame) -> DataFrame:
     return rows.join(several, same, "left_anti").select("r.*").unionByName(again.select("r.*"))
 
 
-def hashed_sample(rows: DataFrame, bound: int, seed: int) -> DataFrame:
-    """About `bound` rows of a stored table, all if it has fewer: those whose own hash lies in the lowest share.
+def hashed_sample(rows: DataFrame, bound: int, seed: int, *keys: str) -> DataFrame:
+    """About `bound` different rows of a stored table by `keys`, all if it has fewer: those whose hash lies in the lowest share.
 
-    Each task filters its rows alone, so nothing is sorted and no more than the sample leaves the tasks; the hash is
-    the row's, not an id's, so that an id of many rows is no more likely to fill the sample than others.
+    Each task filters its rows alone, so nothing is sorted and no more than the sample leaves the tasks. The hash is that
+    of the keys, so that neither the order nor the files of the table matter, and rows alike in them count once.
     """
-    n = rows.count()
-    if n <= bound:
-        return rows
-    place = F.xxhash64(F.lit(seed), F.monotonically_increasing_id()).cast("double") / 2.0**64 + 0.5
-    return rows.where(place <= bound / n)
+    n = rows.agg(F.approx_count_distinct(F.xxhash64(*keys), 0.02)).first()[0]
+    place = F.xxhash64(F.lit(seed), *keys).cast("double") / 2.0**64 + 0.5
+    return rows.where(place <= min(1.0, bound / max(n, 1))).dropDuplicates(list(keys))

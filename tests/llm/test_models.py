@@ -1,12 +1,15 @@
 import re
 import zlib
 from collections import Counter
-from math import log10
+from math import log, log10
 
 import numpy as np
 import pytest
+import xxhash
+from pyspark.sql import functions as F
 
-from rankfit.llm import importance, interpolated
+from rankfit.llm import importance, interpolated, rule_forest
+from rankfit.llm.rows import hashed_sample
 
 WORD = re.compile("[^\x20\x09-\x0d]+")
 
@@ -117,3 +120,86 @@ def test_kth_largest(spark):
     df = spark.createDataFrame([(v,) for v in values], "v double").cache()
     for k in (1, 17, 1500, 3000):
         assert importance.kth_largest(df, "v", k, at_once=50) == sorted(values, reverse=True)[k - 1]
+
+
+def grams_brute(text):
+    """(family, bucket) of a text's words, pairs of words and pairs of shapes, by plain integers."""
+    most, words = (1 << 64) - 1, (text or "").encode().split()
+
+    def bucket(x, bits):
+        return ((x ^ (x >> 31)) * 0xBF58476D1CE4E5B9 & most) >> (64 - bits)
+
+    def shape(w):
+        kinds = [65 if 65 <= b <= 90 else 97 if 97 <= b <= 122 or b >= 128 else 48 if 48 <= b <= 57 else b for b in w]
+        return bytes(b for i, b in enumerate(kinds) if not i or b != kinds[i - 1])
+
+    around = bytes(b for b in range(33, 127) if not chr(b).isalnum())
+    word = [xxhash.xxh64_intdigest(w.lower().strip(around) or w) for w in words]
+    shapes = [xxhash.xxh64_intdigest(shape(w)) for w in words]
+    out = {(0, bucket(h, importance.WORD_BITS)) for h in word}
+    for i in range(len(words) - 1):
+        out.add((1, bucket((word[i] * 0x9E3779B97F4A7C15 + word[i + 1]) & most, importance.PAIR_BITS)))
+        pair = (shapes[i] * 0x9E3779B97F4A7C15 + shapes[i + 1]) & most
+        out.add((2, bucket((pair * 2 + (words[i] == words[i + 1])) & most, importance.SHAPE_BITS)))
+    return out
+
+
+def test_importance_against_brute_force(documents, labels):
+    rows = [(r.doc_id, r.text, r.fold) for r in documents.select("doc_id", "text", importance._fold()).collect()]
+    good = {r.doc_id: r.quality == 1 and not r.toxic for r in labels.collect() if r.doc_id is not None and r.quality is not None}
+    grams = {i: grams_brute(t) for i, t, _ in rows}
+    raw = Counter(g for i, _, _ in rows for g in grams[i])
+
+    def ratios(skipped):
+        own = Counter(g for i, _, f in rows if good.get(i) and f != skipped for g in grams[i])
+        mass, scale = sum(own.values()), sum(own.values()) / sum(raw.values())
+        every = mass + importance.PSEUDO * importance.BUCKETS
+        clear, left, right = {}, every, every
+        for g, n in raw.items():
+            a, b = own[g] + importance.PSEUDO, n * scale + importance.PSEUDO
+            errors = abs(own[g] - n * scale) / (min(own[g], n * scale) + importance.PSEUDO / 4) ** 0.5
+            if abs(log(a / b)) >= importance.LEAST_EFFECT and errors >= importance.LEAST_ERRORS:
+                clear[g], left, right = log(a / b), left - a, right - b
+        return clear, log(left / right)
+
+    tables = {f: ratios(f) for f in (None, *range(importance.FOLDS))}
+    assert tables[None][0]
+    got = {r.doc_id: r for r in importance.sampled(documents, labels, share=0.5).collect()}
+    for i, _, fold in rows:
+        clear, rest = tables[fold if i in good else None]
+        assert got[i].n_features == len(grams[i])
+        assert abs(got[i].log_ratio - sum(clear.get(g, rest) for g in grams[i])) < 1e-3 * (1 + abs(got[i].log_ratio))
+    draws = documents.select("doc_id", "text").select("doc_id", F.xxhash64(F.lit(importance.SEED + 1), "doc_id", F.xxhash64("text")).alias("h")).collect()
+    for r in draws:
+        uniform = (((r.h & ((1 << 64) - 1)) >> 11) + 0.5) / (1 << 53)
+        assert abs(got[r.doc_id].sample_key - (got[r.doc_id].log_ratio / importance.TEMPERATURE - log(-log(uniform)))) < 1e-6
+    keys = sorted((r.sample_key for r in got.values()), reverse=True)
+    assert sum(r.kept for r in got.values()) == round(len(rows) / 2)
+    assert all(r.kept == (r.sample_key >= keys[round(len(rows) / 2) - 1]) for r in got.values())
+
+
+def test_samples_beyond_their_bounds_do_not_hang_on_files(spark, labels):
+    df = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
+    truth = spark.read.parquet("/root/testdata/sf0.01/labels.parquet")
+    small = {"trees": 20, "rows_in_tree": 16, "labelled_rows": 100}
+    one, other = (sorted(map(str, rule_forest.judged(x, truth, **small).collect())) for x in (df.coalesce(1), df.repartition(9).unionByName(df.limit(0))))
+    assert one == other
+    one, other = (sorted(map(str, importance.sampled(x, truth, labelled_rows=150).select("doc_id", "kept").collect())) for x in (df.coalesce(1), df.repartition(9)))
+    assert one == other
+    copies = df.limit(1).withColumn("n", F.explode(F.sequence(F.lit(1), F.lit(5000)))).drop("n")
+    assert hashed_sample(copies, 100, 1, "doc_id", "text").count() == 1
+
+
+def test_forest_paths_against_brute_force():
+    data = np.random.default_rng(4).normal(size=(300, 4))
+    forest = rule_forest.grow(data, 30, 32)
+    for row, score in zip(data[:40], rule_forest.scores(forest, data[:40]), strict=True):
+        total = 0.0
+        for column, place, path in zip(forest["column"], forest["place"], forest["path"], strict=True):
+            node = 0
+            while column[node] >= 0:
+                node = 2 * node + (2 if row[column[node]] >= place[node] else 1)
+            total += path[node]
+        n = 32
+        mean = 2 * (log(n - 1) + 0.5772156649015329) - 2 * (n - 1) / n
+        assert abs(score - 2 ** (-total / 30 / mean)) < 1e-9
