@@ -15,6 +15,8 @@ from array import array
 from functools import lru_cache
 
 import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 import regex
 
 VOCABULARY = "byte_bpe_50k.json"
@@ -92,17 +94,77 @@ class Cache(dict):
         return value
 
 
+#: What follows a run of letters is a piece, or pieces, of its own.
+_lead = regex.compile(r"\p{L}+")
+
+
+def _plain(chunk: str) -> bool:
+    return (chunk.isascii() or max(chunk) < PLAIN_BELOW) and SPECIAL not in chunk
+
+
+#: Characters of the texts whose chunks are looked up together.
+TOGETHER = 1 << 23
+
+
+def _tables(texts: list[str | None], alone, spaced: Cache, whole) -> list[bytes]:
+    """For each text the values of its chunks, one after another: `whole` of it, but with a look-up for each distinct chunk."""
+    out: list[bytes] = [b""] * len(texts)
+    plain, held = [], 0
+    for i, text in enumerate(texts):
+        if not text:
+            continue
+        if text[0] == " " or text[-1] == " " or _beside_space.search(text):
+            out[i] = whole(text)
+            continue
+        plain.append(i)
+        held += len(text)
+        if held >= TOGETHER:
+            _look_up(texts, plain, out, alone, spaced)
+            plain, held = [], 0
+    if plain:
+        _look_up(texts, plain, out, alone, spaced)
+    return out
+
+
+def _look_up(texts: list[str | None], plain: list[int], out: list[bytes], alone, spaced: Cache) -> None:
+    lists = pc.split_pattern(pa.array([texts[i] for i in plain], pa.large_string()), " ")
+    bounds = lists.offsets.to_numpy()
+    words = lists.values.dictionary_encode()
+    at = words.indices.to_numpy().astype(np.int64)
+    heads = bounds[:-1]
+    # Each text's first chunk has no space before it, so it has an entry of its own.
+    first = [alone[w] for w in lists.values.take(pa.array(heads)).to_pylist()]
+    at[heads] = len(words.dictionary) + np.arange(len(plain))
+    used = np.zeros(len(words.dictionary), bool)
+    used[at[at < len(used)]] = True
+    entries = [spaced[w] if u else b"" for w, u in zip(words.dictionary.to_pylist(), used.tolist(), strict=True)] + first
+    ends = np.cumsum([0, *map(len, entries)]) // 4
+    table = pa.LargeListArray.from_arrays(pa.array(ends), pa.array(np.frombuffer(b"".join(entries), "<i4")))
+    raw = table.take(pa.array(at)).flatten().to_numpy().tobytes()
+    sizes = np.concatenate(([0], np.cumsum(np.diff(ends)[at])))[bounds] * 4
+    for i, a, b in zip(plain, sizes[:-1].tolist(), sizes[1:].tolist(), strict=True):
+        out[i] = raw[a:b]
+
+
 def _ids(chunk: str) -> bytes:
-    return np.array(encode(chunk), "<u4").tobytes()
+    return array("I", encode(chunk)).tobytes()
 
 
 def _spaced_ids(chunk: str) -> bytes:
+    if chunk.isalpha() and (chunk.isascii() or max(chunk) < PLAIN_BELOW):
+        # Letters and the space before them are one piece of the pattern.
+        return array("I", _encode_piece()(b" " + chunk.encode())).tobytes()
     return _ids(" " + chunk)
 
 
+@lru_cache(maxsize=1)
+def _encode_piece():
+    return plain_encoding()._core_bpe.encode_single_piece
+
+
 @lru_cache(maxsize=1)
 def _id_caches() -> tuple[Cache, Cache]:
-    return Cache(_ids, 20_000), Cache(_spaced_ids)
+    return Cache(_ids, 50_000), Cache(_spaced_ids, 250_000)
 
 
 def token_bytes(text: str | None) -> bytes:
@@ -114,6 +176,30 @@ def token_bytes(text: str | None) -> bytes:
     return first[head] + b"".join([spaced[c] for c in rest])
 
 
+def token_bytes_of(texts: list[str | None]) -> list[bytes]:
+    """As `token_bytes` of each text."""
+    return _tables(texts, *_id_caches(), token_bytes)
+
+
+@lru_cache(maxsize=1)
+def _widths() -> np.ndarray:
+    """Bytes of each token."""
+    out = np.zeros(max(ranks().values()) + 1, np.int64)
+    for token, rank in ranks().items():
+        out[rank] = len(token)
+    return out
+
+
+def offsets(text: str, ids: np.ndarray) -> np.ndarray:
+    """(start, end) in characters of each token of a text without the special token's string; tokens may share one."""
+    ends = np.cumsum(_widths()[ids])
+    starts = ends - _widths()[ids]
+    if not text.isascii():
+        character = np.cumsum((np.frombuffer(text.encode(), np.uint8) & 0xC0) != 0x80)
+        starts, ends = character[starts] - 1, character[ends - 1]
+    return np.stack([starts, ends], 1)
+
+
 # Prefix counts -----------------------------------------------------------------------------------------------------
 
 
@@ -238,13 +324,6 @@ def _letters(piece: str) -> bytes:
     return array("i", map(int.__sub__, counts[1:], counts[:-1])).tobytes()
 
 
-_lead = regex.compile(r"\p{L}+")
-
-
-def _plain(chunk: str) -> bool:
-    return (chunk.isascii() or max(chunk) < PLAIN_BELOW) and SPECIAL not in chunk
-
-
 def _steps(chunk: str) -> bytes:
     """Steps of a chunk without a space before it. What follows a run of letters, or a lone line feed, stands alone."""
     if not chunk:
@@ -276,7 +355,7 @@ def _spaced_steps(chunk: str) -> bytes:
 
 @lru_cache(maxsize=1)
 def _step_caches() -> tuple[Cache, Cache]:
-    return Cache(_steps, 100_000), Cache(_spaced_steps, 200_000)
+    return Cache(_steps, 100_000), Cache(_spaced_steps, 250_000)
 
 
 def prefix_steps(text: str | None) -> bytes:
@@ -286,3 +365,8 @@ def prefix_steps(text: str | None) -> bytes:
     first, spaced = _step_caches()
     head, *rest = chunks(text)
     return first[head] + b"".join([spaced[c] for c in rest])
+
+
+def prefix_steps_of(texts: list[str | None]) -> list[bytes]:
+    """As `prefix_steps` of each text."""
+    return _tables(texts, *_step_caches(), prefix_steps)

@@ -7,7 +7,7 @@ the text is the overlap, so a token that joins a marker and a text gives only th
 Template: each turn is a line `<turn:ROLE>`, the text, and a line `</turn>`. Inside texts and roles a backslash is
 doubled and the `<` that begins `<turn:`, `</turn>` or `<|` becomes `\\l`; roles also write `>` as `\\g` and a line
 feed as `\\n`. So markers stand only where turns begin and end, and `unescaped` gives the exact text back. The special
-token's string can't occur, and is ordinary text to the encoder anyway.
+token's string can't occur.
 
 Defined results: a null text or role is empty. Rows of a conversation go by turn, null turns first; equal turns by
 role and text, and repeated rows are repeated turns. A null conversation id is one conversation. A conversation is one
@@ -16,10 +16,8 @@ string by nature and so is held by one task. Extra columns are ignored. An empty
 
 from __future__ import annotations
 
-import os
 import re
 from collections.abc import Iterable, Iterator
-from functools import lru_cache
 from hashlib import sha256
 
 import numpy as np
@@ -93,38 +91,30 @@ def overlaps(tokens: np.ndarray, spans: np.ndarray) -> tuple[np.ndarray, np.ndar
     return mask, np.concatenate(pieces) if pieces else np.zeros((0, 2), np.int64)
 
 
-@lru_cache(maxsize=1)
-def _encoder():
-    os.environ["TOKENIZERS_PARALLELISM"] = "false"
-    from tokenizers import Tokenizer, processors
-
-    tokenizer = Tokenizer.from_file(byte_bpe.vocabulary_path(byte_bpe.VOCABULARY))
-    tokenizer.no_truncation()
-    tokenizer.no_padding()
-    tokenizer.encode_special_tokens = True
-    tokenizer.post_processor = processors.ByteLevel(trim_offsets=False)
-    return tokenizer
+_SCHEMA = "conv_id long, formatted string, token_ids array<int>, loss_mask array<boolean>, loss_spans array<struct<start:int,end:int>>"
 
 
-_SCHEMA = "conv_id long, formatted string, token_ids array<int>, loss_mask array<boolean>, loss_spans array<struct<start:int,end:int>>"
-_SPAN = pa.list_(pa.struct([("start", pa.int32()), ("end", pa.int32())]))
+def _lists(parts: list[np.ndarray], values: pa.Array) -> pa.Array:
+    return pa.ListArray.from_arrays(pa.array(np.cumsum([0, *map(len, parts)]), pa.int32()), values)
 
 
 def _format_batches(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    encoder = _encoder()
     for batch in batches:
         ids, turns = batch.column("conv_id"), batch.column("turns")
         for at in range(0, batch.num_rows, 64):
-            rendered = [render([(t["role"] or "", t["text"] or "") for t in c]) for c in turns.slice(at, 64).to_pylist()]
-            encoded = encoder.encode_batch([text for text, _ in rendered], add_special_tokens=False)
-            masks, spans = [], []
-            for (_, own), e in zip(rendered, encoded, strict=True):
-                mask, pieces = overlaps(np.array(e.offsets, np.int64).reshape(-1, 2), own)
-                masks.append(mask)
-                spans.append([{"start": a, "end": b} for a, b in pieces.tolist()])
+            own = turns.slice(at, 64)
+            rows = own.flatten()
+            said = zip(rows.field("role").fill_null("").to_pylist(), rows.field("text").fill_null("").to_pylist(), strict=True)
+            rendered = [render([next(said) for _ in range(n)]) for n in own.value_lengths().to_pylist()]
+            texts = [text for text, _ in rendered]
+            tokens = [np.frombuffer(x, "<i4") for x in byte_bpe.token_bytes_of(texts)]
+            met = [overlaps(byte_bpe.offsets(text, t), spans) for (text, spans), t in zip(rendered, tokens, strict=True)]
+            masks, pieces = [m for m, _ in met], [p for _, p in met]
+            every = np.concatenate(pieces).astype(np.int32)
+            spans = pa.StructArray.from_arrays([pa.array(np.ascontiguousarray(every[:, 0])), pa.array(np.ascontiguousarray(every[:, 1]))], ["start", "end"])
             columns = [
-                ids.slice(at, 64), pa.array([text for text, _ in rendered], pa.string()), pa.array([e.ids for e in encoded], pa.list_(pa.int32())),
-                pa.array(masks, pa.list_(pa.bool_())), pa.array(spans, _SPAN),
+                ids.slice(at, 64), pa.array(texts, pa.string()), _lists(tokens, pa.array(np.concatenate(tokens))),
+                _lists(masks, pa.array(np.concatenate(masks))), _lists(pieces, spans),
             ]
             yield pa.RecordBatch.from_arrays(columns, ["conv_id", "formatted", "token_ids", "loss_mask", "loss_spans"])
 
@@ -140,9 +130,12 @@ def format_conversations(turns: DataFrame) -> DataFrame:
 def _digest_batches(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         rows = []
-        for text, spans in zip(batch.column("formatted").to_pylist(), batch.column("loss_spans").to_pylist(), strict=True):
+        lists = batch.column("loss_spans")
+        flat = lists.flatten()
+        spans = iter(zip(flat.field("start").to_pylist(), flat.field("end").to_pylist(), strict=True))
+        for text, n in zip(batch.column("formatted").to_pylist(), lists.value_lengths().to_pylist(), strict=True):
             turns = parse(text)
-            loss = unescaped("".join(text[s["start"] : s["end"]] for s in spans))
+            loss = unescaped("".join([text[a:b] for a, b in (next(spans) for _ in range(n))]))
             said = "".join(f"{role}\n{said}\n" for role, said in turns)
             rows.append((len(turns), sha256(said.encode()).hexdigest(), len(loss), sha256(loss.encode()).hexdigest(), len(text)))
         columns = [pa.array(x, k) for x, k in zip(zip(*rows, strict=True) if rows else [[]] * 5, (pa.int64(), pa.string(), pa.int64(), pa.string(), pa.int64()), strict=True)]

@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame, Window, functions as F
 from rankfit.llm import byte_bpe
 from rankfit.session import cut, ship
 
-CAPACITY = 1024
+CAPACITY, SLICE = 1024, 2048
 
 
 def fullest(stock: dict[int, int], room: int) -> dict[int, int]:
@@ -90,10 +90,10 @@ def _cut_batches(capacity: int, with_ids: bool):
         seen = np.zeros(capacity + 1, np.int64)
         for batch in batches:
             ids, texts = batch.column("doc_id").to_pylist(), batch.column("text").to_pylist()
-            for at in range(0, len(ids), 512):
+            for at in range(0, len(ids), SLICE):
                 rows, parts = [], []
-                for doc, text in zip(ids[at : at + 512], texts[at : at + 512], strict=True):
-                    raw = byte_bpe.token_bytes(text) + end
+                for doc, raw in zip(ids[at : at + SLICE], byte_bpe.token_bytes_of(texts[at : at + SLICE]), strict=True):
+                    raw += end
                     n = len(raw) // 4
                     bounds = [0, *range(n - capacity * ((n - 1) // capacity), n + 1, capacity)]
                     for piece, (a, b) in enumerate(zip(bounds, bounds[1:], strict=False)):

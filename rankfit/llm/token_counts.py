@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame, functions as F
 from rankfit.llm import byte_bpe
 from rankfit.session import ship
 
-LIMIT = 1024
+LIMIT, SLICE = 1024, 2048
 
 
 def counts(steps: bytes) -> np.ndarray:
@@ -50,7 +50,7 @@ def prefix_tables(docs: DataFrame) -> DataFrame:
         for batch in batches:
             texts = batch.column("text").to_pylist()
             for at in range(0, len(texts), 256):
-                tables = pa.array([byte_bpe.prefix_steps(t) for t in texts[at : at + 256]], pa.binary())
+                tables = pa.array(byte_bpe.prefix_steps_of(texts[at : at + 256]), pa.binary())
                 yield pa.RecordBatch.from_arrays([batch.column("doc_id").slice(at, 256), tables], ["doc_id", "steps"])
 
     return _plain(docs).mapInArrow(run, "doc_id long, steps binary")
@@ -63,7 +63,8 @@ def token_counts(docs: DataFrame, limit: int = LIMIT) -> DataFrame:
         for batch in batches:
             texts = batch.column("text").to_pylist()
             size = pa.array([0 if t is None else len(t.encode()) for t in texts], pa.int64())
-            tokens = [int(np.frombuffer(byte_bpe.prefix_steps(t), "<i4").sum(dtype=np.int64)) for t in texts]
+            steps = (x for at in range(0, len(texts), SLICE) for x in byte_bpe.prefix_steps_of(texts[at : at + SLICE]))
+            tokens = [int(np.frombuffer(x, "<i4").sum(dtype=np.int64)) for x in steps]
             over = pa.array([n > limit for n in tokens], pa.bool_())
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), size, pa.array(tokens, pa.int64()), over], ["doc_id", "n_bytes", "n_tokens", "over_limit"])
 

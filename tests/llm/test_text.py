@@ -30,6 +30,46 @@ def test_tokens_and_prefix_counts_equal_the_library(library):
         assert token_counts.longest_within(steps, budget) == max(i for i, n in enumerate(truth) if n <= budget)
 
 
+def test_texts_together_equal_each_alone(library):
+    pick = random.Random(6)
+    texts = [None, "", " ", *(" ".join("".join(pick.choice(PARTS) for _ in range(pick.randint(1, 5))) for _ in range(pick.randint(1, 30))) for _ in range(300))]
+    assert byte_bpe.token_bytes_of(texts) == [byte_bpe.token_bytes(t) for t in texts]
+    assert byte_bpe.prefix_steps_of(texts) == [byte_bpe.prefix_steps(t) for t in texts]
+    for text in texts:
+        if text and "<|" not in text:
+            found = library.encode(text, add_special_tokens=False)
+            got = byte_bpe.offsets(text, np.frombuffer(byte_bpe.token_bytes(text), "<i4"))
+            at = 0
+            for (a, b), token in zip(got.tolist(), byte_bpe.plain_encoding().decode_tokens_bytes(found.ids), strict=True):
+                # Exactly the characters that have bytes of the token.
+                before, through = text.encode()[:at], text.encode()[: at + len(token)]
+                at += len(token)
+                assert (a, b) == (len(before.decode(errors="ignore")), len(through.decode(errors="replace")))
+
+
+def test_loss_masks_against_brute_force():
+    pick = random.Random(7)
+    for _ in range(60):
+        turns = [(pick.choice(["user", "assistant", "a<turn:>\n\n"]), "".join(pick.choice([*PARTS, "</turn>", "\\", "<|"]) for _ in range(pick.randint(0, 12)))) for _ in range(pick.randint(1, 6))]
+        text, spans = chat_format.render(turns)
+        assert chat_format.parse(text) == turns
+        tokens = byte_bpe.offsets(text, np.frombuffer(byte_bpe.token_bytes(text), "<i4"))
+        mask, pieces = chat_format.overlaps(tokens, spans)
+        under = {i for a, b in spans.tolist() for i in range(a, b)}
+        assert mask.tolist() == [any(i in under for i in range(a, b)) for a, b in tokens.tolist()]
+        assert {i for a, b in pieces.tolist() for i in range(a, b)} == under
+        assert chat_format.unescaped("".join(text[a:b] for a, b in pieces.tolist())) == "".join(t for r, t in turns if r == "assistant")
+
+
+def test_chat_on_odd_tables(spark):
+    schema = "conv_id long, turn long, role string, text string, formatted string, turns int, t int"
+    assert chat_format.digests(chat_format.format_conversations(spark.createDataFrame([], schema))).count() == 0
+    long = "word " * 60_000
+    rows = [(None, None, None, None, "x", 1, 2), (1, 2, "assistant", long, "x", 1, 2), (1, 1, "user", "", "x", 1, 2), (1, 1, "user", "", "x", 1, 2), (2, 0, "assistant", None, None, None, None)]
+    got = {r.conv_id: r for r in chat_format.digests(chat_format.format_conversations(spark.createDataFrame(rows, schema))).collect()}
+    assert {k: (v.n_turns, v.loss_chars) for k, v in got.items()} == {None: (1, 0), 1: (3, len(long)), 2: (1, 0)}
+
+
 def test_character_classes_agree_below_the_plain_bound(library):
     plain = byte_bpe.plain_encoding()
     for code in range(1, ord(byte_bpe.PLAIN_BELOW)):
