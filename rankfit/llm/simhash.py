@@ -24,7 +24,8 @@ index's links as first candidates, whose components spare most of the work in gr
 two sets with similarity s share one of their first n - ceil(s n) + 1 shingles in any order common to all texts. Each
 candidate's similarity is computed in whole numbers before it links. The order is that of hashes, with the shingles
 that many texts begin with last; which ones are known to be frequent changes the work, not the result. Only the first
-shingles are stored; whole sets are made anew from the texts where a candidate has to be verified.
+shingles are stored, and a sketch of each set, counts of its shingles by their last bits, from which follows how many
+two sets can share at most. Whole sets are made anew from the texts of the candidates that this leaves.
 """
 
 from __future__ import annotations
@@ -308,7 +309,36 @@ def _firsts(distinct: np.ndarray, similar: tuple[int, int], late: np.ndarray | N
     return distinct[:n]
 
 
-_SETS = {"v": "v long", "fp": "fp long", "n": "n int", "first": "first array<long>", "s": "s array<long>"}
+def _sketch(distinct: np.ndarray) -> bytes:
+    """Counts (15 at most) of a set's shingles by their last bits, two to a byte; as many as shingles, or up to twice."""
+    size = max(2, 1 << (len(distinct) - 1).bit_length()) if len(distinct) else 2
+    counts = np.minimum(np.bincount(distinct & (size - 1), minlength=size), 15).astype(np.uint8)
+    return (counts[0::2] | counts[1::2] << 4).tobytes()
+
+
+def _most_shared(a: bytes, b: bytes, na: int, nb: int) -> int:
+    """How many shingles two sets of na and nb can share at most, from their sketches."""
+    x, y = (np.stack([c & 15, c >> 4], 1).ravel() for c in (np.frombuffer(a, np.uint8), np.frombuffer(b, np.uint8)))
+    beyond = int(na + nb - x.sum(dtype=np.int64) - y.sum(dtype=np.int64))
+    size = min(len(x), len(y))
+    x, y = (c.reshape(-1, size).sum(0, dtype=np.int32) for c in (x, y))
+    return int(np.minimum(x, y).sum()) + beyond
+
+
+def _possible_batches(similar: tuple[int, int]):
+    """The pairs that can be similar by their sketches."""
+    up, down = similar
+
+    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            rows = zip(*(batch.column(c).to_pylist() for c in ("sketch_a", "sketch_b", "n_a", "n_b")), strict=True)
+            keep = pa.array([(up + down) * _most_shared(x, y, na, nb) >= up * (na + nb) for x, y, na, nb in rows], pa.bool_())
+            yield batch.select(["a", "b"]).filter(keep)
+
+    return run
+
+
+_SETS = {"sketch": "sketch binary", "v": "v long", "fp": "fp long", "n": "n int", "first": "first array<long>", "s": "s array<long>"}
 
 
 def _set_batches(words: int, similar: tuple[int, int], wanted: tuple[str, ...], late=None, at_once: int = 1 << 20):
@@ -322,13 +352,13 @@ def _set_batches(words: int, similar: tuple[int, int], wanted: tuple[str, ...],
             for i in range(len(batch)):
                 hashes = shingles(texts[i].as_py(), words)
                 distinct = np.unique(hashes.view(np.int64))
-                values = {"v": lambda d=distinct: _named(d), "fp": lambda h=hashes: majority(h) if len(h) else 0, "n": lambda d=distinct: len(d), "first": lambda d=distinct: _firsts(d, similar, last), "s": lambda d=distinct: d}
+                values = {"v": lambda d=distinct: _named(d), "fp": lambda h=hashes: majority(h) if len(h) else 0, "n": lambda d=distinct: len(d), "sketch": lambda d=distinct: _sketch(d), "first": lambda d=distinct: _firsts(d, similar, last), "s": lambda d=distinct: d}
                 for c in wanted:
                     out[c].append(values[c]())
                 held += len(distinct)
                 if held >= at_once or i == len(batch) - 1:
                     own = batch.slice(start, i + 1 - start)
-                    made = [_lists(x) if c in ("first", "s") else pa.array(np.array(x, np.uint64).view(np.int64)) if c == "fp" else pa.array(x, pa.int32() if c == "n" else pa.int64()) for c, x in out.items()]
+                    made = [_lists(x) if c in ("first", "s") else pa.array(np.array(x, np.uint64).view(np.int64)) if c == "fp" else pa.array(x, {"n": pa.int32(), "sketch": pa.binary()}.get(c, pa.int64())) for c, x in out.items()]
                     names = [c for c in own.schema.names if c != "text"]
                     yield pa.RecordBatch.from_arrays([*(own.column(c) for c in names), *made], [*names, *wanted])
                     out, held, start = {c: [] for c in wanted}, 0, i + 1
@@ -356,15 +386,16 @@ def _sent(few: DataFrame) -> DataFrame:
     return F.broadcast(few) if few.count() <= SENT else few
 
 
-def _salted(pairs: DataFrame, sets: DataFrame, side: str, hub: int = HUB) -> DataFrame:
-    """`pairs` with the set of their `side`; a set that many pairs ask for is copied for each `hub` of them."""
+def _salted(pairs: DataFrame, sets: DataFrame, side: str, columns: tuple[str, ...], hub: int = HUB) -> DataFrame:
+    """`pairs` with the set of their `side`, its `columns`; a set that many pairs ask for is copied for each `hub` of them."""
     asked = cut(pairs.groupBy(side).count().where(F.col("count") > hub).select(F.col(side).alias("v"), F.ceil(F.col("count") / hub).cast("int").alias("copies")))
-    own = sets.select(F.col("v").alias(side), F.col("s").alias(f"s_{side}"))
+    named = [f"{c}_{side}" for c in columns]
+    own = sets.select(F.col("v").alias(side), *[F.col(c).alias(n) for c, n in zip(columns, named, strict=True)])
     if asked.isEmpty():
         return pairs.join(own, side)
     few = _sent(asked).withColumnRenamed("v", side)
     copies = F.coalesce("copies", F.lit(1))
-    own = own.join(few, side, "left").select(side, f"s_{side}", F.explode(F.sequence(F.lit(0), copies - 1)).alias("salt"))
+    own = own.join(few, side, "left").select(side, *named, F.explode(F.sequence(F.lit(0), copies - 1)).alias("salt"))
     dealt = pairs.join(few, side, "left").withColumn("salt", F.pmod(F.xxhash64("a", "b"), copies).cast("int")).drop("copies")
     return dealt.join(own, [side, "salt"]).drop("salt")
 
@@ -377,10 +408,10 @@ class SimilarTexts:
         self.spark, self.store = docs.sparkSession, Scratch(docs.sparkSession)
         self.words, self.similar, self.radius, self.block, self.frequent = words, similar, radius, block, frequent
         self.texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_hash(), F.col("text").cast("binary").alias("text"))
-        made = self.texts.mapInArrow(_set_batches(words, similar, ("v", "fp", "n", "first")), f"doc_id long, text_hash long, {self._schema('v', 'fp', 'n', 'first')}")
+        made = self.texts.mapInArrow(_set_batches(words, similar, ("v", "fp", "n", "sketch", "first")), f"doc_id long, text_hash long, {self._schema('v', 'fp', 'n', 'sketch', 'first')}")
         self.rows = self.store.table(made.withColumn("row", F.monotonically_increasing_id()))
         again = self.store.table(self.rows.groupBy("v").agg(F.count("*").alias("rows"), F.min("row").alias("one")).where("rows > 1").select("v", "one"))
-        self.sets = self.rows.join(_sent(again), "v", "left").where("one is null or one = row").select("v", "n", "fp", "text_hash", "first")
+        self.sets = self.rows.join(_sent(again), "v", "left").where("one is null or one = row").select("v", "n", "fp", "text_hash", "sketch", "first")
 
     @staticmethod
     def _schema(*columns: str) -> str:
@@ -405,9 +436,11 @@ class SimilarTexts:
         """Those of `pairs` whose sets are similar enough: shared / all >= up / down."""
         up, down = self.similar
         pairs = self.store.table(pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct())
+        rough = _salted(_salted(pairs, self.sets, "a", ("n", "sketch")), self.sets, "b", ("n", "sketch"))
+        pairs = self.store.table(rough.mapInArrow(_possible_batches(self.similar), "a long, b long"))
         asked = self.store.table(pairs.select(F.explode(F.array("a", "b")).alias("v")).distinct())
         whole = self.store.table(self.made_again(asked, "s"))
-        both = _salted(_salted(pairs, whole, "a"), whole, "b")
+        both = _salted(_salted(pairs, whole, "a", ("s",)), whole, "b", ("s",))
         enough = (up + down) * F.size(F.array_intersect("s_a", "s_b")) >= up * (F.size("s_a") + F.size("s_b"))
         return self.store.table(both.where(enough).select("a", "b"))
 

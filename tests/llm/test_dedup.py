@@ -119,6 +119,18 @@ def test_similar_texts(spark, odd, documents, none):
     assert simhash.keep_one_of_similar(none).count() == 0
 
 
+def test_sketches_bound_what_sets_share():
+    random = np.random.default_rng(8)
+    for _ in range(300):
+        pool = random.integers(-(1 << 62), 1 << 62, size=int(random.integers(1, 400)))
+        if random.random() < 0.2:
+            pool = pool << 9  # one place of the sketch for all
+        a, b = (np.unique(random.choice(pool, int(random.integers(1, 300)))) for _ in range(2))
+        most = simhash._most_shared(simhash._sketch(a), simhash._sketch(b), len(a), len(b))
+        assert most >= len(np.intersect1d(a, b))
+    assert simhash._most_shared(simhash._sketch(a), simhash._sketch(a), len(a), len(a)) == len(a)
+
+
 def test_pipeline_links_by_similarity(spark):
     words = [f"w{i}" for i in range(120)]
     near, far = list(words), list(words)
