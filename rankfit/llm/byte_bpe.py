@@ -78,7 +78,7 @@ def encode(chunk: str) -> list[int]:
 class Cache(dict):
     """Values of chunks, in two generations of at most `bound` entries: those used again outlive a turn."""
 
-    def __init__(self, make, bound: int = 150_000):
+    def __init__(self, make, bound: int):
         super().__init__()
         self.make, self.bound, self.old = make, bound, {}
 
@@ -103,7 +103,7 @@ def _plain(chunk: str) -> bool:
 
 
 #: Characters of the texts whose chunks are looked up together.
-TOGETHER = 1 << 23
+TOGETHER = 1 << 21
 
 
 def _tables(texts: list[str | None], alone, spaced: Cache, whole) -> list[bytes]:
@@ -164,7 +164,7 @@ def _encode_piece():
 
 @lru_cache(maxsize=1)
 def _id_caches() -> tuple[Cache, Cache]:
-    return Cache(_ids, 50_000), Cache(_spaced_ids, 250_000)
+    return Cache(_ids, 50_000), Cache(_spaced_ids, 80_000)
 
 
 def token_bytes(text: str | None) -> bytes:
@@ -355,7 +355,7 @@ def _spaced_steps(chunk: str) -> bytes:
 
 @lru_cache(maxsize=1)
 def _step_caches() -> tuple[Cache, Cache]:
-    return Cache(_steps, 100_000), Cache(_spaced_steps, 250_000)
+    return Cache(_steps, 50_000), Cache(_spaced_steps, 100_000)
 
 
 def prefix_steps(text: str | None) -> bytes:
