@@ -67,7 +67,7 @@ class Numbers(dict):
 class Features:
     """Hash buckets of texts; what is known of a word is kept while few enough words are."""
 
-    def __init__(self, bound: int = 400_000):
+    def __init__(self, bound: int = 250_000):
         self.bound = bound
         self.clear()
 

@@ -23,8 +23,9 @@ fingerprints differ in about ten bits, and an index that reaches so far meets a
 index's links as first candidates, whose components spare most of the work in groups of near copies, and completes them:
 two sets with similarity s share one of their first n - ceil(s n) + 1 shingles in any order common to all texts. Each
 candidate's similarity is computed in whole numbers before it links. The order is that of hashes, with the shingles
-that many texts begin with last; which ones are known to be frequent changes the work, not the result. Only the first
-shingles are stored, and a sketch of each set, counts of its shingles by their last bits, from which follows how many
+that many texts begin with last; which ones are known to be frequent changes the work, not the result. While the sets
+that share a shingle would meet in too many pairs, one of them meets the others: groups of near copies join by such
+stars, and sets that are joined needn't meet. All others do. Only the first shingles are stored, and a sketch of each set, counts of its shingles by their last bits, from which follows how many
 two sets can share at most. Whole sets are made anew from the texts of the candidates that this leaves.
 """
 
@@ -44,9 +45,11 @@ SHINGLE_WORDS = 4
 SEED = 42
 RADIUS = 4
 SIMILAR_WORDS, SIMILAR = 5, (4, 5)
-FREQUENT, FREQUENT_KEPT = 100, 20_000
+FREQUENT, FREQUENT_KEPT, PASSAGE_SETS = 100, 20_000, 4_000
 SENT = 1_000_000
 MANY, HUB = 1 << 25, 256
+#: Stars are made while more pairs than this for each row would meet; a star's sets share one in so many of their shingles.
+PAIRS_A_ROW, STAR_SHARE = 4, 16
 
 _BYTE_BITS = ((np.arange(256)[:, None] >> np.arange(8)) & 1).astype(np.int64)
 _ROW = np.arange(8, dtype=np.int64) * 256
@@ -444,15 +447,39 @@ class SimilarTexts:
         enough = (up + down) * F.size(F.array_intersect("s_a", "s_b")) >= up * (F.size("s_a") + F.size("s_b"))
         return self.store.table(both.where(enough).select("a", "b"))
 
+    def marked(self, begun: DataFrame, late: np.ndarray) -> tuple:
+        """`late` as sent to the tasks, and `begun` with whether a set begins with any of it."""
+        shared = self.spark.sparkContext.broadcast(late)
+        return shared, begun.mapInArrow(_late_batches(shared), "v long, n int, first array<long>, late boolean")
+
+    @staticmethod
+    def _most(tally: DataFrame) -> np.ndarray:
+        """The shingles (h) of the largest counts, a bounded number, sorted."""
+        counts = tally.groupBy("h").agg(F.max("count").alias("count")).orderBy(F.desc("count"), "h").limit(FREQUENT_KEPT)
+        return np.sort(np.array([r[0] for r in counts.collect()], np.int64))
+
+    def passages(self, begun: DataFrame, late: np.ndarray) -> DataFrame:
+        """(h, count) of what else stands often beside `late` shingles: without these, sets would begin with others of a passage.
+
+        Counted over some of the sets that begin with a late one; that changes the work, not the result.
+        """
+        _, marked = self.marked(begun, late)
+        asked = self.store.table(marked.where("late").select("v"))
+        share = min(1.0, PASSAGE_SETS / max(1, asked.count()))
+        some = self.store.table(asked.where(F.xxhash64(F.lit(3), "v").cast("double") / 2.0**64 + 0.5 <= share))
+        counts = self.made_again(some, "s").select(F.explode("s").alias("h")).groupBy("h").count()
+        return self.store.table(counts.where(F.col("count") > max(4, self.frequent * share)).select("h", F.floor(F.col("count") / share).cast("long").alias("count")))
+
     def ordered(self) -> tuple[DataFrame, DataFrame]:
         """(v, n, first) of every set with words, frequent shingles last, and the shingles (h, blocks) many still begin with."""
         begun = self.sets.where("n > 0").select("v", "n", "first")
         tally = self.store.table(begun.select(F.explode("first").alias("h")).groupBy("h").count().where(F.col("count") > self.frequent))
-        late = np.sort(np.array([r[0] for r in tally.orderBy(F.desc("count"), "h").limit(FREQUENT_KEPT).collect()], np.int64))
+        late = self._most(tally)
+        if len(late):
+            late = self._most(tally.unionByName(self.passages(begun, late)))
         counts = tally
         if len(late):
-            shared = self.spark.sparkContext.broadcast(late)
-            marked = begun.mapInArrow(_late_batches(shared), "v long, n int, first array<long>, late boolean")
+            shared, marked = self.marked(begun, late)
             asked = self.store.table(marked.where("late").select("v"))
             again = self.store.table(self.made_again(asked, "n", "first", late=shared))
             begun = marked.where("not late").drop("late").unionByName(again)
@@ -462,11 +489,10 @@ class SimilarTexts:
         hot = counts.groupBy("h").agg((F.sum("count") + self.frequent).alias("count")).where(F.col("count") > self.block)
         return begun, self.store.table(hot.select("h", F.ceil(F.col("count") / self.block).cast("long").alias("blocks")))
 
-    def more_pairs(self, roots: DataFrame) -> DataFrame:
-        """Pairs (a, b) of sets, among them all similar ones that `roots` (v, root), a stored table, doesn't join yet."""
-        up, down = self.similar
+    def shared(self) -> DataFrame:
+        """(h, cell, mine, v, n, at) of every first shingle of every set that isn't alone in its cell, as a stored table."""
         begun, hot = self.ordered()
-        rows = begun.join(_sent(roots), "v", "left").select("v", "n", "root", F.posexplode("first").alias("at", "h"))
+        rows = begun.select("v", "n", F.posexplode("first").alias("at", "h"))
         if hot.isEmpty():
             dealt = rows.withColumns({"cell": F.lit(0).cast("long"), "mine": F.lit(0)})
         else:
@@ -475,28 +501,126 @@ class SimilarTexts:
             each = rows.join(_sent(hot), "h", "left").withColumn("mine", F.pmod(F.xxhash64("v"), blocks).cast("int"))
             each = each.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), blocks - 1)))
             dealt = each.withColumn("cell", F.least("mine", "other") * (1 << 31) + F.greatest("mine", "other"))
-        whole = dealt.select("h", "cell", "root", "v", "n", "at", "mine").repartition("h", "cell").sortWithinPartitions("h", "cell")
-        met = whole.mapInArrow(_met_batches(self.similar), "a long, b long, n int, ends int").groupBy("a", "b")
+        dealt = dealt.select("h", "cell", "mine", "v", "n", "at")
+        return self.store.table(in_cells(dealt).mapInArrow(_several_batches, dealt.schema))
+
+    def rooted(self, shared: DataFrame, roots: DataFrame) -> DataFrame:
+        return shared.join(_sent(roots), "v", "left").withColumn("root", F.coalesce("root", "v"))
+
+    def pairs_in(self, rooted: DataFrame) -> int:
+        """How many pairs of sets with different roots meet in all cells."""
+        found = in_cells(rooted).mapInArrow(_met_batches(self.similar, counted=True), "pairs long")
+        return found.agg(F.coalesce(F.sum("pairs"), F.lit(0))).first()[0]
+
+    def star_pairs(self, rooted: DataFrame, turn: int) -> DataFrame:
+        """Pairs of one set of each cell with the others, a number linear in the rows, that share many first shingles."""
+        dealt = rooted.withColumn("turn", F.xxhash64(F.lit(turn), "v"))
+        stars = in_cells(dealt, "turn").mapInArrow(_star_batches(self.similar), "a long, b long, n int")
+        return stars.groupBy("a", "b").agg(F.count("*").alias("times"), F.first("n").alias("n")).where(F.col("times") > F.col("n") / STAR_SHARE).select("a", "b")
+
+    def all_pairs(self, rooted: DataFrame) -> DataFrame:
+        """Pairs (a, b) of sets, among them all similar ones that have different roots."""
+        up, down = self.similar
+        met = in_cells(rooted).mapInArrow(_met_batches(self.similar), "a long, b long, n int, ends int").groupBy("a", "b")
         # Up to the last shared place all that isn't shared is on one side only; similar sets have few of these.
         apart = met.agg((F.max("ends") - 2 * F.count("*")).alias("apart"), F.first("n").alias("n"))
         return apart.where((up + down) * F.col("apart") <= (down - up) * F.col("n")).select("a", "b")
 
+    def components(self, edges: DataFrame) -> DataFrame:
+        return self.store.table(components(edges).select(F.col("node").alias("v"), "root"))
+
     def roots(self) -> DataFrame:
         """(doc_id, text_hash, root) of every row."""
         edges = self.verified(self.first_pairs())
-        roots = self.store.table(components(edges).select(F.col("node").alias("v"), "root"))
-        more = self.verified(self.more_pairs(roots))
-        roots = self.store.table(components(edges.unionByName(more)).select(F.col("node").alias("v"), "root"))
+        roots, shared = self.components(edges), self.shared()
+        rows, turn, before = shared.count(), 0, None
+        # Large groups of near copies join by stars first, so that their sets needn't all meet each other.
+        while (now := self.pairs_in(self.rooted(shared, roots))) > PAIRS_A_ROW * rows and (before is None or 2 * now < before):
+            edges = edges.unionByName(self.verified(self.star_pairs(self.rooted(shared, roots), turn)))
+            roots, turn, before = self.components(edges), turn + 1, now
+        more = self.verified(self.all_pairs(self.rooted(shared, roots)))
+        roots = self.components(edges.unionByName(more))
         return self.rows.select("doc_id", "text_hash", "v").join(_sent(roots), "v", "left").select("doc_id", "text_hash", F.coalesce("root", "v").alias("root"))
 
 
-def _met_batches(similar: tuple[int, int], pairs_at_once: int = 1 << 20):
-    """Over rows sorted by (h, cell): the pairs of sets of each cell that have different roots and similar sizes."""
+def in_cells(rows: DataFrame, *order: str) -> DataFrame:
+    return rows.repartition("h", "cell").sortWithinPartitions("h", "cell", *order)
+
+
+def _several_batches(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Of rows sorted by (h, cell), those that aren't alone in their cell; holds back one row."""
+
+    def kept(rows: pa.RecordBatch, before: tuple | None, after: tuple | None) -> pa.RecordBatch:
+        h, cell = (rows.column(c).to_numpy(zero_copy_only=False) for c in ("h", "cell"))
+        same = (h[1:] == h[:-1]) & (cell[1:] == cell[:-1])
+        first = (h[0], cell[0]) == before if before else False
+        last = (h[-1], cell[-1]) == after if after else False
+        return rows.filter(pa.array(np.concatenate(([first], same)) | np.concatenate((same, [last]))))
+
+    held, before = None, None
+    for batch in batches:
+        if not len(batch):
+            continue
+        if held is not None:
+            yield kept(held, before, (batch.column("h")[0].as_py(), batch.column("cell")[0].as_py()))
+            before = (held.column("h")[-1].as_py(), held.column("cell")[-1].as_py())
+        held = batch
+    if held is not None:
+        yield kept(held, before, None)
+
+
+def _whole_cells(batches: Iterable[pa.RecordBatch]) -> Iterator[dict[str, np.ndarray]]:
+    """Columns of runs of whole cells, of rows sorted by (h, cell)."""
+
+    def columns(parts: list[pa.RecordBatch]) -> dict[str, np.ndarray]:
+        whole = pa.Table.from_batches(parts)
+        return {c: whole.column(c).to_numpy().astype(np.int64, copy=False) for c in whole.schema.names}
+
+    held: list[pa.RecordBatch] = []
+    for batch in batches:
+        if not len(batch):
+            continue
+        held.append(batch)
+        h, cell = (batch.column(x).to_numpy(zero_copy_only=False) for x in ("h", "cell"))
+        # The last cell may go on in the next batch.
+        same = (h == h[-1]) & (cell == cell[-1])
+        if not same.all():
+            end = len(batch) - int(np.argmin(same[::-1]))
+            yield columns([*held[:-1], batch.slice(0, end)])
+            held = [batch.slice(end)]
+    if held:
+        yield columns(held)
+
+
+def _star_batches(similar: tuple[int, int]):
+    """The first row of each cell with all others of another root and a similar size."""
+    up, down = similar
+
+    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for c in _whole_cells(batches):
+            starts = np.flatnonzero(np.concatenate(([True], (c["h"][1:] != c["h"][:-1]) | (c["cell"][1:] != c["cell"][:-1]))))
+            first = np.repeat(starts, np.diff(np.append(starts, len(c["h"]))))
+            n, m = c["n"], c["n"][first]
+            own = np.flatnonzero((c["root"] != c["root"][first]) & (down * n >= up * m) & (down * m >= up * n))
+            if len(own):
+                x, y = c["v"][own], c["v"][first[own]]
+                yield pa.RecordBatch.from_arrays([pa.array(np.minimum(x, y)), pa.array(np.maximum(x, y)), pa.array(np.minimum(n, m)[own].astype(np.int32))], ["a", "b", "n"])
+
+    return run
+
+
+def _met_batches(similar: tuple[int, int], counted: bool = False, pairs_at_once: int = 1 << 20):
+    """Over rows sorted by (h, cell): the pairs of sets of each cell that have different roots and may be similar, or their number.
+
+    Before the first place that two similar sets share they have few others, and sizes differ little. Of a pair's shared
+    places those that keep to this are the first ones, so that a pair that isn't met at its first is never similar.
+    """
     up, down = similar
 
     def kept(x: np.ndarray, y: np.ndarray, c: dict[str, np.ndarray]) -> tuple[np.ndarray, ...]:
         nx, ny = c["n"][x], c["n"][y]
         fine = (c["root"][x] != c["root"][y]) & (down * nx >= up * ny) & (down * ny >= up * nx)
+        fine &= (up + down) * (c["at"][x] + c["at"][y]) <= (down - up) * (nx + ny)
         # In a cell of two blocks only pairs across them meet.
         fine &= (c["one_block"][x]) | (c["mine"][x] != c["mine"][y])
         return x[fine], y[fine]
@@ -531,35 +655,15 @@ def _met_batches(similar: tuple[int, int], pairs_at_once: int = 1 << 20):
         if len(c["h"]):
             c["one_block"] = (c["cell"] >> 31) == (c["cell"] & ((1 << 31) - 1))
             for x, y in pairs(c):
-                if len(x):
+                if len(x) and counted:
+                    yield pa.RecordBatch.from_arrays([pa.array([len(x)], pa.int64())], ["pairs"])
+                elif len(x):
                     a, b = np.minimum(c["v"][x], c["v"][y]), np.maximum(c["v"][x], c["v"][y])
                     yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b), pa.array((c["n"][x] + c["n"][y]).astype(np.int32)), pa.array((c["at"][x] + c["at"][y] + 2).astype(np.int32))], ["a", "b", "n", "ends"])
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        names = ("h", "cell", "root", "v", "n", "at", "mine")
-        held: list[pa.RecordBatch] = []
-        for batch in batches:
-            if not len(batch):
-                continue
-            held.append(batch)
-            h, cell = (batch.column(x).to_numpy(zero_copy_only=False) for x in ("h", "cell"))
-            # The last cell may go on in the next batch.
-            same = (h == h[-1]) & (cell == cell[-1])
-            if same.all():
-                continue
-            end = len(batch) - int(np.argmin(same[::-1]))
-            yield from out(arrays([*held[:-1], batch.slice(0, end)], names))
-            held = [batch.slice(end)]
-        if held:
-            yield from out(arrays(held, names))
-
-    def arrays(parts: list[pa.RecordBatch], names: tuple[str, ...]) -> dict[str, np.ndarray]:
-        whole = pa.Table.from_batches(parts)
-        v = whole.column("v").to_numpy()
-        c = {x: whole.column(x).to_numpy().astype(np.int64, copy=False) for x in names if x != "root"}
-        root = whole.column("root").combine_chunks()
-        c["root"] = np.where(root.is_null().to_numpy(zero_copy_only=False), v, root.fill_null(0).to_numpy(zero_copy_only=False))
-        return c
+        for c in _whole_cells(batches):
+            yield from out(c)
 
     return run
 

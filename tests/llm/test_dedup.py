@@ -97,7 +97,7 @@ def similar_brute(texts):
     return [find(i) for i in range(len(sets))]
 
 
-def test_similar_texts(spark, odd, documents, none):
+def test_similar_texts(spark, odd, documents, none, monkeypatch):
     random = np.random.default_rng(5)
     base = [[f"w{x}" for x in random.integers(5000, size=120)] for _ in range(20)]
     made = []
@@ -105,6 +105,7 @@ def test_similar_texts(spark, odd, documents, none):
         made += [" ".join(b)] + [" ".join(f"c{random.integers(99)}" if i in set(random.integers(120, size=k)) else w for i, w in enumerate(b)) for k in (1, 2, 3, 4, 5, 6)]
     copies = spark.createDataFrame(list(enumerate(made)), "doc_id long, text string")
     for df, frequent, block in ((odd, 2, 4096), (copies, 100, 4096), (copies, 1, 3), (documents, 100, 4096)):
+        monkeypatch.setattr(simhash, "PAIRS_A_ROW", 0 if block == 3 else 4)
         rows = [(r.doc_id, r.text) for r in df.select("doc_id", "text").collect()]
         want = defaultdict(list)
         for group, row in zip(similar_brute([t for _, t in rows]), rows, strict=True):
