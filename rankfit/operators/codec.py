@@ -14,14 +14,14 @@ from rankfit.config import AcsConfig
 from rankfit.operators.frequent import FrequentItems
 from rankfit.operators.kernel import State, axis_dtype
 
-MAGIC, VERSION = b"ACDF", 1
+MAGIC, VERSION = b"ACDF", 2
 
 
 def encode(state: State) -> bytes:
     """Bytes of a state; a finished one has no locks, counters or buffer to carry."""
     v, w = state.buffer
     kind = axis_dtype(state.cfg)
-    arrays = [state.t.astype(kind), state.r.astype(float), state.items.v.astype(kind), state.items.chat.astype(np.int64), v.astype(kind), w.astype(np.int64)]
+    arrays = [state.t.astype(kind), state.r.astype(float), state.items.v.astype(kind), state.items.chat.astype(np.int64), v.astype(kind), w.astype(np.int64), np.packbits(state.own)]
     if not state.finished:
         arrays += [np.packbits(state.locked), state.items.c.astype(np.int64)]
     head = {
@@ -38,7 +38,7 @@ def decode(raw: bytes) -> State:
     if raw[:4] != MAGIC:
         raise ValueError("not a summary")
     version, size = struct.unpack_from("<HI", raw, 4)
-    if version != VERSION:
+    if version not in (1, VERSION):
         raise ValueError(f"summary version {version} is unknown")
     head = json.loads(raw[10 : 10 + size])
     cfg = AcsConfig(**head["cfg"])
@@ -52,11 +52,14 @@ def decode(raw: bytes) -> State:
         return out
 
     t, r, iv, chat, bv, bw = (read(d, n) for d, n in ((kind, buckets), (float, buckets), (kind, items), (np.int64, items), (kind, held), (np.int64, held)))
+    bits = lambda: np.unpackbits(read(np.uint8, -(-buckets // 8)), count=buckets).astype(bool) if buckets else np.zeros(0, bool)
+    # The first version didn't tell which thresholds are items.
+    own = bits() if version > 1 else np.zeros(buckets, bool)
     locked, c = np.zeros(buckets, bool), chat.copy()
     if not head["done"]:
-        locked = np.unpackbits(read(np.uint8, -(-buckets // 8)), count=buckets).astype(bool) if buckets else locked
+        locked = bits()
         c = read(np.int64, items)
-    state = State(cfg, head["n"], head["nulls"], head["nans"], t, r, locked, head["end"], head["c"], float("inf") if head["z"] is None else head["z"], k=head["k"], finished=head["done"], meta=Counter(head["meta"]), items=FrequentItems(head["k"], iv, c, chat))
+    state = State(cfg, head["n"], head["nulls"], head["nans"], t, r, locked, own, head["end"], head["c"], float("inf") if head["z"] is None else head["z"], k=head["k"], finished=head["done"], meta=Counter(head["meta"]), items=FrequentItems(head["k"], iv, c, chat))
     state.hold(bv, bw)
     return state
 

@@ -20,6 +20,7 @@ from rankfit.operators.frequent import FrequentItems, compact
 
 MOST_DOUBLINGS = 6
 MOST_ROUNDS = 400
+MOST_EPOCHS = 3
 
 
 def axis_dtype(cfg: AcsConfig):
@@ -39,6 +40,7 @@ class State:
     t: np.ndarray = None
     r: np.ndarray = None
     locked: np.ndarray = None
+    own: np.ndarray = None  # thresholds at which the curve's ranks jump by one item
     epoch_end: float = 0.0
     c_bound: float = 0.0
     zeta: float = float("inf")
@@ -55,6 +57,8 @@ class State:
         self.k = self.k or cfg.k
         if self.t is None:
             self.t, self.r, self.locked = _none(cfg), np.zeros(0), np.zeros(0, bool)
+        if self.own is None:
+            self.own = np.zeros(len(self.t), bool)
         self.c_bound = self.c_bound or cfg.c_bound
         if self.items is None:
             self.items = FrequentItems(self.k, _none(cfg))
@@ -367,6 +371,19 @@ class Chooser:
             t = every[order]
         return t, locked
 
+    def settle(self, t: np.ndarray, locked: np.ndarray, new_weight: float, whole: float) -> tuple[np.ndarray, np.ndarray]:
+        """Fold's choice; a buffer worth several epochs of items is several epochs' work, with locks released between."""
+        choose = self.heap if self.cfg.fold == "heap" else self.rounds
+        t, locked = choose(t, locked)
+        before = max(whole - new_weight, 1.0)
+        epochs = MOST_EPOCHS if before < new_weight else int(np.log(whole / before) / np.log(self.cfg.epoch))
+        for _ in range(min(epochs, MOST_EPOCHS)):
+            again, locked = choose(t, np.zeros(len(t), bool))
+            if len(again) == len(t) and (again == t).all():
+                break
+            t = again
+        return t, locked
+
     def heap(self, t: np.ndarray, locked: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """As `rounds`, one split and join at a time from priority queues; slow, to test the other against."""
         rank = dict(zip(t.tolist(), self.rank_at(t).tolist(), strict=True))
@@ -456,6 +473,31 @@ def init_buckets(v: np.ndarray, w: np.ndarray | None, k: int, ties: str = "drop"
     return t, np.cumsum(w)[np.searchsorted(v, t)].astype(float)
 
 
+def _merging_curve(state: State):
+    """The curve of a state for a sum of many: strictly inside a bucket, without the one item at its upper threshold.
+
+    A curve that spreads this item over the bucket is half an item too high on average, which adds up over many states.
+    """
+    curve = Curve(state.t, state.r, state.cfg.interp)
+    if not state.own.any():
+        return curve
+
+    def rank_at(x: np.ndarray) -> np.ndarray:
+        out = curve(x)
+        at = np.searchsorted(state.t, x, "left")
+        high = np.minimum(at, len(state.t) - 1)
+        inside = np.flatnonzero((at > 0) & (at < len(state.t)) & (x != state.t[high]) & state.own[high])
+        low = state.r[high[inside] - 1]
+        out[inside] -= (out[inside] - low) / np.maximum(state.r[high[inside]] - low, 1.0)
+        return out
+
+    return rank_at
+
+
+def _still_own(t: np.ndarray, *states: State) -> np.ndarray:
+    return np.isin(t, np.concatenate([s.t[s.own] for s in states]))
+
+
 def _rank_function(curves: list[Curve], v: np.ndarray, w: np.ndarray):
     sums = np.concatenate(([0], np.cumsum(w))).astype(float)
 
@@ -500,11 +542,15 @@ def _fold_buckets(state: State) -> State:
             state.hold(v, w)  # still raw, and exact
             return state
         t = init_thresholds(v, w, min(state.k, len(v)), cfg.ties, cfg.rel_len)
-        state.t, state.r, state.locked = t, np.cumsum(w)[np.searchsorted(v, t)].astype(float), np.zeros(len(t), bool)
-        state.hold(v[:0], w[:0])
-        return state
+        rank_at = _rank_function([], v, w)
+        locked, weight = np.zeros(len(t), bool), float(w.sum())
+        if len(v) >= 2 * state.k and len(t) > 2:
+            t, locked = Chooser(state, rank_at, v).settle(t, locked, weight, weight)
+        at = np.minimum(np.searchsorted(v, t), len(v) - 1)
+        state.own = (v[at] == t) & (w[at] == 1)
+        return _settled(state, t, locked, rank_at, t[state.own])
     rank_at = _rank_function([Curve(state.t, state.r, cfg.interp)], v, w)
-    chooser = Chooser(state, rank_at, v)
+    chooser, own = Chooser(state, rank_at, v), state.t[state.own]
     t, locked = state.t, state.locked
     ends = [x for x in (v[0] if v[0] < t[0] else None, v[-1] if v[-1] > t[-1] else None) if x is not None]
     if ends:
@@ -512,17 +558,19 @@ def _fold_buckets(state: State) -> State:
         t, locked = chooser.reduce(t, locked, max(state.k, 2))
     if len(t) < state.k:
         t, locked = chooser.grow(t, locked, min(state.k, len(t) + len(v)))
-    t, locked = chooser.heap(t, locked) if cfg.fold == "heap" else chooser.rounds(t, locked)
-    return _settled(state, t, locked, rank_at)
+    t, locked = chooser.settle(t, locked, float(w.sum()), state.bucket_weight + float(w.sum()))
+    return _settled(state, t, locked, rank_at, own)
 
 
-def _settled(state: State, t: np.ndarray, locked: np.ndarray, rank_at) -> State:
+def _settled(state: State, t: np.ndarray, locked: np.ndarray, rank_at, own: np.ndarray) -> State:
+    """`own`: the thresholds whose rank jumps by one item, as far as they are still among `t`."""
     r = rank_at(t)
     full = np.diff(r, prepend=0.0) > 0
     full[-1] = True
     if not full[0] and full.any():
         full[0] = True  # a preset's first threshold may have no item
     state.t, state.r, state.locked = t[full], r[full], locked[full]
+    state.own = np.isin(state.t, own)
     state.hold(_none(state.cfg), np.zeros(0, np.int64))
     return state
 
@@ -552,7 +600,7 @@ def _raw_to_buckets(state: State) -> None:
     """A raw buffer of few values becomes one bucket for each."""
     v, w = compact(*state.buffer)
     if not len(state.t) and len(v) <= state.k:
-        state.t, state.r, state.locked = v, np.cumsum(w).astype(float), np.zeros(len(v), bool)
+        state.t, state.r, state.locked, state.own = v, np.cumsum(w).astype(float), np.zeros(len(v), bool), w == 1
         state.hold(v[:0], w[:0])
     else:
         _fold_buckets(state)
@@ -566,7 +614,7 @@ def _resized(state: State, size: int) -> None:
     if abs(size - len(t)) > 0.25 * len(t):
         locked = np.zeros(len(t), bool)
     t, locked = chooser.reduce(t, locked, size) if size < len(t) else chooser.grow(t, locked, size)
-    state.t, state.r, state.locked = t, rank_at(t), locked
+    state.t, state.r, state.locked, state.own = t, rank_at(t), locked, _still_own(t, state)
     if len(v):
         state.hold(v[:0], w[:0])
 
@@ -623,19 +671,19 @@ def merge(a: State, b: State) -> State:
         big.c_bound = big.cfg.c_bound
         big.epoch_end = big.cfg.epoch * max(big.epoch_end, big.n)
     if len(big.t) and len(small.t):
-        curves = [Curve(x.t, x.r, x.cfg.interp) for x in (big, small)]
+        curves = [_merging_curve(x) for x in (big, small)]
         t = np.union1d(big.t, small.t)
         locked = np.isin(t, big.t[big.locked]) if not over else np.zeros(len(t), bool)
     elif len(big.t) or len(small.t):
         side = big if len(big.t) else small
-        curves, t = [Curve(side.t, side.r, side.cfg.interp)], side.t
+        curves, t = [_merging_curve(side)], side.t
         locked = np.zeros(len(t), bool) if over or side is small else side.locked
     else:
         big.hold(v, w)
         if len(v) > big.room:
             _fold_buckets(big)
         return big
-    rank_at = _rank_function(curves, v, w)
+    rank_at, own = _rank_function(curves, v, w), np.concatenate([x.t[x.own] for x in (big, small)])
     chooser = Chooser(big, rank_at, v)
     if len(v):
         ends = [x for x in (v[0] if v[0] < t[0] else None, v[-1] if v[-1] > t[-1] else None) if x is not None]
@@ -643,7 +691,7 @@ def merge(a: State, b: State) -> State:
             t, locked = _inserted(t, locked, ends, ())
     t, locked = chooser.reduce(t, locked, k) if len(t) > k else chooser.grow(t, locked, k) if len(t) >= 2 else (t, locked)
     t, locked = chooser.heap(t, locked) if big.cfg.fold == "heap" else chooser.rounds(t, locked)
-    return _settled(big, t, locked, rank_at)
+    return _settled(big, t, locked, rank_at, own)
 
 
 def merge_many(states: list[State]) -> State:
@@ -653,7 +701,7 @@ def merge_many(states: list[State]) -> State:
     if len(states) == 1:
         return big
     parts = [s.buffer for s in states]
-    curves = [Curve(s.t, s.r, s.cfg.interp) for s in states if len(s.t)]
+    curves, own = [_merging_curve(s) for s in states if len(s.t)], np.concatenate([s.t[s.own] for s in states])
     thresholds = [s.t for s in states if len(s.t)]
     for s in states:
         if s is not big:
@@ -674,7 +722,7 @@ def merge_many(states: list[State]) -> State:
     chooser = Chooser(big, rank_at, v)
     t, locked = chooser.reduce(t, np.zeros(len(t), bool), big.k)
     t, locked = chooser.rounds(t, locked)
-    return _settled(big, t, locked, rank_at)
+    return _settled(big, t, locked, rank_at, own)
 
 
 # Queries -----------------------------------------------------------------------------------------------------------
