@@ -67,7 +67,7 @@ def checked(summary: DataFrame, rows: DataFrame, eps: float, m: int = 20, native
 def summary_of(spark: SparkSession, rows: DataFrame, cfg: AcsConfig, chunks: int | None = None, one_stream: bool = False, **options) -> DataFrame:
     """A finished summary of (seq, v): as the scan's tasks deal it, in one stream, or from equal chunks of the order."""
     if one_stream or chunks:
-        dealt = chunked(rows, chunks or 1).repartition(chunks or 1, "chunk").sortWithinPartitions("chunk", "seq")
+        dealt = chunked(rows, chunks or 1).repartition(min(chunks or 1, 32), "chunk").sortWithinPartitions("chunk", "seq")
         if chunks and chunks > 1:
             parts = build.map_summaries(build.partials(dealt, "v", ["chunk"], cfg=cfg).drop("shard"), lambda s: kernel.finish(s, compress=False))
             return build.remerge(parts.drop("chunk"))
@@ -106,6 +106,18 @@ for _name, _chunks, _eps in (("bell", 16, 0.006), ("uniform", 64, 0.008), ("powe
     query(f"merge_rank_error_{_name}", points_sql(WORKLOADS[_name].order_sql, 20, True))(_merged(_name, _chunks, _eps))
 
 
+def _many_chunks(name: str, chunks: int, eps: float):
+    def run(spark: SparkSession, folder: str) -> DataFrame:
+        rows = WORKLOADS[name].rows(spark, folder)
+        return checked(summary_of(spark, rows, AcsConfig(k=K), chunks=chunks), rows, eps, m=200, native=False)
+
+    return run
+
+
+for _name in ("normal", "lognormal", "uniform"):
+    query(f"merge_many_chunks_error_{_name}", points_sql(WORKLOADS[_name].order_sql, 200, False))(_many_chunks(_name, 1024, 0.002))
+
+
 def _variant(workload: str, eps: float, **cfg):
     def run(spark: SparkSession, folder: str) -> DataFrame:
         rows = WORKLOADS[workload].rows(spark, folder)
@@ -752,10 +764,10 @@ def size_bytes_table(spark, folder):
     return ours.unionByName(found).select("method", F.col("size_bytes").alias("bytes"))
 
 
-@query("invariants_hold", "SELECT l_returnflag, true AS mass, true AS no_empty_bucket, true AS increasing, true AS size FROM (SELECT DISTINCT l_returnflag FROM lineitem)")
+@query("invariants_hold", "SELECT l_returnflag, true AS mass, true AS no_empty_bucket, true AS increasing, true AS size, true AS bound FROM (SELECT DISTINCT l_returnflag FROM lineitem)")
 def invariants_hold(spark, folder):
     found = measures.invariants(build.build_summary(table(spark, folder, "lineitem").repartition(8), "l_extendedprice", ["l_returnflag"]))
-    return found.select("l_returnflag", *[F.col("rules")[r].alias(r) for r in ("mass", "no_empty_bucket", "increasing", "size")])
+    return found.select("l_returnflag", *[F.col("rules")[r].alias(r) for r in ("mass", "no_empty_bucket", "increasing", "size", "bound")])
 
 
 @query("diagnostic_counts", "SELECT CAST(count(*) AS BIGINT) AS n, true AS has_folds FROM lineitem")
@@ -870,6 +882,24 @@ query("experiment_merge_uniform")(_experiment("uniform", chunks=64))
 query("experiment_heuristics")(_experiment("bell", methods=[f"acs:heuristic={h}" for h in ("curv2", "curv3", "none", "length", "count")]))
 query("experiment_gamma")(_experiment("bell", methods=[f"acs:gamma={g}" for g in (1.1, 1.25, 1.5, 2.0)]))
 query("experiment_size_bound")(_experiment("bell", methods=[f"acs:c_bound={c}" for c in (2.0, 3.0, 4.0, 6.0)]))
+query("experiment_merge_many_chunks")(_experiment("normal", sizes=(1600,), chunks=1000, methods=["acs", "centroids", "compactor", "moments"]))
+
+
+@query("experiment_update_time")
+def experiment_update_time(spark, folder):
+    return measures.update_time(WORKLOADS["normal"].rows(spark, folder), ["acs", "acs:filter=none", "centroids", "compactor", "moments", "rank_bounds"], (400, 1600, 6400))
+
+
+@query("experiment_heavy_update_time")
+def experiment_heavy_update_time(spark, folder):
+    return measures.update_time(WORKLOADS["mix_heavy"].rows(spark, folder), ["acs", "acs:filter=none", "centroids"], (1600,))
+
+
+@query("experiment_query_time")
+def experiment_query_time(spark, folder):
+    return measures.query_time(WORKLOADS["normal"].rows(spark, folder), ["acs", "centroids", "compactor", "moments", "rank_bounds"], (400, 1600, 6400))
+
+
 query("experiment_few_distinct")(_experiment("quantity", methods=["acs", "acs:filter=none", "centroids", "compactor", "rank_bounds"]))
 
 

@@ -21,6 +21,8 @@ from rankfit.operators.frequent import FrequentItems, compact
 MOST_DOUBLINGS = 6
 MOST_ROUNDS = 400
 MOST_EPOCHS = 3
+#: Values for each bucket from which on a first fold adapts: the counts of fewer are noise.
+ENOUGH = 5
 
 
 def axis_dtype(cfg: AcsConfig):
@@ -544,7 +546,7 @@ def _fold_buckets(state: State) -> State:
         t = init_thresholds(v, w, min(state.k, len(v)), cfg.ties, cfg.rel_len)
         rank_at = _rank_function([], v, w)
         locked, weight = np.zeros(len(t), bool), float(w.sum())
-        if len(v) >= 2 * state.k and len(t) > 2:
+        if len(v) >= ENOUGH * state.k and len(t) > 2:
             t, locked = Chooser(state, rank_at, v).settle(t, locked, weight, weight)
         at = np.minimum(np.searchsorted(v, t), len(v) - 1)
         state.own = (v[at] == t) & (w[at] == 1)

@@ -213,8 +213,15 @@ def build_summary(df: DataFrame, col: str | Column, keys: Sequence[str] = (), we
     return finish_summaries(merged)
 
 
-def remerge(df: DataFrame, keys: Sequence[str] = (), levels: int = 1, fanout: int = FANOUT) -> DataFrame:
-    """Finished summaries of coarser groups from stored finer ones."""
+#: Bytes of stored summaries that one task of a tree's first level may be expected to get.
+REMERGE_BYTES = 16 << 20
+
+
+def remerge(df: DataFrame, keys: Sequence[str] = (), levels: int | None = None, fanout: int = FANOUT) -> DataFrame:
+    """Finished summaries of coarser groups from stored finer ones, by a tree as deep as the plan's estimated size asks for."""
+    if levels is None:
+        size = int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+        levels = max(1, int(np.ceil(np.log(min(1 << 24, max(1, size // REMERGE_BYTES))) / np.log(fanout))))
     others = df.select(*[F.col(f"`{k}`") for k in keys], F.pmod(F.xxhash64("summary"), F.lit(1 << 30)).alias("shard"), "summary")
     return finish_summaries(merge_summaries(others, keys, fanout, levels))
 

@@ -83,19 +83,28 @@ def exact_quantiles(df: DataFrame, col: str, qs: Sequence[float], keys: Sequence
     """(keys, q, value): the smallest value whose rank reaches q n, without a group's rows meeting in one task."""
     ranks = value_ranks(df, col, keys)
     totals = ranks.groupBy(*keys).agg(F.max("cum").alias("n"))
-    fractions = F.explode(F.array(*[F.lit(float(q)) for q in qs])).alias("q")
-    wanted = totals.select(*keys, "n", fractions).withColumn("p", F.greatest(F.lit(1).cast("long"), F.ceil(F.col("q") * F.col("n")).cast("long")))
-    joined = ranks.join(F.broadcast(wanted), list(keys)) if keys else ranks.crossJoin(F.broadcast(wanted))
-    return joined.where("p > cum - cnt and p <= cum").select(*keys, "q", F.col("v").alias("value"))
+    place = lambda q: F.greatest(F.lit(1).cast("long"), F.ceil(q * F.col("n")).cast("long"))
+    # Each value keeps the fractions whose place lies in its run; no value meets all of them as rows.
+    inside = lambda q: (place(q) > F.col("cum") - F.col("cnt")) & (place(q) <= F.col("cum"))
+    asked = F.filter(F.array(*[F.lit(float(q)) for q in qs]), inside)
+    if keys:
+        same = F.lit(True)
+        named = totals.select(*[F.col(k).alias(f"_{k}") for k in keys], "n")
+        for k in keys:
+            same &= F.col(k).eqNullSafe(F.col(f"_{k}"))
+        joined = ranks.join(named, same)
+    else:
+        joined = ranks.crossJoin(F.broadcast(totals))  # one row
+    return joined.select(*keys, "v", F.explode(asked).alias("q")).select(*keys, "q", F.col("v").alias("value"))
 
 
 def profile(df: DataFrame, col: str) -> DataFrame:
     """(n, n_distinct, vmin, vmax, smallest_gap, aspect_ratio, max_count) of a column."""
     ranks = value_ranks(df, col)
-    dealt = ranks.withColumn("part", F.floor(F.log2("cum")).cast("int"))
+    dealt = cut(ranks.repartitionByRange("v").withColumn("part", F.spark_partition_id()))
     # Neighbours: inside a part by lag, across parts by the largest value of the parts before.
     top = dealt.groupBy("part").agg(F.max("v").alias("_top"))
-    top = top.withColumn("_top", F.max("_top").over(Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)))
+    top = top.withColumn("_top", F.max("_top").over(Window.partitionBy(F.lit(0)).orderBy("part").rowsBetween(Window.unboundedPreceding, -1)))  # a row for each task
     before = F.coalesce(F.lag("v").over(Window.partitionBy("part").orderBy("v")), F.col("_top"))
     gaps = dealt.join(F.broadcast(top), "part").withColumn("gap", F.col("v") - before)
     found = gaps.agg(F.sum("cnt").alias("n"), F.count("*").alias("n_distinct"), F.min("v").alias("vmin"), F.max("v").alias("vmax"), F.min("gap").alias("smallest_gap"), F.max("cnt").alias("max_count"))

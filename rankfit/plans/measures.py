@@ -53,7 +53,9 @@ def bytes_of(answer) -> int:
 
 
 def compare(df: DataFrame, methods: Sequence[str], sizes: Sequence[int], chunks: int = 1, m: int = 1000) -> DataFrame:
-    """(method, bytes_asked, bytes, n, avg_err, max_err, status, update_us, merge_us) over (seq, v).
+    """(method, bytes_asked, bytes, n, avg_err, max_err, status, update_us, merge_us, below_n_over_k) over (seq, v).
+
+    The last says how many times the average error is below n / k, with k of 16 bytes each.
 
     The stream setting is one reader in arrival order; with `chunks`, equal shares of it are summarised apart and
     merged in a balanced tree. Inputs of experiments, not of production: a chunk is read by one task.
@@ -80,7 +82,7 @@ def compare(df: DataFrame, methods: Sequence[str], sizes: Sequence[int], chunks:
         kinds = (pa.string(), pa.int32(), pa.int32(), pa.binary(), pa.float64(), pa.int64())
         return pa.Table.from_arrays([pa.array(x, k) for x, k in zip(zip(*rows, strict=True), kinds, strict=True)], names=[c.split()[0] for c in schema.split(", ")])
 
-    out = "method string, bytes_asked int, bytes long, n long, avg_err double, max_err double, status string, update_us double, merge_us double"
+    out = "method string, bytes_asked int, bytes long, n long, avg_err double, max_err double, status string, update_us double, merge_us double, below_n_over_k double"
     xs, exact, n = points["x"].to_numpy(), points["exact_rank"].to_numpy(float), int(points["n"].iloc[0]) if len(points) else 0
 
     def measure(table: pd.DataFrame) -> pd.DataFrame:
@@ -94,7 +96,7 @@ def compare(df: DataFrame, methods: Sequence[str], sizes: Sequence[int], chunks:
         done = answer(states[0])
         err = np.abs(done.rank(xs) - exact) / max(n, 1)
         failed = getattr(done, "status", "ok") != "ok" or not np.isfinite(err).all()
-        return pd.DataFrame([[name, size, bytes_of(done), n, None if failed else err.mean(), None if failed else err.max(), "failed" if failed else "ok", table["us"].sum() / table["items"].sum(), merge_us]], columns=[c.split()[0] for c in out.split(", ")])
+        return pd.DataFrame([[name, size, bytes_of(done), n, None if failed else err.mean(), None if failed else err.max(), "failed" if failed else "ok", table["us"].sum() / table["items"].sum(), merge_us, None if failed or not err.any() else 16 / bytes_of(done) / err.mean()]], columns=[c.split()[0] for c in out.split(", ")])
 
     return parts.groupBy("chunk").applyInArrow(build, schema).groupBy("method", "bytes_asked").applyInPandas(measure, out)
 
@@ -112,6 +114,52 @@ def query_us(answer, xs: np.ndarray) -> float:
     return (time.perf_counter() - began) * 1e6 / max(1, len(xs))
 
 
+def _timed(df: DataFrame, schema: str, measure) -> DataFrame:
+    """Rows of `measure` (values in arrival order), by one task: a clock's input, not production."""
+    ship(df.sparkSession)
+    columns = [(c.split()[0], {"string": pa.string(), "int": pa.int32(), "long": pa.int64(), "double": pa.float64()}[c.split()[1]]) for c in schema.split(", ")]
+
+    def run(table: pa.Table) -> pa.Table:
+        v = table.column("v").to_numpy()[np.argsort(table.column("seq").to_numpy(), kind="stable")]
+        rows = list(measure(v))
+        return pa.Table.from_arrays([pa.array([r[i] for r in rows], k) for i, (_, k) in enumerate(columns)], names=[c for c, _ in columns])
+
+    return df.select("seq", F.col("v").cast("double").alias("v")).groupBy(F.lit(0).alias("all")).applyInArrow(run, schema)
+
+
+def update_time(df: DataFrame, methods: Sequence[str], sizes: Sequence[int], shares: Sequence[float] = (0.125, 0.25, 0.5, 1.0)) -> DataFrame:
+    """(method, bytes_asked, n, update_us): time of an update by method, by size and as the input grows."""
+
+    def measure(v: np.ndarray):
+        for name in methods:
+            for size in sizes:
+                begin, add, *_ = method(name, sized(name, size))
+                for share in shares:
+                    own = v[: max(1, int(share * len(v)))]
+                    began = time.perf_counter()
+                    add(begin(), own)
+                    yield name, size, len(own), (time.perf_counter() - began) * 1e6 / len(own)
+
+    return _timed(df, "method string, bytes_asked int, n long, update_us double", measure)
+
+
+def query_time(df: DataFrame, methods: Sequence[str], sizes: Sequence[int], ms: Sequence[int] = (100, 1_000, 10_000, 100_000)) -> DataFrame:
+    """(method, bytes_asked, m, query_us): time of a rank query by method, by size and by how many are asked at once."""
+
+    def measure(v: np.ndarray):
+        for name in methods:
+            for size in sizes:
+                begin, add, _, answer, *_ = method(name, sized(name, size))
+                state = add(begin(), v)
+                for m in ms:
+                    xs = np.resize(v, m)
+                    began = time.perf_counter()
+                    answer(state).rank(xs)
+                    yield name, size, m, (time.perf_counter() - began) * 1e6 / m
+
+    return _timed(df, "method string, bytes_asked int, m long, query_us double", measure)
+
+
 def diagnostics(summaries: DataFrame) -> DataFrame:
     """`summaries` with `events`: counts of splits, joins, doublings, rounds and epochs."""
     from pyspark.sql.types import LongType, MapType, StringType

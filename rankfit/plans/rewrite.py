@@ -3,13 +3,14 @@
 from __future__ import annotations
 
 from collections.abc import Iterable, Sequence
+from itertools import accumulate
 
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window, functions as F
-from pyspark.sql.types import BinaryType
 
 from rankfit.operators import codec, kernel
-from rankfit.plans.build import finish_summaries, remerge
-from rankfit.session import ship
+from rankfit.plans.build import arrow_schema, finish_summaries, remerge
+from rankfit.session import cut, ship
 from rankfit.sources.io import load_summaries
 
 
@@ -25,20 +26,61 @@ def rollup_summaries(summaries: DataFrame, levels: Iterable[Sequence[str]], keys
     return remerge(spread, ["level", *keys])
 
 
-@F.pandas_udf(BinaryType())
-def _merged(blobs):
-    import pandas as pd
-
-    return pd.Series([None if b is None or not len(b) else codec.encode(kernel.finish(kernel.merge_many([codec.decode(x) for x in b]))) for b in blobs])
-
-
 def rolling_summaries(summaries: DataFrame, time: str, before: int, keys: Sequence[str] = ()) -> DataFrame:
-    """`summaries` (keys, time, summary) with each one merged with the `before` rows ahead of it; rows stay small."""
+    """`summaries` (keys, time, summary) with each one merged with the `before` rows ahead of it; rows stay small.
+
+    Rows are numbered without their summaries and dealt in runs that overlap by `before` rows. Inside a run a window is
+    the end of one block of rows and the beginning of the next: three merges for each row, however long the window is.
+    """
     ship(summaries.sparkSession)
-    frame = Window.partitionBy(*keys).orderBy(time).rowsBetween(-before, 0)
-    gathered = summaries.select(*keys, time, F.collect_list("summary").over(frame).alias("_s"))
-    merged = gathered.select(*keys, time, _merged("_s").alias("summary"))
-    return finish_summaries(merged)
+    width = before + 1
+    run = 8 * width
+    plain = summaries.select(*keys, time, "summary").withColumn("_id", F.monotonically_increasing_id())
+    stored = cut(plain)
+    numbered = _numbered(stored.select(*keys, time, "_id"), [*keys, time, "_id"], keys)
+    first = F.floor(F.col("_n") / run).cast("long")
+    runs = numbered.select("_id", "_n", F.explode(F.array_distinct(F.array(first, F.floor((F.col("_n") + before) / run).cast("long")))).alias("_run"))
+    dealt = stored.join(runs, "_id")
+    ddl = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in stored.schema if f.name in (*keys, time)), "summary binary"])
+    schema = arrow_schema(ddl)
+
+    def roll(table: pa.Table) -> pa.Table:
+        table = table.sort_by("_n")
+        blobs, numbers = table.column("summary").to_pylist(), table.column("_n").to_pylist()
+        own, merged = table.column("_run")[0].as_py(), {}
+        tails: list[bytes] = []  # merges of the rows from each one of the last block to its end
+        head: bytes | None = None
+        for i, n in enumerate(numbers):
+            at = i % width
+            if not at:
+                tails = list(accumulate(reversed(blobs[max(i - width, 0) : i]), lambda later, x: _merged([x, later])))[::-1]
+                head = None
+            head = _merged([head, blobs[i]]) if head else blobs[i]
+            if n // run == own:
+                rest = tails[at + 1 :][:1]
+                merged[i] = _merged([*rest, head], True)
+        kept = table.take(pa.array(list(merged), pa.int64())).drop_columns(["summary"])
+        return kept.append_column("summary", pa.array(list(merged.values()), pa.binary())).select(schema.names).cast(schema)
+
+    rolled = dealt.groupBy(*keys, "_run").applyInArrow(roll, ddl)
+    return finish_summaries(rolled)
+
+
+def _merged(blobs: list[bytes], finished: bool = False) -> bytes:
+    state = kernel.merge_many([codec.decode(x) for x in blobs])
+    return codec.encode(kernel.finish(state) if finished else state)
+
+
+def _numbered(rows: DataFrame, order: Sequence[str], keys: Sequence[str]) -> DataFrame:
+    """`rows` with `_n`, their number from 0 in `order` within `keys`, dealt by ranges."""
+    parted = cut(rows.repartitionByRange(*order).withColumn("_part", F.spark_partition_id()))
+    earlier = Window.partitionBy(*keys or [F.lit(0)]).orderBy("_part").rowsBetween(Window.unboundedPreceding, -1)
+    counts = parted.groupBy(*keys, "_part").agg(F.count("*").alias("_c")).select(*keys, "_part", F.coalesce(F.sum("_c").over(earlier), F.lit(0)).alias("_base"))
+    inside = parted.withColumn("_in", F.row_number().over(Window.partitionBy(*keys, "_part").orderBy(*order)))
+    same = inside["_part"] == counts["_part"]
+    for k in keys:
+        same &= inside[k].eqNullSafe(counts[k])
+    return inside.join(counts, same).select(*[inside[c] for c in rows.columns], (F.col("_base") + F.col("_in") - 1).cast("long").alias("_n"))
 
 
 def asof_summary(events: DataFrame, snapshots: DataFrame, time: str, keys: Sequence[str] = ()) -> DataFrame:

@@ -7,6 +7,7 @@ from rankfit.functions.curves import Curve, register_curve
 from rankfit.operators import codec, kernel
 from rankfit.operators.frequent import FrequentItems, compact
 from rankfit.operators.ladder import Ladder
+from rankfit.plans import build
 
 
 def errors(answer, x, m=500):
@@ -228,3 +229,29 @@ def test_reported_orderings():
         parts = [kernel.merge(a, b) for a, b in zip(parts[::2], parts[1::2], strict=True)]
     merged = errors(lambda v: kernel.rank(kernel.finish(parts[0]), v), x)
     assert default[0] < merged[0] < 1 / 50
+
+
+@pytest.mark.parametrize("chunks", [16, 256, 1024])
+def test_many_partials_keep_the_tail_and_add_no_bias(chunks):
+    n = 300_000
+    v = np.random.default_rng(11).lognormal(size=n)
+    ordered = np.sort(v)
+    points = ordered[np.concatenate((np.arange(500) * n // 500, (np.array([0.99, 0.995, 0.999]) * n).astype(int)))]
+    exact = np.searchsorted(ordered, points, "right")
+
+    def error(parts):
+        states = [codec.decode(codec.encode(kernel.finish(kernel.update(kernel.State(AcsConfig(filter="none")), p), compress=False))) for p in np.array_split(v, parts)]
+        return (kernel.rank(kernel.finish(build.balanced(states)), points) - exact) / n
+
+    stream, merged = error(1), error(chunks)
+    assert np.abs(merged).max() <= (3 if n / chunks >= 10_000 else 8) * np.abs(stream).max()
+    assert abs(merged.mean()) <= 0.1 * chunks / n + 5e-5
+
+
+def test_first_version_of_the_format_is_still_read():
+    state = kernel.summarize(np.random.default_rng(1).normal(size=5000), AcsConfig())
+    raw = codec.encode(state)
+    bits = -(-len(state.t) // 8)
+    old = codec.decode(raw[:4] + (1).to_bytes(2, "little") + raw[6:-bits])
+    assert (old.t == state.t).all() and (old.r == state.r).all() and not old.own.any()
+    assert codec.decode(raw).own.tolist() == state.own.tolist()

@@ -142,3 +142,17 @@ def test_entry(spark):
     rows = entry_module.entry(spark).collect()
     assert len(rows) == 20 and all(r.within_eps for r in rows)
     assert set(entry_module.oracle_sql()) <= set(entry_module.queries())
+
+
+@pytest.mark.parametrize("keys", [[], ["g"]])
+@pytest.mark.parametrize("before", [0, 4])
+def test_rolling_windows_hold_exactly_their_rows(spark, keys, before):
+    rows = [(g, t, float(t * 10 + i)) for g in "ab" for t in range(150 if g == "a" else 3) for i in range(1 + t % 3)]
+    if not keys:
+        rows = [r for r in rows if r[0] == "a"]
+    df = spark.createDataFrame(rows, "g string, t int, v double")
+    got = rewrite.rolling_summaries(build.build_summary(df, "v", [*keys, "t"]), "t", before, keys).collect()
+    assert len(got) == len({r[:2] for r in rows})
+    for r in got:
+        own = [v for g, t, v in rows if r.t - before <= t <= r.t and (not keys or g == r.g)]
+        assert (r.n, r.vmin, r.vmax) == (len(own), min(own), max(own))
