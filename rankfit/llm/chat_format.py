@@ -25,6 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
 from rankfit.llm import byte_bpe
+from rankfit.llm.rows import released
 from rankfit.session import ship
 
 LOSS_ROLE = "assistant"
@@ -124,7 +125,7 @@ def format_conversations(turns: DataFrame) -> DataFrame:
     ship(turns.sparkSession)
     plain = turns.select(F.col("conv_id").cast("long").alias("conv_id"), F.struct(F.col("turn"), F.col("role"), F.col("text")).alias("t"))
     whole = plain.groupBy("conv_id").agg(F.sort_array(F.collect_list("t")).alias("turns"))
-    return whole.mapInArrow(_format_batches, _SCHEMA)
+    return whole.mapInArrow(released(_format_batches), _SCHEMA)
 
 
 def _digest_batches(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -145,7 +146,7 @@ def _digest_batches(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatc
 def digests(formatted: DataFrame) -> DataFrame:
     """What a reader of the formatted conversations gets back, as digests."""
     read = formatted.select("conv_id", "formatted", "loss_spans")
-    return read.mapInArrow(_digest_batches, "conv_id long, n_turns long, turns_sha256 string, loss_chars long, loss_sha256 string, formatted_chars long")
+    return read.mapInArrow(released(_digest_batches), "conv_id long, n_turns long, turns_sha256 string, loss_chars long, loss_sha256 string, formatted_chars long")
 
 
 ORACLE = r"""

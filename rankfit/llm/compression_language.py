@@ -27,6 +27,7 @@ import regex
 import zstandard
 from pyspark.sql import Column, DataFrame, Window, functions as F
 
+from rankfit.llm.rows import released
 from rankfit.session import cut, ship
 
 UNKNOWN = "und"
@@ -122,4 +123,4 @@ def identified(docs: DataFrame, learned: dict[str, list[bytes]] | None = None, *
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("held_out"), *columns], ["doc_id", "held_out", "lang_pred", "score", "narrow_margin"])
 
     plain = docs.select(F.col("doc_id").cast("long").alias("doc_id"), held_out(F.col("doc_id")).alias("held_out"), F.col("text").cast("string").alias("text"))
-    return plain.mapInArrow(run, "doc_id long, held_out boolean, lang_pred string, score double, narrow_margin boolean")
+    return plain.mapInArrow(released(run), "doc_id long, held_out boolean, lang_pred string, score double, narrow_margin boolean")

@@ -35,7 +35,7 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import Column, DataFrame, functions as F
 
-from rankfit.llm.rows import hashed_sample, keep_rows, text_hash
+from rankfit.llm.rows import hashed_sample, keep_rows, released, text_hash
 from rankfit.session import cut, ship
 
 WORD_BITS, PAIR_BITS, SHAPE_BITS, BLOCK_BITS = 20, 18, 16, 16
@@ -159,16 +159,16 @@ def learn(docs: DataFrame, chosen: DataFrame, pseudo: float = PSEUDO, least_effe
     good = F.broadcast(chosen.where("good = 1").select("label_id"))
     rows = docs.select(F.col("doc_id").cast("long").alias("id"), F.col("text").cast("binary").alias("text"), _fold())
     marked = rows.join(good, F.col("id") == F.col("label_id"), "left").select("text", F.when(F.col("label_id").isNotNull(), F.col("fold")).alias("fold"))
-    counted = marked.mapInArrow(_count_batches, _BLOB)
+    counted = marked.mapInArrow(released(_count_batches), _BLOB)
     # A tree: each round sums the tables of `FAN_IN` tasks; a task holds one sum for each block it meets.
     parts, some = rows.rdd.getNumPartitions(), counted
     while True:
         parts = -(-parts // FAN_IN)
-        some = some.withColumn("part", F.floor(F.col("part") / FAN_IN).cast("int")).repartition("block", "part").mapInArrow(_sum_batches, _BLOB)
+        some = some.withColumn("part", F.floor(F.col("part") / FAN_IN).cast("int")).repartition("block", "part").mapInArrow(released(_sum_batches), _BLOB)
         if parts <= FAN_IN:
             break
     raw, target = np.zeros(BUCKETS + 1, np.int64), np.zeros((FOLDS, BUCKETS + 1), np.int64)
-    for row in some.repartition("block").mapInArrow(_sum_batches, _BLOB).collect():  # one row for each block
+    for row in some.repartition("block").mapInArrow(released(_sum_batches), _BLOB).collect():  # one row for each block
         own = slice(row["block"] << BLOCK_BITS, (row["block"] + 1) << BLOCK_BITS)
         raw[own] += np.frombuffer(zlib.decompress(row["raw"]), "<i8")
         target[:, own] += np.frombuffer(zlib.decompress(row["target"]), "<i8").reshape(FOLDS, -1)
@@ -203,7 +203,7 @@ def log_weights(docs: DataFrame, ratios: np.ndarray, chosen: DataFrame) -> DataF
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_hash(), F.col("text").cast("binary").alias("text"), _fold())
     labelled = F.broadcast(chosen.select("label_id"))
     rows = rows.join(labelled, F.col("doc_id") == F.col("label_id"), "left").withColumn("fold", F.when(F.col("label_id").isNotNull(), F.col("fold")).otherwise(FOLDS))
-    return cut(rows.select("doc_id", "text_hash", "text", "fold").mapInArrow(run, "doc_id long, text_hash long, n_features long, log_ratio double"))
+    return cut(rows.select("doc_id", "text_hash", "text", "fold").mapInArrow(released(run), "doc_id long, text_hash long, n_features long, log_ratio double"))
 
 
 def threshold(weights: DataFrame, chosen: DataFrame, lose: float = LOSE, temperature: float = TEMPERATURE, bound: int = LABELLED_ROWS, seed: int = SEED) -> float:

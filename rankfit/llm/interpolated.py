@@ -29,6 +29,7 @@ import xxhash
 import zstandard
 from pyspark.sql import Column, DataFrame, functions as F
 
+from rankfit.llm.rows import released
 from rankfit.session import cut, drop_table, new_table, ship
 
 FOLDS, TEST, SLICE = 7, 2, 0
@@ -302,11 +303,11 @@ def scored(docs: DataFrame, batch_tokens: int = BATCH_TOKENS, grams_in_part: int
     ship(spark)
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(fold(F.col("doc_id")), F.lit(0)).alias("fold"), F.col("text").cast("binary").alias("text"))
     path = new_table(spark, "batches")
-    rows.mapInArrow(_batch_batches(batch_tokens), _BATCH).write.parquet(path)
+    rows.mapInArrow(released(_batch_batches(batch_tokens)), _BATCH).write.parquet(path)
     batches = spark.read.schema(_BATCH).parquet(path)
     total = batches.agg(F.sum("n_tokens")).first()[0] or 0
     parts = max(1, ceil(total / grams_in_part))
-    asked = batches.drop("n_tokens").mapInArrow(_ask_batches(parts), _ASK)
+    asked = batches.drop("n_tokens").mapInArrow(released(_ask_batches(parts)), _ASK)
     answers = cut(asked.groupBy("part").applyInArrow(_answers, _ANSWER))
     kinds, kinds_learned = (answers.agg(F.sum("kinds"), F.sum("kinds_learned")).first()) if total else (0, 0)
     kinds, kinds_learned = kinds or 0, kinds_learned or 0
@@ -330,4 +331,4 @@ def _fold_tokens(batches: DataFrame) -> DataFrame:
                 n = np.bincount(unpacked(folds, "u1"), weights=unpacked(lengths, "<u4").astype(np.int64) + 1, minlength=3).astype(np.int64)
                 yield pa.RecordBatch.from_arrays([pa.array([0, 1, 2]), pa.array(n)], ["fold", "n"])
 
-    return batches.select("lengths", "folds").mapInArrow(run, "fold long, n long")
+    return batches.select("lengths", "folds").mapInArrow(released(run), "fold long, n long")

@@ -23,6 +23,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window, functions as F
 
 from rankfit.llm import byte_bpe
+from rankfit.llm.rows import released
 from rankfit.session import cut, ship
 
 CAPACITY, SLICE = 1024, 2048
@@ -116,7 +117,7 @@ def pieces(docs: DataFrame, capacity: int = CAPACITY, with_ids: bool = False) ->
     """Pieces of every row, as a stored table; `number` counts those of equal length in the task `run`."""
     ship(docs.sparkSession)
     plain = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    return cut(plain.mapInArrow(_cut_batches(capacity, with_ids), _PIECE + ", ids binary" * with_ids))
+    return cut(plain.mapInArrow(released(_cut_batches(capacity, with_ids)), _PIECE + ", ids binary" * with_ids))
 
 
 def _placed_batches(table: dict[int, np.ndarray]):
@@ -153,7 +154,7 @@ def pack(docs: DataFrame, capacity: int = CAPACITY, with_ids: bool = False) -> D
     first = by_run.select("run", "length", F.coalesce(F.sum("count").over(before), F.lit(0)).alias("first"))
     numbered = short.join(first, ["run", "length"]).select(*kinds, (F.col("number") + F.col("first")).alias("number"))
     schema = "doc_id long, piece int, start long, length long, ids_crc32 long" + ", ids binary" * with_ids + ", sequence_id long, offset long"
-    return numbered.mapInArrow(_placed_batches(table), schema).unionByName(full)
+    return numbered.mapInArrow(released(_placed_batches(table)), schema).unionByName(full)
 
 
 def sequences(docs: DataFrame, capacity: int = CAPACITY) -> DataFrame:

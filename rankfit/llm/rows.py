@@ -1,12 +1,31 @@
-"""Keeping chosen rows of a table by their id and text."""
+"""What several operators need: rows by their id and text, samples by hash, and tasks that give memory back."""
 
 from __future__ import annotations
 
+import ctypes
+
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, functions as F
 
 FEW = 100_000
 
 
+def released(run):
+    """`run` over a task's batches, giving back what it held when it ends: idle workers stay for later tasks."""
+
+    def task(batches):
+        try:
+            yield from run(batches)
+        finally:
+            pa.default_memory_pool().release_unused()
+            try:
+                ctypes.CDLL(None).malloc_trim(0)
+            except (AttributeError, OSError):
+                pass  # another C library
+
+    return task
+
+
 def text_hash() -> Column:
     return F.xxhash64(F.col("text")).alias("text_hash")
 

@@ -38,7 +38,7 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame, functions as F
 
-from rankfit.llm.rows import keep_rows, text_hash
+from rankfit.llm.rows import keep_rows, released, text_hash
 from rankfit.session import Scratch, cut, ship
 
 SHINGLE_WORDS = 4
@@ -97,7 +97,7 @@ def fingerprints(docs: DataFrame, words: int = SHINGLE_WORDS, seed: int = SEED)
     """(doc_id, text_hash, fp long: the unsigned fingerprint's bits) of every row."""
     ship(docs.sparkSession)
     plain = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_hash(), F.col("text").cast("binary").alias("text"))
-    return plain.mapInArrow(_fingerprint_batches(words, seed), "doc_id long, text_hash long, fp long")
+    return plain.mapInArrow(released(_fingerprint_batches(words, seed)), "doc_id long, text_hash long, fp long")
 
 
 def _balls(radius: int, widths: tuple[int, ...]) -> list[tuple[int, int, int, int]]:
@@ -231,7 +231,7 @@ def links(prints: DataFrame, radius: int = RADIUS, block: int = 4096, many: int
         twice = grid.unionByName(pairs.where("own and other != mine").select("key", F.lit(False).alias("own"), "fp", F.col("other").alias("i"), F.col("mine").alias("j")))
         dealt = twice.select("key", "own", "fp", (F.col("i") * (1 << 20) + F.col("j")).alias("block"))
     sorted_rows = dealt.select("key", "block", "own", "fp").repartition("key", "block").sortWithinPartitions("key", "block", F.desc("own"))
-    return sorted_rows.mapInArrow(_linked_batches(radius), "a long, b long").distinct()
+    return sorted_rows.mapInArrow(released(_linked_batches(radius)), "a long, b long").distinct()
 
 
 def _labelled(edges: DataFrame, least: DataFrame, hubs: DataFrame) -> DataFrame:
@@ -411,7 +411,7 @@ class SimilarTexts:
         self.spark, self.store = docs.sparkSession, Scratch(docs.sparkSession)
         self.words, self.similar, self.radius, self.block, self.frequent = words, similar, radius, block, frequent
         self.texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_hash(), F.col("text").cast("binary").alias("text"))
-        made = self.texts.mapInArrow(_set_batches(words, similar, ("v", "fp", "n", "sketch", "first")), f"doc_id long, text_hash long, {self._schema('v', 'fp', 'n', 'sketch', 'first')}")
+        made = self.texts.mapInArrow(released(_set_batches(words, similar, ("v", "fp", "n", "sketch", "first"))), f"doc_id long, text_hash long, {self._schema('v', 'fp', 'n', 'sketch', 'first')}")
         self.rows = self.store.table(made.withColumn("row", F.monotonically_increasing_id()))
         again = self.store.table(self.rows.groupBy("v").agg(F.count("*").alias("rows"), F.min("row").alias("one")).where("rows > 1").select("v", "one"))
         self.sets = self.rows.join(_sent(again), "v", "left").where("one is null or one = row").select("v", "n", "fp", "text_hash", "sketch", "first")
@@ -424,7 +424,7 @@ class SimilarTexts:
         """`wanted` of the sets `asked` (v), a stored table, from their texts; a row for each."""
         hashes = self.store.table(self.sets.join(_sent(asked), "v", "left_semi").select("text_hash").distinct())
         texts = self.texts.join(_sent(hashes), "text_hash", "left_semi").select("text")
-        made = texts.mapInArrow(_set_batches(self.words, self.similar, ("v", *wanted), late), self._schema("v", *wanted))
+        made = texts.mapInArrow(released(_set_batches(self.words, self.similar, ("v", *wanted), late)), self._schema("v", *wanted))
         return made.join(_sent(asked), "v", "left_semi").dropDuplicates(["v"])
 
     def first_pairs(self) -> DataFrame:
@@ -440,7 +440,7 @@ class SimilarTexts:
         up, down = self.similar
         pairs = self.store.table(pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct())
         rough = _salted(_salted(pairs, self.sets, "a", ("n", "sketch")), self.sets, "b", ("n", "sketch"))
-        pairs = self.store.table(rough.mapInArrow(_possible_batches(self.similar), "a long, b long"))
+        pairs = self.store.table(rough.mapInArrow(released(_possible_batches(self.similar)), "a long, b long"))
         asked = self.store.table(pairs.select(F.explode(F.array("a", "b")).alias("v")).distinct())
         whole = self.store.table(self.made_again(asked, "s"))
         both = _salted(_salted(pairs, whole, "a", ("s",)), whole, "b", ("s",))
@@ -450,7 +450,7 @@ class SimilarTexts:
     def marked(self, begun: DataFrame, late: np.ndarray) -> tuple:
         """`late` as sent to the tasks, and `begun` with whether a set begins with any of it."""
         shared = self.spark.sparkContext.broadcast(late)
-        return shared, begun.mapInArrow(_late_batches(shared), "v long, n int, first array<long>, late boolean")
+        return shared, begun.mapInArrow(released(_late_batches(shared)), "v long, n int, first array<long>, late boolean")
 
     @staticmethod
     def _most(tally: DataFrame) -> np.ndarray:
@@ -502,26 +502,26 @@ class SimilarTexts:
             each = each.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), blocks - 1)))
             dealt = each.withColumn("cell", F.least("mine", "other") * (1 << 31) + F.greatest("mine", "other"))
         dealt = dealt.select("h", "cell", "mine", "v", "n", "at")
-        return self.store.table(in_cells(dealt).mapInArrow(_several_batches, dealt.schema))
+        return self.store.table(in_cells(dealt).mapInArrow(released(_several_batches), dealt.schema))
 
     def rooted(self, shared: DataFrame, roots: DataFrame) -> DataFrame:
         return shared.join(_sent(roots), "v", "left").withColumn("root", F.coalesce("root", "v"))
 
     def pairs_in(self, rooted: DataFrame) -> int:
         """How many pairs of sets with different roots meet in all cells."""
-        found = in_cells(rooted).mapInArrow(_met_batches(self.similar, counted=True), "pairs long")
+        found = in_cells(rooted).mapInArrow(released(_met_batches(self.similar, counted=True)), "pairs long")
         return found.agg(F.coalesce(F.sum("pairs"), F.lit(0))).first()[0]
 
     def star_pairs(self, rooted: DataFrame, turn: int) -> DataFrame:
         """Pairs of one set of each cell with the others, a number linear in the rows, that share many first shingles."""
         dealt = rooted.withColumn("turn", F.xxhash64(F.lit(turn), "v"))
-        stars = in_cells(dealt, "turn").mapInArrow(_star_batches(self.similar), "a long, b long, n int")
+        stars = in_cells(dealt, "turn").mapInArrow(released(_star_batches(self.similar)), "a long, b long, n int")
         return stars.groupBy("a", "b").agg(F.count("*").alias("times"), F.first("n").alias("n")).where(F.col("times") > F.col("n") / STAR_SHARE).select("a", "b")
 
     def all_pairs(self, rooted: DataFrame) -> DataFrame:
         """Pairs (a, b) of sets, among them all similar ones that have different roots."""
         up, down = self.similar
-        met = in_cells(rooted).mapInArrow(_met_batches(self.similar), "a long, b long, n int, ends int").groupBy("a", "b")
+        met = in_cells(rooted).mapInArrow(released(_met_batches(self.similar)), "a long, b long, n int, ends int").groupBy("a", "b")
         # Up to the last shared place all that isn't shared is on one side only; similar sets have few of these.
         apart = met.agg((F.max("ends") - 2 * F.count("*")).alias("apart"), F.first("n").alias("n"))
         return apart.where((up + down) * F.col("apart") <= (down - up) * F.col("n")).select("a", "b")

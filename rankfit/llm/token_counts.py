@@ -18,6 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F
 
 from rankfit.llm import byte_bpe
+from rankfit.llm.rows import released
 from rankfit.session import ship
 
 LIMIT, SLICE = 1024, 2048
@@ -53,7 +54,7 @@ def prefix_tables(docs: DataFrame) -> DataFrame:
                 tables = pa.array(byte_bpe.prefix_steps_of(texts[at : at + 256]), pa.binary())
                 yield pa.RecordBatch.from_arrays([batch.column("doc_id").slice(at, 256), tables], ["doc_id", "steps"])
 
-    return _plain(docs).mapInArrow(run, "doc_id long, steps binary")
+    return _plain(docs).mapInArrow(released(run), "doc_id long, steps binary")
 
 
 def token_counts(docs: DataFrame, limit: int = LIMIT) -> DataFrame:
@@ -68,4 +69,4 @@ def token_counts(docs: DataFrame, limit: int = LIMIT) -> DataFrame:
             over = pa.array([n > limit for n in tokens], pa.bool_())
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), size, pa.array(tokens, pa.int64()), over], ["doc_id", "n_bytes", "n_tokens", "over_limit"])
 
-    return _plain(docs).mapInArrow(run, "doc_id long, n_bytes long, n_tokens long, over_limit boolean")
+    return _plain(docs).mapInArrow(released(run), "doc_id long, n_bytes long, n_tokens long, over_limit boolean")
