@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import gc
 import os
 import shutil
 import tempfile
@@ -67,15 +68,27 @@ def drop_table(spark: SparkSession, path: str) -> None:
 class Scratch:
     """Parquet tables of one operator's intermediate results in the shared folder, removed when it has its result."""
 
-    def __init__(self, spark: SparkSession):
-        self.spark, self.paths = spark, []
+    def __init__(self, spark: SparkSession, keep: int | None = None):
+        """With `keep` only so many of the last tables stay."""
+        self.spark, self.paths, self.keep = spark, [], keep
 
     def table(self, df: DataFrame) -> DataFrame:
         path = new_table(self.spark, "scratch")
         self.paths.append(path)
         df.write.parquet(path)
+        if self.keep:
+            self._drop(len(self.paths) - self.keep)
         return self.spark.read.schema(df.schema).parquet(path)
 
+    def _drop(self, n: int) -> None:
+        for _ in range(n):
+            drop_table(self.spark, self.paths.pop(0))
+
     def close(self) -> None:
-        while self.paths:
-            drop_table(self.spark, self.paths.pop())
+        self._drop(len(self.paths))
+
+
+def forget_shuffles(spark: SparkSession) -> None:
+    """Let Spark's cleaner remove the files of shuffles that nothing refers to: it only learns of them from collections."""
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
