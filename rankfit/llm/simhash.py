@@ -39,7 +39,7 @@ import xxhash
 from pyspark.sql import DataFrame, functions as F
 
 from rankfit.llm.rows import keep_rows, released, text_hash
-from rankfit.session import Scratch, cut, ship
+from rankfit.session import Scratch, cut, forget_shuffles, ship
 
 SHINGLE_WORDS = 4
 SEED = 42
@@ -234,17 +234,17 @@ def links(prints: DataFrame, radius: int = RADIUS, block: int = 4096, many: int
     return sorted_rows.mapInArrow(released(_linked_batches(radius)), "a long, b long").distinct()
 
 
-def _labelled(edges: DataFrame, least: DataFrame, hubs: DataFrame) -> DataFrame:
+def _labelled(edges: DataFrame, least: DataFrame, hubs: DataFrame, store: Scratch) -> DataFrame:
     """`edges` (u, v) with the label m of u from `least` (u, m); those of `hubs` (u), a small stored table, are sent."""
-    sent = F.broadcast(cut(least.join(F.broadcast(hubs), "u", "left_semi")).withColumnRenamed("m", "hub_m"))
+    sent = F.broadcast(store.table(least.join(F.broadcast(hubs), "u", "left_semi")).withColumnRenamed("m", "hub_m"))
     both = edges.join(sent, "u", "left")
     rest = both.where("hub_m is null").drop("hub_m").join(least, "u")
     return both.where("hub_m is not null").withColumnRenamed("hub_m", "m").unionByName(rest)
 
 
-def _hubs(edges: DataFrame, hub: int = HUB) -> DataFrame:
+def _hubs(edges: DataFrame, store: Scratch, hub: int = HUB) -> DataFrame:
     """The nodes u of `edges` (u, v) with more than `hub` edges, as a stored table; of too many, those with most."""
-    degrees = cut(edges.groupBy("u").count().where(F.col("count") > hub))
+    degrees = store.table(edges.groupBy("u").count().where(F.col("count") > hub))
     while degrees.count() > SENT:
         hub *= 8
         degrees = degrees.where(F.col("count") > hub)
@@ -262,19 +262,24 @@ def components(edges: DataFrame, hub: int = HUB) -> DataFrame:
     def told(rows: DataFrame) -> tuple:
         return tuple(rows.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first())
 
-    now = cut(edges.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u != v").distinct())
+    # A round reads the last one's edges and, where there are hubs, two small tables of its own.
+    store = Scratch(edges.sparkSession, keep=4)
+    now = store.table(edges.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u != v").distinct())
     size, then = told(now), None
     while size != then:
         turned = now.select(F.col("v").alias("u"), F.col("u").alias("v"))
         least = now.unionByName(turned).groupBy("u").agg(F.least(F.min("v"), F.first("u")).alias("m"))
-        hubs = _hubs(turned, hub)
-        met = turned.join(least, "u") if hubs.isEmpty() else _labelled(turned, least, hubs)
+        hubs = _hubs(turned, store, hub)
+        met = turned.join(least, "u") if hubs.isEmpty() else _labelled(turned, least, hubs, store)
         large = met.select(F.col("v").alias("u"), F.col("m").alias("v")).where("u != v").distinct()
         least = large.groupBy("u").agg(F.min("v").alias("m"))
         small = large.join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).unionByName(least.select("u", F.col("m").alias("v")))
-        now = cut(small.where("u != v").distinct())
+        now = store.table(small.where("u != v").distinct())
         size, then = told(now), size
-    return now.select(F.col("u").alias("node"), F.col("v").alias("root")).unionByName(now.select(F.col("v").alias("node"), F.col("v").alias("root")).distinct())
+        forget_shuffles(edges.sparkSession)
+    found = cut(now.select(F.col("u").alias("node"), F.col("v").alias("root")).unionByName(now.select(F.col("v").alias("node"), F.col("v").alias("root")).distinct()))
+    store.close()
+    return found
 
 
 def near_duplicates(docs: DataFrame, radius: int = RADIUS, words: int = SHINGLE_WORDS, block: int = 4096) -> DataFrame:
@@ -445,7 +450,9 @@ class SimilarTexts:
         whole = self.store.table(self.made_again(asked, "s"))
         both = _salted(_salted(pairs, whole, "a", ("s",)), whole, "b", ("s",))
         enough = (up + down) * F.size(F.array_intersect("s_a", "s_b")) >= up * (F.size("s_a") + F.size("s_b"))
-        return self.store.table(both.where(enough).select("a", "b"))
+        found = self.store.table(both.where(enough).select("a", "b"))
+        forget_shuffles(self.spark)
+        return found
 
     def marked(self, begun: DataFrame, late: np.ndarray) -> tuple:
         """`late` as sent to the tasks, and `begun` with whether a set begins with any of it."""
