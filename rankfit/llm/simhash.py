@@ -251,32 +251,42 @@ def _hubs(edges: DataFrame, store: Scratch, hub: int = HUB) -> DataFrame:
     return degrees.select("u")
 
 
+def _forest_batches(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Edges (u, v) with the components of each batch's (a, b), in each of which all meet the smallest node."""
+    for batch in batches:
+        if len(batch):
+            u, v = forest(*(batch.column(c).to_numpy(zero_copy_only=False) for c in ("a", "b")))
+            yield pa.RecordBatch.from_arrays([pa.array(u), pa.array(v)], ["u", "v"])
+
+
+def _shape(edges: DataFrame) -> tuple[int, int]:
+    """Of `edges` (u, v), each from a larger to a smaller node: how many nodes keep them from being stars, and the most edges down to one."""
+    ends = edges.selectExpr("u as n", "1 as up", "0 as down").unionByName(edges.selectExpr("v as n", "0 as up", "1 as down"))
+    each = ends.groupBy("n").agg(F.sum("up").alias("up"), F.sum("down").alias("down"))
+    return tuple(each.agg(F.count_if((F.col("up") > 1) | (F.col("up") > 0) & (F.col("down") > 0)), F.coalesce(F.max("down"), F.lit(0))).first())
+
+
 def components(edges: DataFrame, hub: int = HUB) -> DataFrame:
     """(node, root) of every node of `edges` (a, b): root is the smallest node of its component.
 
-    Alternates two steps until nothing changes: every node's larger neighbours are tied to the smallest node it
-    knows, then so are its smaller ones. Both are an aggregate, which combines before rows move, and a join, in which
-    a hub's label goes to its edges.
+    Alternates two steps until only stars are left, whose middles are the roots: every node's larger neighbours are tied
+    to the smallest node it knows, then so are its smaller ones. Both are an aggregate, which combines before rows move,
+    and a join, in which a hub's label goes to its edges. What tasks can join on their own comes first.
     """
-
-    def told(rows: DataFrame) -> tuple:
-        return tuple(rows.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first())
-
+    spark = edges.sparkSession
+    ship(spark)
     # A round reads the last one's edges and, where there are hubs, two small tables of its own.
-    store = Scratch(edges.sparkSession, keep=4)
-    now = store.table(edges.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u != v").distinct())
-    size, then = told(now), None
-    while size != then:
+    store = Scratch(spark, keep=4)
+    now = store.table(edges.select("a", "b").mapInArrow(released(_forest_batches), "u long, v long").distinct())
+    while (shape := _shape(now))[0]:
         turned = now.select(F.col("v").alias("u"), F.col("u").alias("v"))
         least = now.unionByName(turned).groupBy("u").agg(F.least(F.min("v"), F.first("u")).alias("m"))
-        hubs = _hubs(turned, store, hub)
-        met = turned.join(least, "u") if hubs.isEmpty() else _labelled(turned, least, hubs, store)
+        met = turned.join(least, "u") if shape[1] <= hub else _labelled(turned, least, _hubs(turned, store, hub), store)
         large = met.select(F.col("v").alias("u"), F.col("m").alias("v")).where("u != v").distinct()
         least = large.groupBy("u").agg(F.min("v").alias("m"))
         small = large.join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).unionByName(least.select("u", F.col("m").alias("v")))
         now = store.table(small.where("u != v").distinct())
-        size, then = told(now), size
-        forget_shuffles(edges.sparkSession)
+        forget_shuffles(spark)
     found = cut(now.select(F.col("u").alias("node"), F.col("v").alias("root")).unionByName(now.select(F.col("v").alias("node"), F.col("v").alias("root")).distinct()))
     store.close()
     return found
@@ -533,20 +543,28 @@ class SimilarTexts:
         apart = met.agg((F.max("ends") - 2 * F.count("*")).alias("apart"), F.first("n").alias("n"))
         return apart.where((up + down) * F.col("apart") <= (down - up) * F.col("n")).select("a", "b")
 
-    def components(self, edges: DataFrame) -> DataFrame:
-        return self.store.table(components(edges).select(F.col("node").alias("v"), "root"))
+    def joined(self, edges: DataFrame, roots: DataFrame | None = None) -> DataFrame:
+        """(v, root) of every set of `edges`, and of `roots`, whose components they join."""
+        if roots is None:
+            return self.store.table(components(edges).select(F.col("node").alias("v"), "root"))
+        known = _sent(roots)
+        for e in ("a", "b"):
+            own = known.select(F.col("v").alias(e), F.col("root").alias("r"))
+            edges = edges.join(own, e, "left").withColumn(e, F.coalesce("r", e)).drop("r")
+        # Between components known before only their roots are nodes; a root is its own in `roots` too.
+        more = self.store.table(components(edges.where("a != b")).select(F.col("node").alias("root"), F.col("root").alias("to")))
+        moved = roots.join(_sent(more), "root", "left").select("v", F.coalesce("to", "root").alias("root"))
+        return self.store.table(moved.unionByName(more.select(F.col("root").alias("v"), F.col("to").alias("root"))).distinct())
 
     def roots(self) -> DataFrame:
         """(doc_id, text_hash, root) of every row."""
-        edges = self.verified(self.first_pairs())
-        roots, shared = self.components(edges), self.shared()
+        roots, shared = self.joined(self.verified(self.first_pairs())), self.shared()
         rows, turn, before = shared.count(), 0, None
         # Large groups of near copies join by stars first, so that their sets needn't all meet each other.
         while (now := self.pairs_in(self.rooted(shared, roots))) > PAIRS_A_ROW * rows and (before is None or 2 * now < before):
-            edges = edges.unionByName(self.verified(self.star_pairs(self.rooted(shared, roots), turn)))
-            roots, turn, before = self.components(edges), turn + 1, now
-        more = self.verified(self.all_pairs(self.rooted(shared, roots)))
-        roots = self.components(edges.unionByName(more))
+            roots = self.joined(self.verified(self.star_pairs(self.rooted(shared, roots), turn)), roots)
+            turn, before = turn + 1, now
+        roots = self.joined(self.verified(self.all_pairs(self.rooted(shared, roots))), roots)
         return self.rows.select("doc_id", "text_hash", "v").join(_sent(roots), "v", "left").select("doc_id", "text_hash", F.coalesce("root", "v").alias("root"))
 
 
