@@ -50,6 +50,8 @@ SENT = 1_000_000
 MANY, HUB = 1 << 25, 256
 #: Stars are made while more pairs than this for each row would meet; a star's sets share one in so many of their shingles.
 PAIRS_A_ROW, STAR_SHARE = 4, 16
+#: Bytes of what a set takes along to where it meets others, to tell most that differ from it there.
+SIGNATURE = 64
 
 _BYTE_BITS = ((np.arange(256)[:, None] >> np.arange(8)) & 1).astype(np.int64)
 _ROW = np.arange(8, dtype=np.int64) * 256
@@ -334,6 +336,12 @@ def _sketch(distinct: np.ndarray) -> bytes:
     return (counts[0::2] | counts[1::2] << 4).tobytes()
 
 
+def _signature(distinct: np.ndarray) -> bytes:
+    """Counts as of a sketch, but of a fixed size: `SIGNATURE` bytes."""
+    counts = np.minimum(np.bincount(distinct & (2 * SIGNATURE - 1), minlength=2 * SIGNATURE), 15).astype(np.uint8)
+    return (counts[0::2] | counts[1::2] << 4).tobytes()
+
+
 def _most_shared(a: bytes, b: bytes, na: int, nb: int) -> int:
     """How many shingles two sets of na and nb can share at most, from their sketches."""
     x, y = (np.stack([c & 15, c >> 4], 1).ravel() for c in (np.frombuffer(a, np.uint8), np.frombuffer(b, np.uint8)))
@@ -356,7 +364,7 @@ def _possible_batches(similar: tuple[int, int]):
     return run
 
 
-_SETS = {"sketch": "sketch binary", "v": "v long", "fp": "fp long", "n": "n int", "first": "first array<long>", "s": "s array<long>"}
+_SETS = {"sketch": "sketch binary", "sig": "sig binary", "v": "v long", "fp": "fp long", "n": "n int", "first": "first array<long>", "s": "s array<long>"}
 
 
 def _set_batches(words: int, similar: tuple[int, int], wanted: tuple[str, ...], late=None, at_once: int = 1 << 20):
@@ -370,13 +378,13 @@ def _set_batches(words: int, similar: tuple[int, int], wanted: tuple[str, ...],
             for i in range(len(batch)):
                 hashes = shingles(texts[i].as_py(), words)
                 distinct = np.unique(hashes.view(np.int64))
-                values = {"v": lambda d=distinct: _named(d), "fp": lambda h=hashes: majority(h) if len(h) else 0, "n": lambda d=distinct: len(d), "sketch": lambda d=distinct: _sketch(d), "first": lambda d=distinct: _firsts(d, similar, last), "s": lambda d=distinct: d}
+                values = {"v": lambda d=distinct: _named(d), "fp": lambda h=hashes: majority(h) if len(h) else 0, "n": lambda d=distinct: len(d), "sketch": lambda d=distinct: _sketch(d), "sig": lambda d=distinct: _signature(d), "first": lambda d=distinct: _firsts(d, similar, last), "s": lambda d=distinct: d}
                 for c in wanted:
                     out[c].append(values[c]())
                 held += len(distinct)
                 if held >= at_once or i == len(batch) - 1:
                     own = batch.slice(start, i + 1 - start)
-                    made = [_lists(x) if c in ("first", "s") else pa.array(np.array(x, np.uint64).view(np.int64)) if c == "fp" else pa.array(x, {"n": pa.int32(), "sketch": pa.binary()}.get(c, pa.int64())) for c, x in out.items()]
+                    made = [_lists(x) if c in ("first", "s") else pa.array(np.array(x, np.uint64).view(np.int64)) if c == "fp" else pa.array(x, {"n": pa.int32(), "sketch": pa.binary(), "sig": pa.binary()}.get(c, pa.int64())) for c, x in out.items()]
                     names = [c for c in own.schema.names if c != "text"]
                     yield pa.RecordBatch.from_arrays([*(own.column(c) for c in names), *made], [*names, *wanted])
                     out, held, start = {c: [] for c in wanted}, 0, i + 1
@@ -426,10 +434,11 @@ class SimilarTexts:
         self.spark, self.store = docs.sparkSession, Scratch(docs.sparkSession)
         self.words, self.similar, self.radius, self.block, self.frequent = words, similar, radius, block, frequent
         self.texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_hash(), F.col("text").cast("binary").alias("text"))
-        made = self.texts.mapInArrow(released(_set_batches(words, similar, ("v", "fp", "n", "sketch", "first"))), f"doc_id long, text_hash long, {self._schema('v', 'fp', 'n', 'sketch', 'first')}")
+        stored = ("v", "fp", "n", "sketch", "sig", "first")
+        made = self.texts.mapInArrow(released(_set_batches(words, similar, stored)), f"doc_id long, text_hash long, {self._schema(*stored)}")
         self.rows = self.store.table(made.withColumn("row", F.monotonically_increasing_id()))
         again = self.store.table(self.rows.groupBy("v").agg(F.count("*").alias("rows"), F.min("row").alias("one")).where("rows > 1").select("v", "one"))
-        self.sets = self.rows.join(_sent(again), "v", "left").where("one is null or one = row").select("v", "n", "fp", "text_hash", "sketch", "first")
+        self.sets = self.rows.join(_sent(again), "v", "left").where("one is null or one = row").select("v", "n", "fp", "text_hash", "sketch", "sig", "first")
 
     @staticmethod
     def _schema(*columns: str) -> str:
@@ -538,7 +547,9 @@ class SimilarTexts:
     def all_pairs(self, rooted: DataFrame) -> DataFrame:
         """Pairs (a, b) of sets, among them all similar ones that have different roots."""
         up, down = self.similar
-        met = in_cells(rooted).mapInArrow(released(_met_batches(self.similar)), "a long, b long, n int, ends int").groupBy("a", "b")
+        # Pairs whose signatures tell that they differ don't leave the task where they meet.
+        signed = rooted.join(self.sets.select("v", "sig"), "v")
+        met = in_cells(signed).mapInArrow(released(_met_batches(self.similar)), "a long, b long, n int, ends int").groupBy("a", "b")
         # Up to the last shared place all that isn't shared is on one side only; similar sets have few of these.
         apart = met.agg((F.max("ends") - 2 * F.count("*")).alias("apart"), F.first("n").alias("n"))
         return apart.where((up + down) * F.col("apart") <= (down - up) * F.col("n")).select("a", "b")
@@ -599,7 +610,10 @@ def _whole_cells(batches: Iterable[pa.RecordBatch]) -> Iterator[dict[str, np.nda
 
     def columns(parts: list[pa.RecordBatch]) -> dict[str, np.ndarray]:
         whole = pa.Table.from_batches(parts)
-        return {c: whole.column(c).to_numpy().astype(np.int64, copy=False) for c in whole.schema.names}
+        out = {c: whole.column(c).to_numpy().astype(np.int64, copy=False) for c in whole.schema.names if c != "sig"}
+        if "sig" in whole.schema.names:
+            out["sig"] = np.frombuffer(b"".join(whole.column("sig").to_pylist()), np.uint8).reshape(len(whole), -1)
+        return out
 
     held: list[pa.RecordBatch] = []
     for batch in batches:
@@ -634,10 +648,10 @@ def _star_batches(similar: tuple[int, int]):
     return run
 
 
-def _met_batches(similar: tuple[int, int], counted: bool = False, pairs_at_once: int = 1 << 20):
+def _met_batches(similar: tuple[int, int], counted: bool = False, pairs_at_once: int = 1 << 20, signed_at_once: int = 1 << 15):
     """Over rows sorted by (h, cell): the pairs of sets of each cell that have different roots and may be similar, or their number.
 
-    Before the first place that two similar sets share they have few others, and sizes differ little. Of a pair's shared
+    Where rows have a signature `sig`, pairs whose signatures differ too much aren't among them. Before the first place that two similar sets share they have few others, and sizes differ little. Of a pair's shared
     places those that keep to this are the first ones, so that a pair that isn't met at its first is never similar.
     """
     up, down = similar
@@ -648,7 +662,17 @@ def _met_batches(similar: tuple[int, int], counted: bool = False, pairs_at_once:
         fine &= (up + down) * (c["at"][x] + c["at"][y]) <= (down - up) * (nx + ny)
         # In a cell of two blocks only pairs across them meet.
         fine &= (c["one_block"][x]) | (c["mine"][x] != c["mine"][y])
-        return x[fine], y[fine]
+        x, y = x[fine], y[fine]
+        if "sig" not in c:
+            return x, y
+        same = np.concatenate([alike(x[i : i + signed_at_once], y[i : i + signed_at_once], c) for i in range(0, len(x), signed_at_once)] or [np.zeros(0, bool)])
+        return x[same], y[same]
+
+    def alike(x: np.ndarray, y: np.ndarray, c: dict[str, np.ndarray]) -> np.ndarray:
+        # Of no counter can more be shared than the less of two, but for what the counters don't hold.
+        a, b = c["sig"][x], c["sig"][y]
+        shared = (np.minimum(a & 15, b & 15) + np.minimum(a >> 4, b >> 4)).sum(1, dtype=np.int64)
+        return (up + down) * (shared + c["beyond"][x] + c["beyond"][y]) >= up * (c["n"][x] + c["n"][y])
 
     def pairs(c: dict[str, np.ndarray]) -> Iterator[tuple[np.ndarray, np.ndarray]]:
         change = (c["h"][1:] != c["h"][:-1]) | (c["cell"][1:] != c["cell"][:-1])
@@ -678,6 +702,8 @@ def _met_batches(similar: tuple[int, int], counted: bool = False, pairs_at_once:
 
     def out(c: dict[str, np.ndarray]) -> Iterator[pa.RecordBatch]:
         if len(c["h"]):
+            if "sig" in c:
+                c["beyond"] = c["n"] - ((c["sig"] & 15) + (c["sig"] >> 4)).sum(1, dtype=np.int64)
             c["one_block"] = (c["cell"] >> 31) == (c["cell"] & ((1 << 31) - 1))
             for x, y in pairs(c):
                 if len(x) and counted:

@@ -207,3 +207,19 @@ def test_mixing(odd, documents, none):
             words[r.source] += len(re.findall("[^\x20\x09-\x0d]+", r.text))
         assert all(abs(words[s] - want[s]) <= 1 for s in sizes)
     assert mixing.mixture(none).count() == 0 and mixing.mixed(none).count() == 0
+
+
+def test_texts_that_share_a_passage_only_are_told_apart_where_they_meet(spark):
+    passage = " ".join(f"p{i}" for i in range(60))
+    texts = [passage + " " + " ".join(f"o{t}x{i}" for i in range(50)) for t in range(90)]
+    texts += [x + " end" for x in texts[:5]]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    steps = simhash.SimilarTexts(docs, 5, (4, 5), 4, 4096, 100)
+    try:
+        alone = spark.createDataFrame([], "v long, root long")
+        pairs = {frozenset(r) for r in steps.all_pairs(steps.rooted(steps.shared(), alone)).collect()}
+        named = {r.doc_id: r.v for r in steps.rows.select("doc_id", "v").collect()}
+    finally:
+        steps.store.close()
+    assert {frozenset((named[i], named[90 + i])) for i in range(5)} <= pairs
+    assert len(pairs) < 50
