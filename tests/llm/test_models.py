@@ -203,3 +203,13 @@ def test_forest_paths_against_brute_force():
         n = 32
         mean = 2 * (log(n - 1) + 0.5772156649015329) - 2 * (n - 1) / n
         assert abs(score - 2 ** (-total / 30 / mean)) < 1e-9
+
+
+def test_forest_threshold_counts_all_labelled_rows(spark):
+    n = 25_000
+    shares = [(F.rand(i) / 4).alias(c) for i, c in enumerate(rule_forest.SHARES)]
+    stats = spark.range(n).select(F.col("id").alias("doc_id"), F.lit(100).cast("long").alias("n_words"), *[F.lit(0).cast("long").alias(c) for c in rule_forest.COUNTS[1:]], *shares).cache()
+    labels = spark.range(n).select(F.col("id").alias("doc_id"), F.lit(1).alias("quality"))
+    forest, threshold = rule_forest.fit(stats, labels, trees=20, lose=0.3)
+    scores = rule_forest.scores(forest, stats.select(*rule_forest.SHARES).toPandas().to_numpy(float))
+    assert threshold == np.sort(scores)[int(np.ceil(0.7 * n)) - 1]
