@@ -21,12 +21,16 @@ are ignored. An empty table gives an empty result.
 `similar_texts` links by the Jaccard similarity of the sets of shingles, which no fingerprint decides: at 0.8 two
 fingerprints differ in about ten bits, and an index that reaches so far meets a fixed share of all pairs. It takes the
 index's links as first candidates, whose components spare most of the work in groups of near copies, and completes them:
-two sets with similarity s share one of their first n - ceil(s n) + 1 shingles in any order common to all texts. Each
-candidate's similarity is computed in whole numbers before it links. The order is that of hashes, with the shingles
-that many texts begin with last; which ones are known to be frequent changes the work, not the result. While the sets
-that share a shingle would meet in too many pairs, one of them meets the others: groups of near copies join by such
-stars, and sets that are joined needn't meet. All others do. Only the first shingles are stored, and a sketch of each set, counts of its shingles by their last bits, from which follows how many
-two sets can share at most. Whole sets are made anew from the texts of the candidates that this leaves.
+two sets with similarity s share one of their first n - ceil(s n) + 1 shingles in any order common to all texts. The
+order is that of hashes, with the shingles that many texts begin with last; which ones are known to be frequent changes
+the work, not the result. Where sets meet, a small signature of each tells most that differ apart.
+
+Pairs never leave the task where they meet: from it go edges of a forest, fewer than the rows it read, so that no table
+grows with the square of a group. Sets that such edges join are candidates of each other, whether met or not, and each
+goes once to where its group meets: first with a sketch, counts of its shingles by their last bits, from which follows
+how many two sets can share at most, then, in the groups that this leaves, whole, made anew from its text. Only there,
+where shared shingles are counted, a pair links. A group larger than a task should hold is cut into blocks, each pair of
+which meets in one cell.
 """
 
 from __future__ import annotations
@@ -48,8 +52,10 @@ SIMILAR_WORDS, SIMILAR = 5, (4, 5)
 FREQUENT, FREQUENT_KEPT, PASSAGE_SETS = 100, 20_000, 4_000
 SENT = 1_000_000
 MANY, HUB = 1 << 25, 256
-#: Stars are made while more pairs than this for each row would meet; a star's sets share one in so many of their shingles.
-PAIRS_A_ROW, STAR_SHARE = 4, 16
+#: In cells of more pairs than this for each row a set meets only those that nothing has joined yet.
+PAIRS_A_ROW = 32
+#: Blocks of a group of candidates hold about so many shingles at most.
+GROUP_SHINGLES = 1 << 20
 #: Bytes of what a set takes along to where it meets others, to tell most that differ from it there.
 SIGNATURE = 64
 
@@ -342,24 +348,125 @@ def _signature(distinct: np.ndarray) -> bytes:
     return (counts[0::2] | counts[1::2] << 4).tobytes()
 
 
+class _Sketches:
+    """The sketches of some sets of n shingles, by their sizes."""
+
+    def __init__(self, n: np.ndarray, sketches: list[bytes]):
+        self.sizes = np.array([2 * len(x) for x in sketches])
+        self.place, self.counts, self.beyond = np.zeros(len(n), np.int64), {}, np.zeros(len(n), np.int64)
+        for size in np.unique(self.sizes):
+            own = np.flatnonzero(self.sizes == size)
+            c = np.frombuffer(b"".join(sketches[i] for i in own), np.uint8).reshape(len(own), -1)
+            self.counts[size] = np.stack([c & 15, c >> 4], 2).reshape(len(own), -1)
+            self.place[own] = np.arange(len(own))
+            self.beyond[own] = n[own] - self.counts[size].sum(1, dtype=np.int64)
+
+    def most_shared(self, x: int, others: np.ndarray) -> np.ndarray:
+        """How many shingles set x can share with each of `others` at most."""
+        out = self.beyond[x] + self.beyond[others]
+        for size in np.unique(self.sizes[others]):
+            of = np.flatnonzero(self.sizes[others] == size)
+            least = min(size, self.sizes[x])
+            a, b = self.counts[self.sizes[x]][self.place[x]][None], self.counts[size][self.place[others[of]]]
+            a, b = (c if c.shape[1] == least else c.reshape(len(c), -1, least).sum(1, dtype=np.int32) for c in (a, b))
+            out[of] += np.minimum(a, b).sum(1, dtype=np.int64)
+        return out
+
+
 def _most_shared(a: bytes, b: bytes, na: int, nb: int) -> int:
     """How many shingles two sets of na and nb can share at most, from their sketches."""
-    x, y = (np.stack([c & 15, c >> 4], 1).ravel() for c in (np.frombuffer(a, np.uint8), np.frombuffer(b, np.uint8)))
-    beyond = int(na + nb - x.sum(dtype=np.int64) - y.sum(dtype=np.int64))
-    size = min(len(x), len(y))
-    x, y = (c.reshape(-1, size).sum(0, dtype=np.int32) for c in (x, y))
-    return int(np.minimum(x, y).sum()) + beyond
+    return int(_Sketches(np.array([na, nb]), [a, b]).most_shared(0, np.array([1]))[0])
+
+
+class _Whole:
+    """Some whole sets: `values` holds their shingles one set after another, n of each."""
 
+    def __init__(self, n: np.ndarray, values: np.ndarray):
+        self.ends = np.cumsum(n)
+        self.codes = np.unique(values, return_inverse=True)[1]
+        self.owner = np.repeat(np.arange(len(n)), n)
+        self.index(np.arange(len(n)))
 
-def _possible_batches(similar: tuple[int, int]):
-    """The pairs that can be similar by their sketches."""
+    def index(self, sets: np.ndarray) -> None:
+        """Look up shingles in `sets` only."""
+        chosen = np.zeros(len(self.ends), bool)
+        chosen[sets] = True
+        of = np.flatnonzero(chosen[self.owner])
+        self.held = of[np.argsort(self.codes[of], kind="stable")]
+        self.starts = np.searchsorted(self.codes[self.held], np.arange(self.codes.max(initial=-1) + 2))
+        self.indexed = len(sets)
+
+    def most_shared(self, x: int, others: np.ndarray) -> np.ndarray:
+        """How many shingles set x shares with each of `others`, which only get fewer from call to call."""
+        if 2 * len(others) < self.indexed:
+            self.index(others)
+        own = self.codes[(self.ends[x - 1] if x else 0) : self.ends[x]]
+        first, many = self.starts[own], self.starts[own + 1] - self.starts[own]
+        at = np.arange(many.sum()) + np.repeat(first - np.cumsum(many) + many, many)
+        return np.bincount(self.owner[self.held[at]], minlength=len(self.ends))[others]
+
+
+def _spread(root: np.ndarray, near) -> tuple[np.ndarray, np.ndarray]:
+    """Pairs (x, y) of places that join all those with near(x, [y]) but for those of equal `root`, which are joined.
+
+    Each place in turn meets only those that nothing has joined yet; the pairs are fewer than the places.
+    """
+    a, b, left = [], [], np.arange(len(root))
+    while len(left) > 1:
+        same = root[left] == root[left[0]]
+        queue, left = left[same].tolist(), left[~same]
+        while queue and len(left):
+            x = queue.pop()
+            found = left[near(x, left)]
+            if len(found):
+                _, each = np.unique(root[found], return_index=True)
+                a.append(np.full(len(each), x))
+                b.append(found[each])
+                reached = np.isin(root[left], root[found])
+                queue += left[reached].tolist()
+                left = left[~reached]
+    none = np.zeros(0, np.int64)
+    return np.concatenate([none, *a]), np.concatenate([none, *b])
+
+
+def _starts(*keys: np.ndarray) -> np.ndarray:
+    """Where runs of equal keys begin."""
+    return np.flatnonzero(np.concatenate(([True], np.logical_or.reduce([k[1:] != k[:-1] for k in keys])))) if len(keys[0]) else np.zeros(0, np.int64)
+
+
+def _group_batches(similar: tuple[int, int]):
+    """Over rows sorted by (root, cell): edges (a, b) that join the sets of each cell that are, or by their sketches may be, similar."""
     up, down = similar
 
+    def edges(c: dict, i: int, j: int) -> tuple[np.ndarray, np.ndarray]:
+        n = c["n"][i:j]
+        if "s" in c:
+            bounds = np.concatenate(([0], np.cumsum(c["n"])))
+            held = _Whole(n, c["s"][bounds[i] : bounds[j]])
+        else:
+            held = _Sketches(n, c["sketch"][i:j])
+
+        def near(x: int, left: np.ndarray) -> np.ndarray:
+            out = (down * n[left] >= up * n[x]) & (down * n[x] >= up * n[left])
+            fits = np.flatnonzero(out)
+            if len(fits):
+                of = left if "s" in c else left[fits]
+                shared = held.most_shared(x, of)
+                shared = shared[fits] if "s" in c else shared
+                out[fits] = (up + down) * shared >= up * (n[x] + n[left[fits]])
+            return out
+
+        x, y = _spread(np.arange(j - i), near)
+        return c["v"][i + x], c["v"][i + y]
+
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            rows = zip(*(batch.column(c).to_pylist() for c in ("sketch_a", "sketch_b", "n_a", "n_b")), strict=True)
-            keep = pa.array([(up + down) * _most_shared(x, y, na, nb) >= up * (na + nb) for x, y, na, nb in rows], pa.bool_())
-            yield batch.select(["a", "b"]).filter(keep)
+        for c in _whole_cells(batches, "root"):
+            starts = _starts(c["root"], c["cell"])
+            for i, j in zip(starts.tolist(), [*starts[1:].tolist(), len(c["v"])], strict=True):
+                if j - i > 1:
+                    a, b = edges(c, i, j)
+                    if len(a):
+                        yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b)], ["a", "b"])
 
     return run
 
@@ -412,20 +519,6 @@ def _sent(few: DataFrame) -> DataFrame:
     return F.broadcast(few) if few.count() <= SENT else few
 
 
-def _salted(pairs: DataFrame, sets: DataFrame, side: str, columns: tuple[str, ...], hub: int = HUB) -> DataFrame:
-    """`pairs` with the set of their `side`, its `columns`; a set that many pairs ask for is copied for each `hub` of them."""
-    asked = cut(pairs.groupBy(side).count().where(F.col("count") > hub).select(F.col(side).alias("v"), F.ceil(F.col("count") / hub).cast("int").alias("copies")))
-    named = [f"{c}_{side}" for c in columns]
-    own = sets.select(F.col("v").alias(side), *[F.col(c).alias(n) for c, n in zip(columns, named, strict=True)])
-    if asked.isEmpty():
-        return pairs.join(own, side)
-    few = _sent(asked).withColumnRenamed("v", side)
-    copies = F.coalesce("copies", F.lit(1))
-    own = own.join(few, side, "left").select(side, *named, F.explode(F.sequence(F.lit(0), copies - 1)).alias("salt"))
-    dealt = pairs.join(few, side, "left").withColumn("salt", F.pmod(F.xxhash64("a", "b"), copies).cast("int")).drop("copies")
-    return dealt.join(own, [side, "salt"]).drop("salt")
-
-
 class SimilarTexts:
     """The steps of `similar_texts` over one table, and the tables they store."""
 
@@ -459,20 +552,6 @@ class SimilarTexts:
         same = self.sets.select("fp", F.col("v").alias("b")).join(prints, "fp").where("b != v").select(F.col("v").alias("a"), "b")
         return linked.join(a, "a").join(b, "b").select(F.col("va").alias("a"), F.col("vb").alias("b")).unionByName(same)
 
-    def verified(self, pairs: DataFrame) -> DataFrame:
-        """Those of `pairs` whose sets are similar enough: shared / all >= up / down."""
-        up, down = self.similar
-        pairs = self.store.table(pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct())
-        rough = _salted(_salted(pairs, self.sets, "a", ("n", "sketch")), self.sets, "b", ("n", "sketch"))
-        pairs = self.store.table(rough.mapInArrow(released(_possible_batches(self.similar)), "a long, b long"))
-        asked = self.store.table(pairs.select(F.explode(F.array("a", "b")).alias("v")).distinct())
-        whole = self.store.table(self.made_again(asked, "s"))
-        both = _salted(_salted(pairs, whole, "a", ("s",)), whole, "b", ("s",))
-        enough = (up + down) * F.size(F.array_intersect("s_a", "s_b")) >= up * (F.size("s_a") + F.size("s_b"))
-        found = self.store.table(both.where(enough).select("a", "b"))
-        forget_shuffles(self.spark)
-        return found
-
     def marked(self, begun: DataFrame, late: np.ndarray) -> tuple:
         """`late` as sent to the tasks, and `begun` with whether a set begins with any of it."""
         shared = self.spark.sparkContext.broadcast(late)
@@ -523,36 +602,27 @@ class SimilarTexts:
             dealt = rows.withColumns({"cell": F.lit(0).cast("long"), "mine": F.lit(0)})
         else:
             # Blocks of a hot shingle's sets meet in cells, each pair of blocks in one.
-            blocks = F.coalesce("blocks", F.lit(1).cast("long"))
-            each = rows.join(_sent(hot), "h", "left").withColumn("mine", F.pmod(F.xxhash64("v"), blocks).cast("int"))
-            each = each.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), blocks - 1)))
-            dealt = each.withColumn("cell", F.least("mine", "other") * (1 << 31) + F.greatest("mine", "other"))
+            dealt = celled(rows.join(_sent(hot), "h", "left"))
         dealt = dealt.select("h", "cell", "mine", "v", "n", "at")
         return self.store.table(in_cells(dealt).mapInArrow(released(_several_batches), dealt.schema))
 
     def rooted(self, shared: DataFrame, roots: DataFrame) -> DataFrame:
         return shared.join(_sent(roots), "v", "left").withColumn("root", F.coalesce("root", "v"))
 
-    def pairs_in(self, rooted: DataFrame) -> int:
-        """How many pairs of sets with different roots meet in all cells."""
-        found = in_cells(rooted).mapInArrow(released(_met_batches(self.similar, counted=True)), "pairs long")
-        return found.agg(F.coalesce(F.sum("pairs"), F.lit(0))).first()[0]
-
-    def star_pairs(self, rooted: DataFrame, turn: int) -> DataFrame:
-        """Pairs of one set of each cell with the others, a number linear in the rows, that share many first shingles."""
-        dealt = rooted.withColumn("turn", F.xxhash64(F.lit(turn), "v"))
-        stars = in_cells(dealt, "turn").mapInArrow(released(_star_batches(self.similar)), "a long, b long, n int")
-        return stars.groupBy("a", "b").agg(F.count("*").alias("times"), F.first("n").alias("n")).where(F.col("times") > F.col("n") / STAR_SHARE).select("a", "b")
-
     def all_pairs(self, rooted: DataFrame) -> DataFrame:
-        """Pairs (a, b) of sets, among them all similar ones that have different roots."""
-        up, down = self.similar
-        # Pairs whose signatures tell that they differ don't leave the task where they meet.
+        """Edges (a, b) between roots that join those of all similar sets, and of others whose signatures leave it open."""
         signed = rooted.join(self.sets.select("v", "sig"), "v")
-        met = in_cells(signed).mapInArrow(released(_met_batches(self.similar)), "a long, b long, n int, ends int").groupBy("a", "b")
-        # Up to the last shared place all that isn't shared is on one side only; similar sets have few of these.
-        apart = met.agg((F.max("ends") - 2 * F.count("*")).alias("apart"), F.first("n").alias("n"))
-        return apart.where((up + down) * F.col("apart") <= (down - up) * F.col("n")).select("a", "b")
+        return in_cells(signed).mapInArrow(released(_met_batches(self.similar)), "a long, b long").distinct()
+
+    def in_groups(self, groups: DataFrame, *wanted: str) -> DataFrame:
+        """Edges (a, b) that join the sets of each of `groups` (v, root) that are similar, or by their sketches may be."""
+        sets = self.made_again(groups.select("v"), "n", "s") if "s" in wanted else self.sets.select("v", "n", *wanted)
+        sizes = self.sets.select("v", "n").join(_sent(groups), "v").groupBy("root").agg(F.sum("n").alias("n"), F.count("*").alias("sets"))
+        # Blocks of a large group meet in cells, each pair of blocks in one.
+        blocks = F.ceil(F.greatest(F.col("n") / GROUP_SHINGLES, F.col("sets") / self.block)).cast("long")
+        hot = self.store.table(sizes.select("root", blocks.alias("blocks")).where("blocks > 1"))
+        rows = sets.join(_sent(groups), "v").join(_sent(hot), "root", "left")
+        return in_cells(celled(rows).select("root", "cell", "v", "n", *wanted), key="root").mapInArrow(released(_group_batches(self.similar)), "a long, b long")
 
     def joined(self, edges: DataFrame, roots: DataFrame | None = None) -> DataFrame:
         """(v, root) of every set of `edges`, and of `roots`, whose components they join."""
@@ -569,18 +639,24 @@ class SimilarTexts:
 
     def roots(self) -> DataFrame:
         """(doc_id, text_hash, root) of every row."""
-        roots, shared = self.joined(self.verified(self.first_pairs())), self.shared()
-        rows, turn, before = shared.count(), 0, None
-        # Large groups of near copies join by stars first, so that their sets needn't all meet each other.
-        while (now := self.pairs_in(self.rooted(shared, roots))) > PAIRS_A_ROW * rows and (before is None or 2 * now < before):
-            roots = self.joined(self.verified(self.star_pairs(self.rooted(shared, roots), turn)), roots)
-            turn, before = turn + 1, now
-        roots = self.joined(self.verified(self.all_pairs(self.rooted(shared, roots))), roots)
-        return self.rows.select("doc_id", "text_hash", "v").join(_sent(roots), "v", "left").select("doc_id", "text_hash", F.coalesce("root", "v").alias("root"))
+        first = self.joined(self.first_pairs())
+        groups = self.joined(self.all_pairs(self.rooted(self.shared(), first)), first)
+        forget_shuffles(self.spark)
+        for wanted in ("sketch", "s"):
+            groups = self.joined(self.in_groups(groups, wanted))
+            forget_shuffles(self.spark)
+        return self.rows.select("doc_id", "text_hash", "v").join(_sent(groups), "v", "left").select("doc_id", "text_hash", F.coalesce("root", "v").alias("root"))
+
+
+def celled(rows: DataFrame) -> DataFrame:
+    """`rows` (v, blocks: null for one) dealt to blocks: a row for each `cell` where its block meets another."""
+    blocks = F.coalesce("blocks", F.lit(1).cast("long"))
+    each = rows.withColumn("mine", F.pmod(F.xxhash64("v"), blocks).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), blocks - 1)))
+    return each.withColumn("cell", F.least("mine", "other") * (1 << 31) + F.greatest("mine", "other"))
 
 
-def in_cells(rows: DataFrame, *order: str) -> DataFrame:
-    return rows.repartition("h", "cell").sortWithinPartitions("h", "cell", *order)
+def in_cells(rows: DataFrame, key: str = "h") -> DataFrame:
+    return rows.repartition(key, "cell").sortWithinPartitions(key, "cell")
 
 
 def _several_batches(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -605,14 +681,18 @@ def _several_batches(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBat
         yield kept(held, before, None)
 
 
-def _whole_cells(batches: Iterable[pa.RecordBatch]) -> Iterator[dict[str, np.ndarray]]:
-    """Columns of runs of whole cells, of rows sorted by (h, cell)."""
+def _whole_cells(batches: Iterable[pa.RecordBatch], key: str = "h") -> Iterator[dict]:
+    """Columns of runs of whole cells, of rows sorted by (key, cell); lists one after another."""
 
-    def columns(parts: list[pa.RecordBatch]) -> dict[str, np.ndarray]:
+    def columns(parts: list[pa.RecordBatch]) -> dict:
         whole = pa.Table.from_batches(parts)
-        out = {c: whole.column(c).to_numpy().astype(np.int64, copy=False) for c in whole.schema.names if c != "sig"}
+        out = {c: whole.column(c).to_numpy().astype(np.int64, copy=False) for c in whole.schema.names if c not in ("sig", "sketch", "s")}
         if "sig" in whole.schema.names:
             out["sig"] = np.frombuffer(b"".join(whole.column("sig").to_pylist()), np.uint8).reshape(len(whole), -1)
+        if "sketch" in whole.schema.names:
+            out["sketch"] = whole.column("sketch").to_pylist()
+        if "s" in whole.schema.names:
+            out["s"] = np.concatenate([x.flatten().to_numpy(zero_copy_only=False) for x in whole.column("s").chunks])
         return out
 
     held: list[pa.RecordBatch] = []
@@ -620,7 +700,7 @@ def _whole_cells(batches: Iterable[pa.RecordBatch]) -> Iterator[dict[str, np.nda
         if not len(batch):
             continue
         held.append(batch)
-        h, cell = (batch.column(x).to_numpy(zero_copy_only=False) for x in ("h", "cell"))
+        h, cell = (batch.column(x).to_numpy(zero_copy_only=False) for x in (key, "cell"))
         # The last cell may go on in the next batch.
         same = (h == h[-1]) & (cell == cell[-1])
         if not same.all():
@@ -631,30 +711,14 @@ def _whole_cells(batches: Iterable[pa.RecordBatch]) -> Iterator[dict[str, np.nda
         yield columns(held)
 
 
-def _star_batches(similar: tuple[int, int]):
-    """The first row of each cell with all others of another root and a similar size."""
-    up, down = similar
+def _met_batches(similar: tuple[int, int], pairs_at_once: int = 1 << 20, signed_at_once: int = 1 << 15, edges_at_once: int = 1 << 20):
+    """Over rows sorted by (h, cell): edges that join the roots of all sets that meet and may be similar by their signatures `sig`.
 
-    def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for c in _whole_cells(batches):
-            starts = np.flatnonzero(np.concatenate(([True], (c["h"][1:] != c["h"][:-1]) | (c["cell"][1:] != c["cell"][:-1]))))
-            first = np.repeat(starts, np.diff(np.append(starts, len(c["h"]))))
-            n, m = c["n"], c["n"][first]
-            own = np.flatnonzero((c["root"] != c["root"][first]) & (down * n >= up * m) & (down * m >= up * n))
-            if len(own):
-                x, y = c["v"][own], c["v"][first[own]]
-                yield pa.RecordBatch.from_arrays([pa.array(np.minimum(x, y)), pa.array(np.maximum(x, y)), pa.array(np.minimum(n, m)[own].astype(np.int32))], ["a", "b", "n"])
-
-    return run
-
-
-def _met_batches(similar: tuple[int, int], counted: bool = False, pairs_at_once: int = 1 << 20, signed_at_once: int = 1 << 15):
-    """Over rows sorted by (h, cell): the pairs of sets of each cell that have different roots and may be similar, or their number.
-
-    Where rows have a signature `sig`, pairs whose signatures differ too much aren't among them. Before the first place that two similar sets share they have few others, and sizes differ little. Of a pair's shared
+    Before the first place that two similar sets share they have few others, and sizes differ little. Of a pair's shared
     places those that keep to this are the first ones, so that a pair that isn't met at its first is never similar.
     """
     up, down = similar
+    a_row = PAIRS_A_ROW
 
     def kept(x: np.ndarray, y: np.ndarray, c: dict[str, np.ndarray]) -> tuple[np.ndarray, ...]:
         nx, ny = c["n"][x], c["n"][y]
@@ -663,8 +727,6 @@ def _met_batches(similar: tuple[int, int], counted: bool = False, pairs_at_once:
         # In a cell of two blocks only pairs across them meet.
         fine &= (c["one_block"][x]) | (c["mine"][x] != c["mine"][y])
         x, y = x[fine], y[fine]
-        if "sig" not in c:
-            return x, y
         same = np.concatenate([alike(x[i : i + signed_at_once], y[i : i + signed_at_once], c) for i in range(0, len(x), signed_at_once)] or [np.zeros(0, bool)])
         return x[same], y[same]
 
@@ -675,23 +737,15 @@ def _met_batches(similar: tuple[int, int], counted: bool = False, pairs_at_once:
         return (up + down) * (shared + c["beyond"][x] + c["beyond"][y]) >= up * (c["n"][x] + c["n"][y])
 
     def pairs(c: dict[str, np.ndarray]) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-        change = (c["h"][1:] != c["h"][:-1]) | (c["cell"][1:] != c["cell"][:-1])
-        starts = np.flatnonzero(np.concatenate(([True], change)))
+        starts = _starts(c["h"], c["cell"])
         sizes = np.diff(np.append(starts, len(c["h"])))
         several = (sizes > 1) & (np.minimum.reduceat(c["root"], starts) != np.maximum.reduceat(c["root"], starts))
-        s, m = starts[several], sizes[several]
+        small = several & (sizes - 1 <= 2 * a_row)
+        s, m = starts[small], sizes[small]
         bounds = np.concatenate(([0], np.cumsum(m * m)))
         at = 0
         while at < len(s):
             to = max(at + 1, int(np.searchsorted(bounds, bounds[at] + pairs_at_once, "right")) - 1)
-            if m[at] ** 2 > pairs_at_once:
-                step = max(1, pairs_at_once // int(m[at]))
-                for i in range(0, int(m[at]), step):
-                    own = np.arange(i, min(i + step, m[at]))
-                    x, y = np.repeat(own, m[at]), np.tile(np.arange(m[at]), len(own))
-                    yield kept(s[at] + x[x < y], s[at] + y[x < y], c)
-                at += 1
-                continue
             n = m[at:to] ** 2
             inner = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
             wide, first = np.repeat(m[at:to], n), np.repeat(s[at:to], n)
@@ -699,22 +753,31 @@ def _met_batches(similar: tuple[int, int], counted: bool = False, pairs_at_once:
             first, x, y = first[x < y], x[x < y], y[x < y]
             yield kept(first + x, first + y, c)
             at = to
+        for i, size in zip(starts[several & ~small].tolist(), sizes[several & ~small].tolist(), strict=True):
+            x, y = _spread(c["root"][i : i + size], lambda x, left, i=i: near(i + x, i + left, c))
+            yield i + x, i + y
 
-    def out(c: dict[str, np.ndarray]) -> Iterator[pa.RecordBatch]:
-        if len(c["h"]):
-            if "sig" in c:
-                c["beyond"] = c["n"] - ((c["sig"] & 15) + (c["sig"] >> 4)).sum(1, dtype=np.int64)
-            c["one_block"] = (c["cell"] >> 31) == (c["cell"] & ((1 << 31) - 1))
-            for x, y in pairs(c):
-                if len(x) and counted:
-                    yield pa.RecordBatch.from_arrays([pa.array([len(x)], pa.int64())], ["pairs"])
-                elif len(x):
-                    a, b = np.minimum(c["v"][x], c["v"][y]), np.maximum(c["v"][x], c["v"][y])
-                    yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b), pa.array((c["n"][x] + c["n"][y]).astype(np.int32)), pa.array((c["at"][x] + c["at"][y] + 2).astype(np.int32))], ["a", "b", "n", "ends"])
+    def near(x: int, left: np.ndarray, c: dict[str, np.ndarray]) -> np.ndarray:
+        out = np.zeros(len(left), bool)
+        out[np.searchsorted(left, kept(np.full(len(left), x), left, c)[1])] = True
+        return out
 
     def run(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        u = v = np.zeros(0, np.int64)
+        found, several = [], 0
         for c in _whole_cells(batches):
-            yield from out(c)
+            c["beyond"] = c["n"] - ((c["sig"] & 15) + (c["sig"] >> 4)).sum(1, dtype=np.int64)
+            c["one_block"] = (c["cell"] >> 31) == (c["cell"] & ((1 << 31) - 1))
+            for x, y in pairs(c):
+                found.append((c["root"][x], c["root"][y]))
+                several += len(x)
+                if several >= max(edges_at_once, len(u)):
+                    u, v = forest(*map(np.concatenate, zip((u, v), *found, strict=True)))
+                    found, several = [], 0
+        if several:
+            u, v = forest(*map(np.concatenate, zip((u, v), *found, strict=True)))
+        if len(u):
+            yield pa.RecordBatch.from_arrays([pa.array(u), pa.array(v)], ["a", "b"])
 
     return run
 

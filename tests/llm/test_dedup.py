@@ -223,3 +223,58 @@ def test_texts_that_share_a_passage_only_are_told_apart_where_they_meet(spark):
         steps.store.close()
     assert {frozenset((named[i], named[90 + i])) for i in range(5)} <= pairs
     assert len(pairs) < 50
+
+
+def test_rows_that_leave_tasks_grow_with_the_sets_of_a_group_not_their_pairs(spark):
+    random = np.random.default_rng(11)
+    base = [f"w{i}" for i in range(120)]
+    texts = [" ".join(f"c{t}x{i}" if i in changed else w for i, w in enumerate(base)) for t, changed in ((t, set(random.integers(120, size=3))) for t in range(250))]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    want = similar_brute(texts)
+    for block in (4096, 40):
+        steps = simhash.SimilarTexts(docs, 5, (4, 5), 4, block, 1000)
+        try:
+            alone = spark.createDataFrame([], "v long, root long")
+            met = steps.store.table(steps.all_pairs(steps.rooted(steps.shared(), alone)))
+            assert met.count() < 4 * len(texts)  # 15,000 pairs or more meet and may be similar; each of few tasks gives a forest
+            groups = steps.joined(met)
+            for wanted in ("sketch", "s"):
+                edges = steps.store.table(steps.in_groups(groups, wanted))
+                assert edges.count() < len(texts) * (1 if block == 4096 else 7)  # cells give a forest each
+                groups = steps.joined(edges)
+            root = {r.v: r.root for r in groups.collect()}
+            named = {r.doc_id: r.v for r in steps.rows.select("doc_id", "v").collect()}
+        finally:
+            steps.store.close()
+        got = [root.get(named[i], named[i]) for i in range(len(texts))]
+        assert [got.index(x) for x in got] == [want.index(x) for x in want]
+
+
+def test_spread_joins_what_pairs_join():
+    random = np.random.default_rng(12)
+    for _ in range(100):
+        n = int(random.integers(1, 40))
+        root = random.integers(n, size=n) if random.random() < 0.5 else np.arange(n)
+        linked = random.random((n, n)) < 1.2 / n
+        linked |= linked.T
+        x, y = simhash._spread(root, lambda i, left, linked=linked: linked[i, left])
+        assert len(x) < n and all(linked[i, j] and root[i] != root[j] for i, j in zip(x, y, strict=True))
+        i, j = np.nonzero(linked)
+        ties = [dict(zip(*map(np.ndarray.tolist, simhash.forest(a, b)), strict=True)) for a, b in ((root[x], root[y]), (root[i], root[j]))]
+        assert [[t.get(r, r) for r in root.tolist()] for t in ties[:1]] == [[t.get(r, r) for r in root.tolist()] for t in ties[1:]]
+
+
+def test_sets_of_a_group_are_counted_and_bounded():
+    random = np.random.default_rng(13)
+    for _ in range(50):
+        pool = random.integers(-(1 << 62), 1 << 62, size=int(random.integers(1, 300)))
+        sets = [np.unique(random.choice(pool, int(random.integers(0, 200)))) for _ in range(int(random.integers(2, 30)))]
+        n = np.array([len(s) for s in sets])
+        whole, sketches = simhash._Whole(n, np.concatenate(sets)), simhash._Sketches(n, [simhash._sketch(s) for s in sets])
+        others = np.arange(len(sets))
+        while len(others):
+            for x in range(0, len(sets), 5):
+                want = [len(np.intersect1d(sets[x], sets[y])) for y in others]
+                assert whole.most_shared(x, others).tolist() == want
+                assert (sketches.most_shared(x, others) >= want).all()
+            others = others[: len(others) // 3]
